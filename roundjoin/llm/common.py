@@ -133,7 +133,7 @@ def shingle_sets(column: pa.Array, width: int = 5, chunk: int = 1 << 20) -> Iter
             if c >= width:
                 yield np.unique(full[at : at + c - width + 1])
             elif c:
-                yield mix64(np.array([(words[at : at + c] * _SPREAD[:c]).sum(dtype=np.uint64) + _SPREAD[40 + c % 20]], dtype=np.uint64))
+                yield mix64((words[at : at + c] * _SPREAD[:c]).sum(dtype=np.uint64, keepdims=True) + _SPREAD[40 + c % 20])
             else:
                 yield np.zeros(0, np.uint64)
             at += c
