@@ -7,11 +7,14 @@ signature of its own; frequent tokens are dealt by hash to classes, and each pai
 prefix tokens counts c - 1. Two sets of similarity t or more then share a signature. Unique tokens count, but have no partner: a set with
 more unique tokens than its slack has none at all and goes.
 
-Equal sets are one node. Candidates are verified in two rounds: first each node with the hub it shares most signatures with, then all pairs that
-share a signature and are still in different components. So a group of a million near copies costs a million verifications, and
-no link between different components is lost.
-
-Sets, nodes and signatures are 64-bit hashes; verification intersects the top 40 bits of the shingle hashes.
+Equal sets are one node. Among the nodes that share signatures with others, tokens that one node alone has are counted over whole sets: the overlap of
+two nodes is at most either's size less its own such tokens, which bounds the similarity of a pair before it is made. Candidates are verified in
+rounds: first each node with one hub; last all pairs that share a signature, meet the bound and are still in different components. Hubs are the
+nodes with the least share of lone tokens, so the least edited of a group of near copies: a group of a million costs a million verifications. Nodes with the same hub that are in different components after that are intersected all with all, in blocks, by products
+of incidence matrices; only links come out of it. So no link between different components is lost.
+
+Sets, nodes and signatures are 64-bit hashes. Tokens are counted by the top 48 bits of their hashes (equal ones could only add candidates); verification
+intersects the top 40 bits.
 """
 
 from __future__ import annotations
@@ -26,7 +29,55 @@ from .common import DOC_COLUMNS, Bloom, components, cut, mix64, pick, shingle_se
 
 #: Production values. WINDOW: share of hash space whose tokens are counted; FREQUENT: document frequency from which pairs are indexed;
 #: PART_TOKENS: tokens that one counting task takes.
-WIDTH, PERCENT, WINDOW, FREQUENT, PART_TOKENS = 5, 75, 0.4, 16, 1_500_000
+WIDTH, PERCENT, WINDOW, FREQUENT, PART_TOKENS = 5, 75, 0.4, 16, 1_000_000
+_FLUSH = 1_000_000
+
+
+def _edge(window: float) -> np.uint64:
+    """Largest hash in the window; the same for whole hashes and their top 48 bits."""
+    return np.uint64(int(window * 2.0**64) | 0xFFFF)
+
+
+def pack(tokens: np.ndarray, nodes: np.ndarray, width: int = 6) -> bytes:
+    """Tokens (their top `width` bytes, by byte position, which compresses what is sorted) and the node of each, as places in a list of nodes."""
+    own, place = np.unique(nodes, return_inverse=True)
+    size = 2 if len(own) < 1 << 16 else 4
+    head = np.array([len(tokens), len(own), width, size], dtype=np.int64)
+    return b"".join((head.tobytes(), own.tobytes(), np.ascontiguousarray(tokens.view(np.uint8).reshape(-1, 8)[:, 8 - width :].T).tobytes(), np.ascontiguousarray(place.astype(f"<u{size}").view(np.uint8).reshape(-1, size).T).tobytes()))
+
+
+def unpack(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
+    n, m, width, size = np.frombuffer(blob, dtype=np.int64, count=4).tolist()
+    own = np.frombuffer(blob, dtype=np.int64, count=m, offset=32)
+    at = 32 + 8 * m
+    tokens = np.zeros((n, 8), dtype=np.uint8)
+    tokens[:, 8 - width :] = np.frombuffer(blob, dtype=np.uint8, count=n * width, offset=at).reshape(width, n).T
+    place = np.ascontiguousarray(np.frombuffer(blob, dtype=np.uint8, offset=at + n * width).reshape(size, n).T).view(f"<u{size}").reshape(-1)
+    return tokens.view(np.uint64).reshape(-1), own[place]
+
+
+def _dealt(tokens: list[np.ndarray], nodes: list[np.ndarray], parts: int, width: int = 6) -> pa.RecordBatch:
+    """The tokens dealt to parts by the high bits of their hashes, one packed row for each part that gets any."""
+    t, o = np.concatenate(tokens), np.concatenate(nodes)
+    order = np.argsort(t, kind="stable")
+    t, o = t[order], o[order]
+    cuts = np.searchsorted((t >> np.uint64(24)) * np.uint64(parts) >> np.uint64(40), np.arange(parts + 1))
+    at = [k for k in range(parts) if cuts[k] < cuts[k + 1]]
+    return pa.record_batch([pa.array(at, pa.int32()), pa.array([pack(t[cuts[k] : cuts[k + 1]], o[cuts[k] : cuts[k + 1]], width) for k in at])], names=["part", "blob"])
+
+
+def _gathered(blobs) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct pairs of token and node of a part, in order, and how many nodes have the token."""
+    t, o = (np.concatenate(x) for x in zip(*map(unpack, blobs), strict=True))
+    order = np.lexsort((o, t))
+    t, o = t[order], o[order]
+    fresh = np.ones(len(t), dtype=bool)
+    fresh[1:] = (t[1:] != t[:-1]) | (o[1:] != o[:-1])
+    t, o = t[fresh], o[fresh]
+    first = np.ones(len(t), dtype=bool)
+    first[1:] = t[1:] != t[:-1]
+    runs = np.diff(np.append(np.flatnonzero(first), len(t)))
+    return t, o, np.repeat(runs, runs)
 
 
 def slack(n: int, percent: int) -> int:
@@ -46,7 +97,7 @@ def _classes(level: int) -> int:
 def _sent(tokens: np.ndarray, percent: int, window: float) -> tuple[int, int]:
     """How many of the sorted tokens lie in the window, and how many are sent to be counted."""
     n = len(tokens)
-    inside = int(np.searchsorted(tokens, np.uint64(int(window * 2.0**64)), side="right"))
+    inside = int(np.searchsorted(tokens, _edge(window), side="right"))
     need = slack(n, percent) + 1 + max(map(_classes, _levels(n, percent))) if n else 0
     return inside, max(inside, min(n, need))
 
@@ -81,14 +132,6 @@ def shared_tokens(docs: DataFrame, parts: int, width: int, percent: int, window:
         nodes: list[np.ndarray] = []
         held = 0
 
-        def flush():
-            t, o = np.concatenate(toks), np.concatenate(nodes)
-            order = np.argsort(t, kind="stable")
-            t, o = t[order], o[order]
-            cuts = np.searchsorted((t >> np.uint64(20)) * np.uint64(parts) >> np.uint64(44), np.arange(parts + 1))
-            at = [k for k in range(parts) if cuts[k] < cuts[k + 1]]
-            return pa.record_batch([pa.array(at, pa.int32()), pa.array([t[cuts[k] : cuts[k + 1]].tobytes() for k in at]), pa.array([o[cuts[k] : cuts[k + 1]].tobytes() for k in at])], names=["part", "toks", "nodes"])
-
         for b in batches:
             for s in shingle_sets(b.column("text"), width):
                 if len(s) and (key := set_key(s)) not in seen:
@@ -97,37 +140,27 @@ def shared_tokens(docs: DataFrame, parts: int, width: int, percent: int, window:
                     toks.append(some)
                     nodes.append(np.full(len(some), key, dtype=np.int64))
                     held += len(some)
-                    if held > 4_000_000:
-                        yield flush()
+                    if held > _FLUSH:
+                        yield _dealt(toks, nodes, parts)
                         toks, nodes, held = [], [], 0
         if held:
-            yield flush()
+            yield _dealt(toks, nodes, parts)
 
     def count(key, pdf):
         import pandas as pd
 
-        t = np.concatenate([np.frombuffer(x, dtype=np.uint64) for x in pdf["toks"]])
-        o = np.concatenate([np.frombuffer(x, dtype=np.int64) for x in pdf["nodes"]])
-        order = np.lexsort((o, t))
-        t, o = t[order], o[order]
-        fresh = np.ones(len(t), dtype=bool)
-        fresh[1:] = (t[1:] != t[:-1]) | (o[1:] != o[:-1])
-        t, o = t[fresh], o[fresh]
-        first = np.ones(len(t), dtype=bool)
-        first[1:] = t[1:] != t[:-1]
-        at = np.flatnonzero(first)
-        df = np.repeat(np.diff(np.append(at, len(t))), np.diff(np.append(at, len(t))))
+        t, o, df = _gathered(pdf["blob"])
         keep = df > 1
         return pd.DataFrame({"node": o[keep], "tok": t[keep].view(np.int64), "df": df[keep].astype(np.int32)})
 
-    return _text_rows(docs).mapInArrow(send, "part int, toks binary, nodes binary").groupBy("part").applyInPandas(count, "node long, tok long, df int")
+    return _text_rows(docs).mapInArrow(send, "part int, blob binary").groupBy("part").applyInPandas(count, "node long, tok long, df int")
 
 
 def prefix_signatures(n: int, inside: int, toks: np.ndarray, df: np.ndarray, percent: int, window: float, frequent: int) -> np.ndarray:
     """Signatures of one set from its shared counted tokens (uint64) and their document frequencies."""
     order = np.argsort(toks)
     toks, df = toks[order], df[order]
-    within = toks <= np.uint64(int(window * 2.0**64))
+    within = toks <= _edge(window)
     need = slack(n, percent) + 1 - (inside - int(within.sum()))
     if need <= 0:
         return np.zeros(0, np.uint64)
@@ -171,23 +204,96 @@ def signatures(shared: DataFrame, nodes: DataFrame, percent: int, window: float,
     return some.mapInArrow(run, "sig long, node long, n long")
 
 
+def lone_tokens(sets: DataFrame, parts: int) -> DataFrame:
+    """node, lone: how many tokens of a node no other node of sets has."""
+
+    def send(batches):
+        toks: list[np.ndarray] = []
+        nodes: list[np.ndarray] = []
+        held = 0
+        for b in batches:
+            for node, x in zip(b.column("node").to_pylist(), b.column("toks"), strict=True):
+                toks.append(_tokens_of(x.as_py()))
+                nodes.append(np.full(len(toks[-1]), node, dtype=np.int64))
+                held += len(toks[-1])
+                if held > _FLUSH:
+                    yield _dealt(toks, nodes, parts, 5)
+                    toks, nodes, held = [], [], 0
+        if held:
+            yield _dealt(toks, nodes, parts, 5)
+
+    def count(key, pdf):
+        import pandas as pd
+
+        _, o, df = _gathered(pdf["blob"])
+        node, n = np.unique(o[df == 1], return_counts=True)
+        return pd.DataFrame({"node": node, "lone": n})
+
+    return sets.mapInArrow(send, "part int, blob binary").groupBy("part").applyInPandas(count, "node long, lone long").groupBy("node").agg(F.sum("lone").alias("lone"))
+
+
 def _fits(percent: int):
-    return (100 * F.least("n", "hub_n") >= percent * F.greatest("n", "hub_n")) & (F.col("node") != F.col("hub"))
+    """The overlap that the pair's sizes ask for is no more than either side can share with any other node."""
+    return ((100 + percent) * F.least("common", "hub_common") >= percent * (F.col("n") + F.col("hub_n"))) & (F.col("node") != F.col("hub"))
+
+
+def _linked(pdf, percent: int) -> list[tuple[int, int]]:
+    """Links between nodes of different labels: of each node one to every label at most. pdf: node, label, side (0 or 1; both if alone), toks."""
+    sets = [_tokens_of(x) for x in pdf["toks"]]
+    n = np.array([len(x) for x in sets])
+    token, at = np.unique(np.concatenate(sets), return_inverse=True)
+    often = np.bincount(at) > 1
+    place, owner = np.cumsum(often) - 1, np.repeat(np.arange(len(n)), n)
+    keep = often[at]
+    at, owner = place[at][keep], owner[keep]
+    order = np.argsort(at, kind="stable")
+    at, owner = at[order], owner[order]
+    side, label, node = (pdf[c].to_numpy() for c in ("side", "label", "node"))
+    a, b = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+    b = b if len(b) else a
+    both = np.zeros((len(a), len(b)), dtype=np.float32)
+    step = 4096
+    for lo in range(0, int(often.sum()), step):
+        i, j = np.searchsorted(at, (lo, lo + step))
+        part = np.zeros((len(n), step), dtype=np.float32)
+        part[owner[i:j], at[i:j] - lo] = 1
+        both += part[a] @ part[b].T
+    hit = (100 + percent) * both >= percent * (n[a][:, None] + n[b][None, :])
+    hit &= label[a][:, None] != label[b][None, :]
+    out = {}
+    for i, j in zip(*np.nonzero(hit), strict=True):
+        out.setdefault((node[a[i]], label[b[j]]), (int(node[a[i]]), int(node[b[j]])))
+    return list(out.values())
+
+
+def _links_of_hubs(open_nodes: DataFrame, sets: DataFrame, percent: int, block: int = 512) -> DataFrame:
+    """a, b: links between nodes of one hub and different labels, by pairs of blocks of nodes. open_nodes: node, label, hub."""
+
+    def run(key, pdf):
+        import pandas as pd
+
+        return pd.DataFrame(_linked(pdf, percent), columns=["a", "b"], dtype=np.int64)
+
+    groups = open_nodes.groupBy("hub").agg(F.count("*").alias("size"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("hub", F.ceil(F.col("size") / block).alias("blocks"))
+    placed = open_nodes.join(groups, "hub").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = placed.select("hub", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "node", "label", (F.col("own") > F.col("other")).cast("int").alias("side"))
+    return dealt.join(sets, "node").groupBy("hub", "i", "j").applyInPandas(run, "a long, b long")
+
+
+def _tokens_of(x: bytes) -> np.ndarray:
+    a = np.zeros((len(x) // 5, 8), dtype=np.uint8)
+    a[:, 3:] = np.frombuffer(x, dtype=np.uint8).reshape(-1, 5)
+    return a.view(np.uint64).reshape(-1)
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """a, b of the pairs whose sets overlap enough. pairs: a, b. sets: node, toks (packed)."""
 
-    def unpack(x: bytes) -> np.ndarray:
-        a = np.zeros((len(x) // 5, 8), dtype=np.uint8)
-        a[:, 3:] = np.frombuffer(x, dtype=np.uint8).reshape(-1, 5)
-        return a.view(np.uint64).reshape(-1)
-
     def run(batches):
         for b in batches:
             keep = []
             for x, y in zip(b.column("x"), b.column("y"), strict=True):
-                p, q = unpack(x.as_py()), unpack(y.as_py())
+                p, q = _tokens_of(x.as_py()), _tokens_of(y.as_py())
                 both = len(p) + len(q) - len(np.union1d(p, q))
                 keep.append(100 * both >= percent * (len(p) + len(q) - both))
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
@@ -214,6 +320,13 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
     return _text_rows(docs).mapInArrow(run, "node long, toks binary").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
 
 
+def _still_open(sigs: DataFrame, label: DataFrame) -> DataFrame:
+    """sigs with the label of each node, of the signatures that nodes of different labels have."""
+    named = sigs.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    mixed = named.groupBy("sig").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("sig")
+    return named.join(mixed, "sig", "left_semi")
+
+
 def near_duplicate_rows(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, window: float = WINDOW, frequent: int = FREQUENT, part_tokens: int = PART_TOKENS) -> DataFrame:
     """Per row of docs: doc_id, n, node, label (key of its component: equal for linked sets; equal sets share a node)."""
     rows = cut(profiles(docs, width, percent, window))
@@ -222,22 +335,28 @@ def near_duplicate_rows(docs: DataFrame, width: int = WIDTH, percent: int = PERC
     shared = shared_tokens(docs, max(1, -(-int(total) // part_tokens)), width, percent, window)
     sigs = signatures(shared, nodes.select("node", "n", "inside"), percent, window, frequent)
     sigs = cut(sigs)
-    hubs = sigs.groupBy("sig").agg(F.min(F.struct("node", "n")).alias("h"), F.count("*").alias("c")).where("c > 1").select("sig", F.col("h.node").alias("hub"), F.col("h.n").alias("hub_n"))
-    met = sigs.join(hubs, "sig")
-    met = cut(met)
-    wanted = met.select("node").distinct().join(nodes.select("node", "doc_id"), "node")
-    sets = cut(_sets_of(docs, wanted, width))
-    best = met.where(_fits(percent)).groupBy("node", "hub").count().groupBy("node").agg(F.max_by("hub", F.struct("count", "hub")).alias("hub"))
+    many = sigs.groupBy("sig").agg(F.count("*").alias("c")).where("c > 1").select("sig")
+    met = sigs.join(many, "sig", "left_semi").groupBy("node").agg(F.first("n").alias("n"))
+    met = cut(met.join(nodes.select("node", "doc_id"), "node"))
+    sets = cut(_sets_of(docs, met.select("doc_id", "node"), width))
+    tokens = met.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("s")).first().s
+    lone = lone_tokens(sets, max(1, -(-int(tokens) // part_tokens)))
+    able = met.join(lone, "node", "left").withColumn("common", F.col("n") - F.coalesce("lone", F.lit(0))).where(100 * F.col("common") >= percent * F.col("n")).select("node", "common")
+    sigs = cut(sigs.join(many, "sig", "left_semi").join(cut(able), "node"))
+    odd = (F.col("n") - F.col("common")) / F.col("n")
+    hubs = sigs.groupBy("sig").agg(F.min(F.struct(odd.alias("odd"), "node", "n", "common")).alias("h"), F.count("*").alias("c")).where("c > 1").select("sig", F.col("h.node").alias("hub"), F.col("h.n").alias("hub_n"), F.col("h.common").alias("hub_common"))
+    near = sigs.join(hubs, "sig").where(_fits(percent)).groupBy("node", "hub").count()
+    best = cut(near.groupBy("node").agg(F.max_by("hub", F.struct("count", "hub")).alias("hub")))
     first = cut(_verified(best.select(F.col("node").alias("a"), F.col("hub").alias("b")), sets, percent))
-    label = cut(components(first))
-    # nodes whose signatures still meet other components
-    named = met.select("sig", "node", "n").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    mixed = named.groupBy("sig").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("sig")
-    open_ = cut(named.join(mixed, "sig", "left_semi"))
-    other = open_.select("sig", F.col("node").alias("hub"), F.col("n").alias("hub_n"), F.col("label").alias("hub_label"))
-    pairs = open_.join(other, "sig").where(_fits(percent) & (F.col("node") < F.col("hub")) & (F.col("label") != F.col("hub_label"))).select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
-    second = _verified(pairs, sets, percent)
-    label = cut(components(first.union(second)))
+    own = cut(sigs.join(best, "node", "left").withColumn("own", F.coalesce("hub", "node")).drop("hub"))
+    open_ = cut(_still_open(own, components(first)))
+    within = cut(_links_of_hubs(open_.select("node", "label", F.col("own").alias("hub")).distinct(), sets, percent))
+    links = first.union(within)
+    open_ = cut(_still_open(own, components(links)))
+    other = open_.select("sig", F.col("node").alias("hub"), F.col("n").alias("hub_n"), F.col("common").alias("hub_common"), F.col("label").alias("hub_label"), F.col("own").alias("hub_own"))
+    apart = (F.col("node") < F.col("hub")) & (F.col("label") != F.col("hub_label")) & (F.col("own") != F.col("hub_own"))
+    pairs = open_.join(other, "sig").where(_fits(percent) & apart).select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
+    label = cut(components(links.union(_verified(pairs, sets, percent))))
     return rows.join(label, "node", "left").select("doc_id", "n", "node", F.coalesce("label", "node").alias("label"))
 
 
