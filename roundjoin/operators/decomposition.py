@@ -63,14 +63,14 @@ def materialize_bags(tree: BagTree, rels: dict[str, DataFrame], run: Runner, pro
         joined = P.grid_join(parts, run.m) if run.physical == "grid" and len(parts) > 1 else fold(lambda x, y: P.natural_join(x, y, frozenset(P.common(x, y)) - run.exact), parts)
         if project and set(joined.columns) - chi:
             joined = joined.select(*[c for c in joined.columns if c in chi]).dropDuplicates()
-        out[b] = joined
+        out[b] = run.made(joined, *parts)
         if run.ledger is not None and len(parts) > 1:
             run.ledger.add(run.at + 1, "materialise", b, join_cost([run.size(d) for d in parts], run.m_or_none()), run.size(joined))
     run.at += int(tree.width() > 1)
     return run.settle(out)
 
 
-def decomposition_join(q: JoinQuery, tree: BagTree | None = None, m: int | None = None, physical: str = "native", project_bags: bool = True, barrier: str = "none", ledger: CostLedger | None = None, max_bag_rows: int | None = None, bag: bool = False, reduce: bool = True) -> DataFrame:
+def decomposition_join(q: JoinQuery, tree: BagTree | None = None, m: int | None = None, physical: str = "native", project_bags: bool = True, barrier: str = "auto", ledger: CostLedger | None = None, max_bag_rows: int | None = None, bag: bool = False, reduce: bool = True) -> DataFrame:
     """The full join of q along a bag tree (searched for if none is given); components of a disconnected query are joined apart and multiplied.
 
     bag: multiset semantics, with the number of copies of each answer in __mult."""
@@ -95,7 +95,7 @@ def _connected(q: JoinQuery, h: Hypergraph, tree: BagTree, rels, m, physical, pr
         for n, cols in carried.items():
             home = next(b for b in sorted(tree.chi) if n in tree.lam[b] and h.edges[n] <= tree.chi[b])
             tree.chi[home] = tree.chi[home] | frozenset(cols)
-    run = Runner(q.shared, m, physical, barrier, ledger)
+    run = Runner(q.shared, m, physical, barrier, ledger=ledger)
     bags = materialize_bags(tree, {n: rels[n] for n in h.edges}, run, project, max_rows)
     if any(carried.values()):
         bags = {b: d.select(*[c for c in d.columns if not c.startswith("__m_") or c in tree.chi[b]]) for b, d in bags.items()}

@@ -6,6 +6,7 @@ from __future__ import annotations
 
 import math
 import uuid
+from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -133,19 +134,21 @@ def barrier(dfs: dict[str, DataFrame], how: str = "none") -> dict[str, DataFrame
         return dfs
     if how == "persist":
         return {k: d.persist() for k, d in dfs.items()}
-    out = {}
-    for k, d in dfs.items():
+
+    def write(d: DataFrame) -> DataFrame:
         spark = d.sparkSession
         at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
         if not at:
             at = "file:///tmp/checkpoints"
             spark.sparkContext.setCheckpointDir(at)
         if how == "checkpoint":
-            out[k] = d.checkpoint()
-        elif how == "parquet":
-            path = f"{at.rstrip('/')}/round-{uuid.uuid4().hex}"
-            d.write.parquet(path)
-            out[k] = spark.read.schema(d.schema).parquet(path)
-        else:
+            return d.checkpoint()
+        if how != "parquet":
             raise ValueError(f"no barrier {how!r}")
-    return out
+        path = f"{at.rstrip('/')}/round-{uuid.uuid4().hex}"
+        d.write.parquet(path)
+        return spark.read.schema(d.schema).parquet(path)
+
+    # the relations of a round are written side by side
+    with ThreadPoolExecutor(max_workers=8) as pool:
+        return dict(zip(dfs, pool.map(write, dfs.values()), strict=True)) if dfs else {}

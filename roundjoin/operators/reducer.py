@@ -17,15 +17,28 @@ from . import primitives as P
 class Runner:
     """How operations run: physical ('native', 'grid' with m tuples a reducer, 'hash'), what ends a round, and an optional ledger.
 
+    how: a barrier of primitives.barrier, or 'auto', which writes a round's result only when more than `limit` scans stand in its plan: a reduced relation
+    is used going up, going down and in the join, so plans that are never cut grow with the power of the depth.
+
     A ledger counts every relation, which runs it; without one the plan stays lazy. exact: attributes in which nulls can't be (the shared ones)."""
 
     exact: frozenset[str]
     m: int | None = None
     physical: str = "native"
-    how: str = "none"
+    how: str = "auto"
+    limit: int = 10
     ledger: CostLedger | None = None
     at: int = 0
     _known: dict[int, int] = field(default_factory=dict)
+    _scans: dict[int, tuple[int, DataFrame]] = field(default_factory=dict)
+
+    def scans(self, df: DataFrame) -> int:
+        """Scans in the plan of df since its lineage was cut."""
+        return self._scans.get(id(df), (1, df))[0]
+
+    def made(self, out: DataFrame, *of: DataFrame) -> DataFrame:
+        self._scans[id(out)] = (sum(map(self.scans, of)), out)
+        return out
 
     def loose(self, a: DataFrame, b: DataFrame) -> frozenset[str]:
         return frozenset(P.common(a, b)) - self.exact
@@ -37,16 +50,21 @@ class Runner:
         return self._known[id(df)]
 
     def semi(self, s: DataFrame, r: DataFrame) -> DataFrame:
-        return P.semijoin(s, r, self.m, "grid" if self.physical == "grid" and not self.loose(s, r) else "native", self.loose(s, r))
+        return self.made(P.semijoin(s, r, self.m, "grid" if self.physical == "grid" and not self.loose(s, r) else "native", self.loose(s, r)), s, r)
 
     def join(self, a: DataFrame, b: DataFrame) -> DataFrame:
         loose = self.loose(a, b)
         if self.physical == "grid" and not loose:
-            return P.grid_join([a, b], self.m)
-        return P.natural_join(a, b, loose, hint="shuffle_hash" if self.physical == "hash" else None)
+            return self.made(P.grid_join([a, b], self.m), a, b)
+        return self.made(P.natural_join(a, b, loose, hint="shuffle_hash" if self.physical == "hash" else None), a, b)
+
+    def both(self, a: DataFrame, b: DataFrame) -> DataFrame:
+        return self.made(P.intersect(a, b), a, b)
 
     def settle(self, rels: dict[str, DataFrame]) -> dict[str, DataFrame]:
-        return P.barrier(rels, self.how)
+        if self.how != "auto":
+            return P.barrier(rels, self.how)
+        return rels | P.barrier({k: d for k, d in rels.items() if self.scans(d) > self.limit}, "parquet")
 
     def note(self, rounds: int, op: str, bag: str, sent: int, out: DataFrame) -> None:
         if self.ledger is not None:
@@ -70,7 +88,7 @@ def _up(tree: BagTree, rels: dict[str, DataFrame], run: Runner) -> dict[str, Dat
                 out = run.semi(parent, own(s.group[0]))
                 rounds, sent = semijoin_cost(run.size(parent), run.size(own(s.group[0])), run.m_or_none()) if run.ledger is not None else (1, 0)
             else:
-                out = fold(run.semi, (own(b) for b in s.group), parent) if run.physical != "grid" else fold(P.intersect, [run.semi(parent, own(b)) for b in s.group])
+                out = fold(run.semi, (own(b) for b in s.group), parent) if run.physical != "grid" else fold(run.both, [run.semi(parent, own(b)) for b in s.group])
                 if run.ledger is not None:
                     costs = [semijoin_cost(run.size(parent), run.size(own(b)), run.m_or_none()) for b in s.group]
                     rounds, sent = max(c[0] for c in costs) + len(s.group) - 1, sum(c[1] for c in costs) + 2 * (len(s.group) - 1) * run.size(out)
@@ -171,30 +189,30 @@ def acyclic_join_sequential(tree: BagTree, rels: dict[str, DataFrame], run: Runn
 
 def serial_reducer_join(tree: BagTree, rels: dict[str, DataFrame], exact: frozenset[str]) -> DataFrame:
     """The single-machine form: one lazy plan of left semi and inner joins, without barriers."""
-    return acyclic_join_sequential(tree, rels, Runner(exact))
+    return acyclic_join_sequential(tree, rels, Runner(exact, how="none" if len(tree.chi) <= 4 else "auto"))
 
 
-def hub_semijoin(hub: DataFrame, children: list[DataFrame], exact: frozenset[str]) -> DataFrame:
+def hub_semijoin(hub: DataFrame, children: list[DataFrame], exact: frozenset[str], run: Runner | None = None) -> DataFrame:
     """Hub tuples with a partner in every child: the semijoins run side by side, and their results are intersected in a second round."""
-    run = Runner(exact)
-    return fold(P.intersect, [run.semi(hub, c) for c in children]) if children else hub
+    run = run or Runner(exact)
+    return fold(run.both, [run.semi(hub, c) for c in children]) if children else hub
 
 
-def hub_join(hub: DataFrame, children: list[DataFrame], exact: frozenset[str]) -> DataFrame:
+def hub_join(hub: DataFrame, children: list[DataFrame], exact: frozenset[str], run: Runner | None = None) -> DataFrame:
     """Skew-free join of a hub with all its children in two rounds, whatever their number: each child with the hub, then all results on the hub's attributes."""
     if not children:
         return hub
-    run = Runner(exact, physical="hash")
+    run = run or Runner(exact, physical="hash")
     return fold(run.join, [run.join(hub, c) for c in children])
 
 
 def hub_tree_join(tree: BagTree, rels: dict[str, DataFrame], exact: frozenset[str]) -> DataFrame:
     """Two rounds a level: the tree is reduced up and down, then joined, by hub operations from the deepest level on."""
     depth, kids, value = tree.depths(), tree.children(), dict(rels)
-    order = sorted(tree.chi, key=depth.get, reverse=True)
+    order, run = sorted(tree.chi, key=depth.get, reverse=True), Runner(exact, physical="hash")
     for b in order:
-        value[b] = hub_semijoin(value[b], [value[c] for c in kids[b]], exact)
-    value = _down(tree, value, Runner(exact))
+        value |= run.settle({b: hub_semijoin(value[b], [value[c] for c in kids[b]], exact, run)})
+    value = _down(tree, value, run)
     for b in order:
-        value[b] = hub_join(value[b], [value[c] for c in kids[b]], exact)
+        value |= run.settle({b: hub_join(value[b], [value[c] for c in kids[b]], exact, run)})
     return value[tree.root]

@@ -69,15 +69,15 @@ METHODS: dict[str, Callable[[JoinQuery], DataFrame]] = {
     "native": B.native_join,
     "single": B.single_machine_join,
     "decomp": lambda q: decomposition_join(q),
-    "direct": lambda q: decomposition_join(q, barrier="parquet"),
-    "hash": lambda q: decomposition_join(q, _tree(Hypergraph.from_query(q)), physical="hash", barrier="parquet"),
+    "direct": lambda q: decomposition_join(q),
+    "hash": lambda q: decomposition_join(q, _tree(Hypergraph.from_query(q)), physical="hash"),
     "grid": lambda q: decomposition_join(q, m=20_000, physical="grid"),
-    "logdepth": lambda q: decomposition_join(q, log_depth_rewrite(find_bag_tree(h := Hypergraph.from_query(q)), h).tree, barrier="parquet"),
-    "merge1": lambda q: decomposition_join(q, merge_rewrite(find_bag_tree(h := Hypergraph.from_query(q)), h, 1), barrier="parquet"),
-    "merge1_logdepth": lambda q: decomposition_join(q, merge_log_depth_rewrite(find_bag_tree(h := Hypergraph.from_query(q)), h, 1).tree, barrier="parquet"),
-    "edge_labels": lambda q: decomposition_join(q, log_depth_rewrite_edge_labels(find_bag_tree(h := Hypergraph.from_query(q)), h).tree, barrier="parquet"),
-    "hypertree": lambda q: decomposition_join(q, log_depth_rewrite_hypertree(find_bag_tree(h := Hypergraph.from_query(q)), h).tree, barrier="parquet"),
-    "attributes": lambda q: decomposition_join(q, log_depth_rewrite(find_bag_tree(h := Hypergraph.from_query(q)), h, kind="tree").tree, barrier="parquet"),
+    "logdepth": lambda q: decomposition_join(q, log_depth_rewrite(find_bag_tree(h := Hypergraph.from_query(q)), h).tree),
+    "merge1": lambda q: decomposition_join(q, merge_rewrite(find_bag_tree(h := Hypergraph.from_query(q)), h, 1)),
+    "merge1_logdepth": lambda q: decomposition_join(q, merge_log_depth_rewrite(find_bag_tree(h := Hypergraph.from_query(q)), h, 1).tree),
+    "edge_labels": lambda q: decomposition_join(q, log_depth_rewrite_edge_labels(find_bag_tree(h := Hypergraph.from_query(q)), h).tree),
+    "hypertree": lambda q: decomposition_join(q, log_depth_rewrite_hypertree(find_bag_tree(h := Hypergraph.from_query(q)), h).tree),
+    "attributes": lambda q: decomposition_join(q, log_depth_rewrite(find_bag_tree(h := Hypergraph.from_query(q)), h, kind="tree").tree),
 }
 JOINS = {
     "star_4": "parallel sequential serial hub share contraction native single grid",
