@@ -5,6 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def fn_string(customer: DataFrame) -> DataFrame:
@@ -40,7 +41,7 @@ def fn_json(events: DataFrame) -> DataFrame:
     return events.select("event_id", F.get_json_object("props", "$.page").alias("page"), F.size(F.json_object_keys("props")).cast("long").alias("n_keys"))
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def cell_id_udf(keys: pd.Series, buckets: pd.Series) -> pd.Series:
     """Bucket of an integer key by a multiplicative hash; the Arrow form of the native expression in cell_id."""
     return ((keys * 2654435761) % 4294967296) % buckets
@@ -51,13 +52,13 @@ def cell_id(keys, buckets):
     return F.pmod(F.pmod(keys * F.lit(2654435761), F.lit(4294967296)), buckets)
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def load_histogram_udaf(cells: pd.Series) -> int:
     """Most rows that one cell holds."""
     return int(cells.value_counts().max()) if len(cells) else 0
 
 
-@F.udtf(returnType="cell: int")
+@F.udtf(returnType=T.StructType([T.StructField("cell", T.IntegerType())]))
 class grid_cells_udtf:  # noqa: N801
     """Cells of a tuple that is copied along one axis."""
 
