@@ -6,8 +6,10 @@ Both sides are bags of bigrams, so a unit of w words has exactly w - 1 bigrams a
 
 from __future__ import annotations
 
+import math
 import re
 from collections import Counter
+from fractions import Fraction
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -60,7 +62,8 @@ def template_bigrams(text: str) -> Counter:
 
 def size_range(size: int, threshold: float) -> tuple[int, int]:
     """Bag sizes whose Dice coefficient with a bag of this size can reach the threshold."""
-    return -int(-size * threshold // (2 - threshold)), int(size * (2 - threshold) // threshold)
+    t = Fraction(str(threshold))
+    return math.ceil(size * t / (2 - t)), math.floor(size * (2 - t) / t)
 
 
 def anchors(bag: Counter, threshold: float) -> list[str]:
@@ -68,7 +71,7 @@ def anchors(bag: Counter, threshold: float) -> list[str]:
 
     Such a unit lacks at most a share 1 - t / (2 - t) of the bag, so words that touch more of its bigrams than that can't all be absent. Taken first are
     the words that touch the most bigrams for how common words of their length are."""
-    left = sum(bag.values()) - -(-sum(bag.values()) * threshold // (2 - threshold)) + 1
+    left = sum(bag.values()) - size_range(sum(bag.values()), threshold)[0] + 1
     open_, out = Counter(bag), []
     while left > 0:
         touch = Counter()
