@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .plans.query import Atom, JoinQuery
 from .sources import load_tables
 
-#: name -> ((atom, SELECT of it), ...), and (filter or none): the DuckDB side of each fixture.
+#: name -> [(atom, SELECT of it), ...]: the DuckDB side of each fixture.
 SQL: dict[str, list[tuple[str, str]]] = {}
 
 
@@ -182,8 +182,8 @@ def fixture(spark: SparkSession, sf_dir: str, name: str) -> JoinQuery:
 def oracle(name: str) -> str:
     """DuckDB text of a fixture's join."""
     atoms = SQL[name]
-    connected, left = [atoms[0]], list(atoms[1:])
-    return "WITH " + ", ".join(f"{n} AS ({s})" for n, s in connected + left) + " SELECT * FROM " + _natural(atoms)
+    joined = f"(SELECT * FROM {_natural(atoms[:2])}) CROSS JOIN (SELECT * FROM {_natural(atoms[2:])})" if name == "disconnected" else _natural(atoms)
+    return "WITH " + ", ".join(f"{n} AS ({s})" for n, s in atoms) + " SELECT * FROM " + joined
 
 
 def _natural(atoms: list[tuple[str, str]]) -> str:
