@@ -373,7 +373,8 @@ def _drained(s: SparkSession, stream: DataFrame, mode: str = "append") -> DataFr
 
 def _events(s: SparkSession, d: str) -> DataFrame:
     schema = _t(s, d)["events"].schema
-    return s.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(d)
+    # event times need a zone
+    return s.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(d).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 register("stream_star", "SELECT event_id, user_id, c_nationkey, n_name FROM events JOIN customer ON user_id = c_custkey JOIN nation ON c_nationkey = n_nationkey")(
