@@ -7,8 +7,8 @@ from collections.abc import Callable
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.streaming.query import StreamingQuery
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators.decomposition import decomposition_join
 from ..plans.query import Atom, JoinQuery
@@ -37,32 +37,21 @@ def stream_distinct(stream: DataFrame, ts: str, keys: list[str], watermark: str
     return stream.withWatermark(ts, watermark).dropDuplicatesWithinWatermark(keys)
 
 
-def _path_processor(length: int, key: str, item: str, ts: str):
-    class Paths(StatefulProcessor):
-        """Keeps the last `length` events of a key and emits the path that each new event ends."""
-
-        def init(self, handle: StatefulProcessorHandle) -> None:
-            self.last = handle.getValueState("last", "items array<long>")
-
-        def handleInputRows(self, k, rows, timer_values):  # noqa: N802
-            held = list(self.last.get()[0]) if self.last.exists() else []
-            out = []
-            for x in pd.concat(list(rows)).sort_values([ts, item])[item]:
-                held = [*held, int(x)][-length:]
-                if len(held) == length:
-                    out.append((int(k[0]), held))
-            self.last.update((held,))
-            yield pd.DataFrame(out, columns=[key, "path"])
-
-        def close(self) -> None:
-            pass
+def stream_paths(stream: DataFrame, key: str, item: str, ts: str, length: int, watermark: str = "1 hour") -> DataFrame:
+    """Paths of `length` consecutive events of a key, events of a micro-batch in time order; rows later than the watermark are dropped.
 
-    return Paths()
+    State is the last length - 1 items of each key; any state store does."""
 
+    def run(k, parts, state: GroupState):
+        held = list(state.get[0]) if state.exists else []
+        fresh = pd.concat(list(parts)).sort_values([ts, item])[item].tolist()
+        run_of = [*held, *fresh]
+        state.update((run_of[len(run_of) - length + 1 :] if len(run_of) >= length else run_of,))
+        paths = [run_of[i : i + length] for i in range(len(run_of) - length + 1)]
+        yield pd.DataFrame({key: [k[0]] * len(paths), "path": paths})
 
-def stream_paths(stream: DataFrame, key: str, item: str, ts: str, length: int, watermark: str = "1 hour") -> DataFrame:
-    """Paths of `length` consecutive events of a key, events of a micro-batch in time order; rows later than the watermark are dropped."""
-    return stream.withWatermark(ts, watermark).groupBy(key).transformWithStateInPandas(_path_processor(length, key, item, ts), outputStructType=f"{key} long, path array<long>", outputMode="Append", timeMode="None")
+    rows = stream.withWatermark(ts, watermark).select(F.col(key).cast("long").alias(key), F.col(item).cast("long").alias(item), ts).groupBy(key)
+    return rows.applyInPandasWithState(run, f"{key} long, path array<long>", "items array<long>", "append", GroupStateTimeout.NoTimeout)
 
 
 def batch_paths(df: DataFrame, key: str, item: str, ts: str, length: int, rows: Callable | None = None) -> DataFrame:

@@ -361,12 +361,17 @@ def _udtf(s: SparkSession, d: str) -> DataFrame:
 # streams, each run to its end on the table's files
 
 
-def _drained(s: SparkSession, stream: DataFrame, mode: str = "append") -> DataFrame:
-    """The rows that a finite stream has written when it has read everything, as a table in the shared folder."""
+def _scratch(s: SparkSession, *kinds: str) -> tuple[str, ...]:
+    """Fresh paths in the folder that driver and executors share."""
     import uuid
 
     at = (s.conf.get("spark.checkpoint.dir", None) or s.sparkContext.getCheckpointDir() or "file:///tmp/checkpoints").rstrip("/")
-    out, state = f"{at}/stream-{uuid.uuid4().hex}", f"{at}/state-{uuid.uuid4().hex}"
+    return tuple(f"{at}/{kind}-{uuid.uuid4().hex}" for kind in kinds)
+
+
+def _drained(s: SparkSession, stream: DataFrame, mode: str = "append") -> DataFrame:
+    """The rows that a finite stream has written when it has read everything, as a table in the shared folder."""
+    out, state = _scratch(s, "stream", "state")
     stream.writeStream.format("parquet").outputMode(mode).option("path", out).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
     return s.read.schema(stream.schema).parquet(out)
 
@@ -381,11 +386,37 @@ register("stream_star", "SELECT event_id, user_id, c_nationkey, n_name FROM even
     lambda s, d: _drained(s, ST.stream_star(_events(s, d).select("event_id", "user_id"), [((t := _t(s, d))["customer"].selectExpr("c_custkey AS user_id", "c_nationkey").join(t["nation"].selectExpr("n_nationkey AS c_nationkey", "n_name"), "c_nationkey"), ["user_id"])])).select("event_id", "user_id", "c_nationkey", "n_name")
 )
 register("stream_distinct", "SELECT DISTINCT event_id FROM events")(lambda s, d: _drained(s, ST.stream_distinct(_events(s, d).select("ts", "event_id"), "ts", ["event_id"])).select("event_id"))
-register("stream_windows_tumbling")(lambda s, d: _drained(s, ST.stream_windows(_events(s, d), "ts", ["event_type"])))
-register("stream_windows_sliding")(lambda s, d: _drained(s, ST.stream_windows(_events(s, d), "ts", ["event_type"], "sliding", slide="30 minutes")))
-register("stream_windows_session")(lambda s, d: _drained(s, ST.stream_windows(_events(s, d), "ts", ["user_id"], "session")))
+# windows that end no later than the watermark after the last row, one hour behind it, have been written
+_CLOSED = "(SELECT max(ts) - INTERVAL 1 HOUR FROM events)"
+_HALF_HOURS = "SELECT event_type, time_bucket(INTERVAL 30 MINUTE, ts) AS b FROM events"
+_SESSIONS = """SELECT min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS "end", user_id, count(*) AS n FROM (
+    SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS no FROM (
+        SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, no"""
+
+
+def _windows(s: SparkSession, d: str, *args: str, **options: str) -> DataFrame:
+    return _drained(s, ST.stream_windows(_events(s, d), "ts", *args, **options)).withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("start", "end")})
+
+
+register("stream_windows_tumbling", f'SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR AS "end", event_type, count(*) AS n FROM events GROUP BY ALL HAVING "end" <= {_CLOSED}')(lambda s, d: _windows(s, d, ["event_type"]))
+register("stream_windows_sliding", f'SELECT start, start + INTERVAL 1 HOUR AS "end", event_type, count(*) AS n FROM (SELECT event_type, b AS start FROM ({_HALF_HOURS}) UNION ALL SELECT event_type, b - INTERVAL 30 MINUTE FROM ({_HALF_HOURS})) GROUP BY ALL HAVING "end" <= {_CLOSED}')(
+    lambda s, d: _windows(s, d, ["event_type"], "sliding", slide="30 minutes")
+)
+register("stream_windows_session", f'SELECT * FROM ({_SESSIONS}) WHERE "end" <= {_CLOSED}')(lambda s, d: _windows(s, d, ["user_id"], "session"))
 register("stream_interval_join", "SELECT a.event_id AS e1, b.event_id AS e2 FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE AND a.event_type = 'click' AND b.event_type = 'purchase'")(
     lambda s, d: _drained(s, ST.stream_interval_join(_events(s, d).where("event_type = 'click'").selectExpr("event_id AS e1", "ts AS t1", "user_id AS u1"), _events(s, d).where("event_type = 'purchase'").selectExpr("event_id AS e2", "ts AS t2", "user_id AS u2"), "t1", "t2", "u1", "u2")).select("e1", "e2")
 )
-register("batch_paths", "SELECT user_id, [event_id, b, c] AS path FROM (SELECT user_id, event_id, lead(event_id) OVER w AS b, lead(event_id, 2) OVER w AS c FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) WHERE c IS NOT NULL")(lambda s, d: ST.batch_paths(_t(s, d)["events"], "user_id", "event_id", "ts", 3))
+_PATHS = "SELECT user_id, [event_id, b, c] AS path FROM (SELECT user_id, event_id, lead(event_id) OVER w AS b, lead(event_id, 2) OVER w AS c FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) WHERE c IS NOT NULL"
+register("batch_paths", _PATHS)(lambda s, d: ST.batch_paths(_t(s, d)["events"], "user_id", "event_id", "ts", 3))
+register("stream_paths", _PATHS)(lambda s, d: _drained(s, ST.stream_paths(_events(s, d).select("user_id", "event_id", "ts"), "user_id", "event_id", "ts", 3)))
+
+
+@register("stream_batches", "SELECT DISTINCT event_id, user_id, c_nationkey AS nat, n_regionkey AS reg FROM events JOIN customer ON user_id = c_custkey JOIN nation ON c_nationkey = n_nationkey")
+def _batches(s: SparkSession, d: str) -> DataFrame:
+    t, (out, state) = _t(s, d), _scratch(s, "batches", "state")
+    hub = Atom.of("Hub", t["events"].selectExpr("event_id", "user_id"))
+    arms = [Atom.of("Customer", t["customer"].selectExpr("c_custkey AS user_id", "c_nationkey AS nat")), Atom.of("Nation", t["nation"].selectExpr("n_nationkey AS nat", "n_regionkey AS reg"))]
+    q = JoinQuery([hub, *arms])
+    ST.stream_batches(_events(s, d).select("event_id", "user_id"), q, "Hub", out, state).awaitTermination()
+    return s.read.parquet(out).select(*q.attributes)
 register("window_tumbling_batch", "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")(lambda s, d: _t(s, d)["events"].groupBy(F.window("ts", "1 hour").alias("w"), "event_type").agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "event_type", "n"))

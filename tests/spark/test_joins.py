@@ -15,7 +15,7 @@ from roundjoin.plans.query import Atom, JoinQuery
 from roundjoin.plans.rewrite import log_depth_rewrite
 from roundjoin.sources import TABLES, read_source, write_sink
 
-CHECKED = "star4_parallel star4_serial star4_hub star4_share tri6_decomp cycle4_decomp five_rel_decomp conv_chain_parallel disconnected_decomp bag_multiplicity null_keys semijoin_grid staged_distinct hybrid_join grid_join_3 count_join_tri6 aggregate_join_star4 op_cube op_asof_join op_range_join op_topk tree_stats logdepth_trace_tri21".split()
+CHECKED = "stream_paths stream_batches stream_windows_tumbling stream_windows_sliding stream_windows_session star4_parallel star4_serial star4_hub star4_share tri6_decomp cycle4_decomp five_rel_decomp conv_chain_parallel disconnected_decomp bag_multiplicity null_keys semijoin_grid staged_distinct hybrid_join grid_join_3 count_join_tri6 aggregate_join_star4 op_cube op_asof_join op_range_join op_topk tree_stats logdepth_trace_tri21".split()
 
 
 def norm(v):
