@@ -32,7 +32,7 @@ RULES = (
     Rule("assign", 1, _KEYWORD + r"[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", 2, 6, _KEYWORD + r"[\"']?\x20*[:=]", True),
     Rule("access", 1, r"AKIA[A-Z0-9]{16,}", 0, 20, r"AKIA", True),
     Rule("hex", 1, r"[0-9a-f]{24,}", 0, 24, r"[0-9a-f]{24}", True),
-    Rule("pem", 1, r"-----BEGIN [A-Z ]*PRIVATE KEY-----", 0, 1, r"-----BEGIN ", False),
+    Rule("pem", 2, r"-----BEGIN [A-Z ]*PRIVATE KEY-----(?:[A-Za-z0-9+/=:,\s-]*?-----END [A-Z ]*PRIVATE KEY-----)?", 0, 1, r"-----BEGIN ", False),
     Rule("jwt", 1, r"eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 0, 1, r"eyJ", False),
     Rule("forge", 1, r"gh[pousr]_[A-Za-z0-9]{36,}", 0, 1, r"gh[pousr]_", False),
 )

@@ -121,7 +121,7 @@ def judge_urls(pages: DataFrame, rules: dict[str, str] | None = None, blocked: t
 
         def words_of(h: str, p: str) -> list[str]:
             names = [x for x in re.split(r"[^a-z]+", h) if x not in _PLAIN] + [x for x in re.split(r"[^a-z]+", p.lower()) if x not in _PLAIN]
-            return [w for x in names if x for w in ([x] if len(x) > 200 else split(x))]
+            return [w for x in names if x for w in split(x)]
 
         for b in batches:
             words = [words_of(h, p) for h, p in zip(b.column("host").to_pylist(), b.column("path").to_pylist(), strict=True)]

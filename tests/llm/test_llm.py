@@ -140,6 +140,13 @@ def test_secrets(spark):
     assert clean[0].text == "[SECRET]\" é" and clean[0].n_chars == len(clean[0].text) and clean[5].text == "clean" and clean[3].text is None and len(clean) == 8
 
 
+def test_private_key_goes_whole(spark):
+    key = "-----BEGIN RSA PRIVATE KEY-----\nProc-Type: 4,ENCRYPTED\n\n" + "MIIEow+/=\n" * 2000 + "-----END RSA PRIVATE KEY-----"
+    texts = ["before " + key + " after", "-----BEGIN PRIVATE KEY----- and prose that goes on", key + "\n" + key]
+    got = {r.doc_id: r.text for r in secrets.redact_secrets(docs_of(spark, texts)).collect()}
+    assert got == {0: "before [SECRET] after", 1: "[SECRET] and prose that goes on", 2: "[SECRET]\n[SECRET]"}
+
+
 def test_mixing(spark):
     rng = random.Random(3)
     texts = [" ".join("x" * rng.randint(1, 60)) for _ in range(400)] + [None, ""]
@@ -164,6 +171,12 @@ def test_urls(spark):
     assert [(got[i].host, got[i].path) for i in (2, 7, 8, 9)] == [("example.com", "/de/"), ("", ""), ("", ""), ("h", "")]
 
 
+def test_long_names_are_split(spark):
+    pages = spark.createDataFrame([(1, "http://" + "cheappills" * 500 + ".com/", "cheap pills"), (2, "http://h/" + "q" * 50_000, None)], "page_id long, url string, html string")
+    got = {r.page_id: r for r in url_filter.judge_urls(pages).collect()}
+    assert got[1].words == " ".join(["cheap pills"] * 500) and got[1].verdict == "block" and got[2].verdict == "allow"
+
+
 def test_warc(spark):
     html = ["<p>é</p>", "same", "same", None, "", "a\r\n\r\nWARC/1.1\r\nb", "same", "x" * 200_000]
     pages = spark.createDataFrame([(10 - i, f"http://h/{i}\n", h) for i, h in enumerate(html)] + [(10**12, None, "y")], "page_id long, url string, html string")
