@@ -398,7 +398,7 @@ def _windows(s: SparkSession, d: str, *args: str, **options: str) -> DataFrame:
     return _drained(s, ST.stream_windows(_events(s, d), "ts", *args, **options)).withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("start", "end")})
 
 
-register("stream_windows_tumbling", f'SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR AS "end", event_type, count(*) AS n FROM events GROUP BY ALL HAVING "end" <= {_CLOSED}')(lambda s, d: _windows(s, d, ["event_type"]))
+register("stream_windows_tumbling", f'SELECT start, start + INTERVAL 1 HOUR AS "end", event_type, count(*) AS n FROM (SELECT event_type, time_bucket(INTERVAL 1 HOUR, ts) AS start FROM events) GROUP BY ALL HAVING "end" <= {_CLOSED}')(lambda s, d: _windows(s, d, ["event_type"]))
 register("stream_windows_sliding", f'SELECT start, start + INTERVAL 1 HOUR AS "end", event_type, count(*) AS n FROM (SELECT event_type, b AS start FROM ({_HALF_HOURS}) UNION ALL SELECT event_type, b - INTERVAL 30 MINUTE FROM ({_HALF_HOURS})) GROUP BY ALL HAVING "end" <= {_CLOSED}')(
     lambda s, d: _windows(s, d, ["event_type"], "sliding", slide="30 minutes")
 )
