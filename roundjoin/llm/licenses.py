@@ -1,7 +1,7 @@
 """Licence scans: normalised text compared to licence templates by the Dice coefficient over word bigrams; size bounds prune candidate templates.
 DataFrame functions only, without a shuffle: what is broadcast are the templates, which are code.
 
-Both sides are bags of bigrams, so a unit of w words has exactly w - 1 bigrams and its word count alone says which templates can reach the threshold.
+Both sides are bags of bigrams, so a stretch of w words has exactly w - 1 bigrams and its word count alone says which templates can reach the threshold.
 """
 
 from __future__ import annotations
@@ -9,6 +9,7 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from collections.abc import Callable
 from fractions import Fraction
 
 from pyspark.sql import Column, DataFrame
@@ -67,9 +68,9 @@ def size_range(size: int, threshold: float) -> tuple[int, int]:
 
 
 def anchors(bag: Counter, threshold: float) -> list[str]:
-    """Words of which every unit that reaches the threshold holds one.
+    """Words of which every stretch that reaches the threshold holds one.
 
-    Such a unit lacks at most a share 1 - t / (2 - t) of the bag, so words that touch more of its bigrams than that can't all be absent. Taken first are
+    Such a stretch lacks at most a share 1 - t / (2 - t) of the bag, so words that touch more of its bigrams than that can't all be absent. Taken first are
     the words that touch the most bigrams for how common words of their length are."""
     left = sum(bag.values()) - size_range(sum(bag.values()), threshold)[0] + 1
     open_, out = Counter(bag), []
@@ -85,53 +86,85 @@ def anchors(bag: Counter, threshold: float) -> list[str]:
     return out
 
 
-def _dice(bigrams: Column, bag: Counter) -> Column:
-    """Dice coefficient of a unit's bigrams (array of strings) and a template's bag."""
-    single = [" ".join(b) for b in bag]
-    counts = {n: [" ".join(b) for b, m in bag.items() if m >= n] for n in range(1, max(bag.values()) + 1)}
-    # the k-th copy of a bigram is an element of its own, so that the bag intersection is one of sets for bigrams that occur once
-    shared = F.size(F.array_intersect(bigrams, F.array(*map(F.lit, single))))
-    for n in range(2, max(counts) + 1):
-        for b in counts[n]:
-            shared = shared + F.when(F.size(F.array_remove(bigrams, b)) <= F.size(bigrams) - n, 1).otherwise(0)
-    return 2.0 * shared / (F.size(bigrams) + F.lit(sum(bag.values())))
+def _matches(hits: Column, bag: Counter, threshold: float) -> Column:
+    """Stretches of a text that reach the threshold with a template's bag, as structs of minus the Dice coefficient, first and last bigram.
+
+    hits: the text's bigrams of any template (b) with their places (i), in order. A stretch is best cut to begin and end with bigrams of the bag, so only those
+    are tried, the best end for each begin. A bigram in the bag n times counts in a stretch unless n of its copies stand before it there."""
+    size = sum(bag.values())
+    lo, hi = size_range(size, threshold)
+    several = {n: [" ".join(b) for b, m in bag.items() if m == n] for n in sorted(set(bag.values()) - {1})}
+
+    def copies(b: Column) -> Column:
+        out = F.lit(1)
+        for n, those in several.items():
+            out = F.when(b.isin(those), n).otherwise(out)
+        return out
+
+    def placed(h: Column) -> Column:
+        """Places, each with that of the copy that must stand before a stretch for this one to count in it."""
+        same = lambda x, k: F.filter(F.slice(h, F.greatest(k - hi, F.lit(0)) + 1, F.least(k, F.lit(hi))), lambda y: y["b"] == x["b"])
+        return F.transform(h, lambda x, k: F.struct(x["i"].alias("i"), F.coalesce(F.try_element_at(same(x, k), -copies(x["b"]))["i"], F.lit(-1)).alias("after")))
+
+    def stretches(q: Column) -> Column:
+        def best(x: Column, k: Column) -> Column:
+            counted = F.filter(F.slice(q, k + 1, F.lit(hi)), lambda y: (y["i"] < x["i"] + hi) & (y["after"] < x["i"]))
+            ends = F.transform(counted, lambda y, c: F.struct((-2.0 * (c + 1) / (y["i"] - x["i"] + 1 + size)).alias("minus"), x["i"].alias("first"), y["i"].alias("last")))
+            return F.when(dense(q, x, k), F.array_min(ends))
+
+        return F.filter(F.transform(q, best), lambda z: z["minus"] <= -threshold)
+
+    # a stretch that reaches the threshold has lo bigrams of the bag within hi
+    dense = lambda h, x, k: F.coalesce(F.try_element_at(h, k + lo)["i"] < x["i"] + hi, F.lit(False))
+    none = F.array().cast("array<struct<minus:double,first:int,last:int>>")
+    some = lambda h: (F.size(h) >= lo) & F.exists(F.transform(h, lambda x, k: dense(h, x, k)), lambda z: z)
+    own = F.filter(hits, lambda x: x["b"].isin([" ".join(b) for b in bag]))
+    return _with(own, lambda h: F.when(some(h), _with(placed(h), stretches)).otherwise(none))
+
+
+def _with(value: Column, use: Callable[[Column], Column]) -> Column:
+    """use(value), with the value computed once."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
+def _apart(found: Column) -> Column:
+    """How many stretches, taken in order, lie behind the one taken before."""
+    start = F.struct(F.lit(0).alias("n"), F.lit(-1).alias("last"))
+    return F.aggregate(found, start, lambda a, z: F.when(z["first"] > a["last"], F.struct((a["n"] + 1).alias("n"), z["last"].alias("last"))).otherwise(a), lambda a: a["n"])
 
 
 def scan_licenses(docs: DataFrame, templates: tuple[tuple[str, str, str], ...] = TEMPLATES, threshold: float = THRESHOLD) -> DataFrame:
     """Per row of docs: doc_id, licenses (those found, by name, joined by commas), best_license, best_dice, n_matches.
 
-    Compared are the whole text, its paragraphs (between empty lines) and its lines, each distinct unit once, with every template whose size
-    bound it meets. Null, empty and one-word texts match nothing (best_license and best_dice are null, licenses empty); ties go to the first name; repeated rows
-    have a row each; a null doc_id stays; an empty table gives no rows; other columns are ignored."""
-    bags = [(name, form, template_bigrams(text)) for name, form, text in templates]
-    ranges = [size_range(sum(bag.values()), threshold) for _, _, bag in bags]
-    rows = pick(docs, "doc_id", "text").select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    probes = sorted({w for _, _, bag in bags for w in anchors(bag, threshold)})
+    Compared with every template are all stretches of consecutive words of the whole text, over borders of lines and paragraphs, whose length its size bound
+    admits. n_matches counts for each template the stretches that match without overlap. Null, empty and one-word texts match nothing (best_license and
+    best_dice are null, licenses empty); ties go to the first name; repeated rows have a row each; a null doc_id stays; an empty table gives no rows; other
+    columns are ignored."""
+    bags = [(name, bag) for name, _, text in templates if (bag := template_bigrams(text))]
+    rows = pick(docs, "doc_id", "text").select("doc_id", F.lower(F.coalesce(F.col("text").cast("string"), F.lit(""))).alias("text"))
+    probes = sorted({w for _, bag in bags for w in anchors(bag, threshold)})
     probes = [w for w in probes if not any(v != w and v in w for v in probes)]
-    hopeful = lambda s: _any([s.contains(w) for w in probes]) if probes else F.lit(False)
-    plain = F.regexp_replace(F.lower("text"), r"[^\p{L}\p{N}\n]+", " ")
-    one = lambda s: F.trim(F.regexp_replace(s, r"\s+", " "))
-    units = F.array_distinct(F.concat(F.split("plain", "\n"), F.when(F.col("plain").rlike(r"\n\s*\n"), F.split("plain", r"\n\s*\n")).otherwise(F.array().cast("array<string>")), F.array(F.col("plain"))))
-    size = lambda s: F.length(s) - F.length(F.replace(s, F.lit(" ")))
-    fits = lambda n: F.lit(False) if not ranges else _any([(n >= lo) & (n <= hi) for lo, hi in ranges])
-    # words in a unit of single spaces: one more than spaces; untrimmed units have up to two spaces more
-    near = lambda s: F.lit(False) if not ranges else _any([(size(s) >= lo) & (size(s) <= hi + 2) for lo, hi in ranges])
-    short = F.filter("units", lambda s: (near(s) | s.contains("\n")) & hopeful(s))
-    clean = F.array_distinct(F.filter(F.transform(short, one), lambda s: fits(size(s))))
-    words = F.transform(clean, lambda s: F.split(s, " "))
-    pairs = F.transform(words, lambda w: F.zip_with(F.slice(w, F.lit(1), F.size(w) - 1), F.slice(w, F.lit(2), F.size(w) - 1), lambda a, b: F.concat_ws(" ", a, b)))
-
-    def scores(p: Column) -> Column:
-        each = [F.when((F.size(p) >= lo) & (F.size(p) <= hi), F.struct((-_dice(p, bag)).alias("minus"), F.lit(name).alias("name"))) for (name, _, bag), (lo, hi) in zip(bags, ranges, strict=True)]
-        return F.filter(F.array(*each), lambda x: x.isNotNull() & (x["minus"] <= -threshold))
-
-    found = F.flatten(F.transform("pairs", scores))
-    none = F.array().cast("array<array<string>>")
-    some = rows.withColumn("hopeful", hopeful(F.lower("text"))).select("doc_id", "hopeful", F.when(F.col("hopeful"), plain).alias("plain")).withColumn("units", units)
-    done = some.select("doc_id", F.coalesce(pairs, none).alias("pairs")).select("doc_id", F.when(F.size("pairs") > 0, F.array_sort(found)).otherwise(F.array().cast("array<struct<minus:double,name:string>>")).alias("found"))
+    hopeful = _any([F.col("text").contains(w) for w in probes]) if probes else F.lit(False)
+    known = sorted({" ".join(b) for _, bag in bags for b in bag})
+    words = rows.select("doc_id", F.when(hopeful, F.split("text", r"[^\p{L}\p{N}]+")).alias("w"))
+    pairs = F.zip_with("w", F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(0))), lambda a, b: F.concat_ws(" ", a, b))
+    hits = F.filter(F.transform(pairs, lambda b, i: F.when(b.isin(known), F.struct(i.alias("i"), b.alias("b")))), lambda x: x.isNotNull())
+    least = min((size_range(sum(bag.values()), threshold)[0] for _, bag in bags), default=1)
+    placed = words.select("doc_id", hits.alias("hits")).select("doc_id", F.when(F.size("hits") >= least, F.col("hits")).alias("hits"))
+
+    def summed(name: str) -> Callable[[Column], Column]:
+        return lambda z: F.when(F.size(z) > 0, F.struct(F.array_min(F.transform(z, lambda y: y["minus"])).alias("minus"), F.lit(name).alias("name"), _apart(z).alias("n")))
+
+    def scores(hits: Column) -> Column:
+        each = [_with(_matches(hits, bag, threshold), summed(name)) for name, bag in bags]
+        return F.array_sort(F.filter(F.array(*each), lambda x: x.isNotNull()))
+
+    none = F.array().cast("array<struct<minus:double,name:string,n:int>>")
+    done = placed.select("doc_id", (F.when(F.col("hits").isNotNull(), scores(F.col("hits"))).otherwise(none) if bags else none).alias("found"))
     best = F.try_element_at(F.col("found"), F.lit(1))
     names = F.array_sort(F.array_distinct(F.transform("found", lambda x: x["name"])))
-    return done.select("doc_id", F.concat_ws(",", names).alias("licenses"), best["name"].alias("best_license"), (-best["minus"]).alias("best_dice"), F.size("found").alias("n_matches"))
+    total = F.aggregate("found", F.lit(0), lambda a, x: a + x["n"])
+    return done.select("doc_id", F.concat_ws(",", names).alias("licenses"), best["name"].alias("best_license"), (-best["minus"]).alias("best_dice"), total.alias("n_matches"))
 
 
 def _any(tests: list[Column]) -> Column:

@@ -224,6 +224,41 @@ def test_licenses(spark):
     assert sum(bag.values()) == 3 and licenses.size_range(3, 0.8) == (2, 4)
 
 
+def best_stretch(text, template):
+    """Dice coefficient of the best run of words, by brute force."""
+    words, bag = re.findall(r"[^\W_]+", text.lower()), licenses.template_bigrams(template)
+    pairs, size = list(zip(words, words[1:], strict=False)), sum(bag.values())
+    best = 0.0
+    for i in range(len(pairs)):
+        run = Counter()
+        for j in range(i, min(len(pairs), i + 2 * size)):
+            run[pairs[j]] += 1
+            best = max(best, 2 * sum((run & bag).values()) / (j - i + 1 + size))
+    return best
+
+
+def test_licenses_inside_longer_texts(spark):
+    rng = random.Random(6)
+    gpl = next(t for n, f, t in licenses.TEMPLATES if (n, f) == ("GPL-3.0", "header"))
+    one, two = gpl.split("This program is distributed")
+    header = f"# Copyright someone\n#\n# {one}\n#\n# This program is distributed{two}\n#\n"
+    code = "\n".join(" ".join(rng.choices(WORDS, k=12)) for _ in range(200))
+    texts = [code + "\n\n" + header + "\n" + code, code.replace("\n", " ") + " see the notes. Released under the MIT License. " + code.replace("\n", " ")]
+    texts += [code + "\n\n" + licenses._MIT_TERMS.replace("to deal", "\n\nto deal") + "\n\n" + licenses._AS_IS + "\n\n" + code, "Released under the MIT License. " * 3 + code]
+    got = [tuple(r)[1:] for r in licenses.scan_licenses(docs_of(spark, texts)).orderBy("doc_id").collect()]
+    assert got == [("GPL-3.0", "GPL-3.0", 1.0, 1), ("MIT", "MIT", 1.0, 2), ("MIT", "MIT", 1.0, 2), ("MIT", "MIT", 1.0, 6)]  # "under the MIT License" matches both notices
+    words = [*re.findall(r"\w+", gpl.lower()), "x", "y"]
+    made = []
+    for _ in range(40):
+        w = gpl.split() * rng.randint(1, 2)
+        for _ in range(rng.randint(5, 24)):
+            w[rng.randrange(len(w))] = rng.choice(words)
+        made.append(" ".join(rng.choices(words, k=rng.randint(0, 40))) + " " + rng.choice((" ", "\n\n")).join(w) + " and so on")
+    for r in licenses.scan_licenses(docs_of(spark, made), (("GPL-3.0", "header", gpl),)).collect():
+        want = best_stretch(made[r.doc_id], gpl)
+        assert r.best_dice == (pytest.approx(want) if want >= 0.8 else None)
+
+
 def test_pipeline(spark, small):
     import corpus_pipeline
 
