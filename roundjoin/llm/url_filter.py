@@ -4,17 +4,15 @@ of host and path."""
 from __future__ import annotations
 
 import math
-import re
 from collections import Counter
 from dataclasses import dataclass
-from functools import lru_cache
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import pick
+from .common import cut, pick
 
 #: Rules (host, path) of each verdict.
 RULES = {"net/": "block", "example.net/en/": "allow", "example.com/de/": "block", "org/fr/": "allow"}
@@ -31,8 +29,8 @@ ALLOWED_NAMES = (
     "photo gallery art", "football club news", "theatre and film", "child care parents", "nature park birds", "law courts archive", "engineering blog posts", "the daily times", "community forum help", "bank and insurance",
     "market prices today", "job training center", "family doctor advice",
 )
-#: Production values: words of the corpus that the segmenter knows (the most frequent), and the longest word it forms.
-VOCABULARY, LONGEST_WORD = 20_000, 20
+#: Production value: the longest word that the segmenter forms.
+LONGEST_WORD = 20
 _PLAIN = frozenset(("www", "m", "com", "org", "net", "example", "html", "http", "https"))
 
 
@@ -44,8 +42,9 @@ class Segmenter:
     unknown: float
 
     @classmethod
-    def of(cls, counts: dict[str, int]) -> Segmenter:
-        total = sum(counts.values()) + 1
+    def of(cls, counts: dict[str, int], total: int | None = None) -> Segmenter:
+        """counts may hold only the words that are in the names to split if total is that of all."""
+        total = (sum(counts.values()) if total is None else total) + 1
         return cls({w: math.log(total / n) for w, n in counts.items()}, math.log(total))
 
     def split(self, name: str) -> list[str]:
@@ -76,10 +75,37 @@ class NaiveBayes:
         return sum(self.weights.get(w, 0.0) for w in words)
 
 
-def corpus_words(pages: DataFrame, size: int = VOCABULARY) -> dict[str, int]:
-    """The `size` most frequent words (ties by code point) of all page texts; that many rows at most come to the driver."""
+def corpus_words(pages: DataFrame) -> DataFrame:
+    """w, n: how often each word stands in all page texts."""
     words = pick(pages, "html").select(F.explode(F.regexp_extract_all(F.regexp_replace(F.lower(F.col("html").cast("string")), "<[^>]*>", " "), F.lit("[a-z]{2,20}"), F.lit(0))).alias("w"))
-    return {r.w: r.n for r in words.groupBy("w").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "w").limit(size).collect()}
+    return words.groupBy("w").agg(F.count("*").alias("n"))
+
+
+def split_names(names: DataFrame, counts: DataFrame, known: Counter, total: int) -> DataFrame:
+    """name, split (its words) for each distinct name. counts: w, n, all words of the corpus; known: counts that are added to them; total: of all.
+
+    A name meets the counted words in it by a join on its substrings, so tasks hold the words of single names only."""
+    names = cut(names.distinct().select("name", F.monotonically_increasing_id().alias("id")))
+
+    def substrings(batches):
+        for b in batches:
+            for i, name in zip(b.column("id").to_pylist(), b.column("name").to_pylist(), strict=True):
+                subs = list({name[at:end] for at in range(len(name)) for end in range(at + 2, min(at + LONGEST_WORD, len(name)) + 1)})
+                for k in range(0, len(subs), 10_000):
+                    part = subs[k : k + 10_000]
+                    yield pa.record_batch([pa.array([i] * len(part), pa.int64()), pa.array(part, pa.string())], names=["id", "w"])
+
+    def run(batches):
+        for b in batches:
+            out = []
+            for name, found in zip(b.column("name").to_pylist(), b.column("found").to_pylist(), strict=True):
+                own = Counter({x["w"]: x["n"] for x in found or ()})
+                own.update({w: n for w, n in known.items() if w in name})
+                out.append(Segmenter.of(own, total).split(name))
+            yield pa.record_batch([b.column("name"), pa.array(out, pa.list_(pa.string()))], names=["name", "split"])
+
+    found = names.mapInArrow(substrings, "id long, w string").join(counts, "w").groupBy("id").agg(F.collect_list(F.struct("w", "n")).alias("found"))
+    return names.join(found, "id", "left").select("name", "found").mapInArrow(run, "name string, split array<string>")
 
 
 def url_parts(url: Column) -> tuple[Column, Column]:
@@ -101,34 +127,33 @@ def match_rule(host: Column, path: Column, rules: dict[str, str]) -> Column:
     return out
 
 
-def judge_urls(pages: DataFrame, rules: dict[str, str] | None = None, blocked: tuple[str, ...] = BLOCKED_NAMES, allowed: tuple[str, ...] = ALLOWED_NAMES, vocabulary: int = VOCABULARY) -> DataFrame:
+def judge_urls(pages: DataFrame, rules: dict[str, str] | None = None, blocked: tuple[str, ...] = BLOCKED_NAMES, allowed: tuple[str, ...] = ALLOWED_NAMES) -> DataFrame:
     """page_id, host, path, rule, verdict, words (of host and path), score (over 0: like the blocked names) for every row of pages.
 
     Null urls and those without :// have an empty host and path, no words, score 0 and verdict allow; nulls in html add no words; repeated rows are
-    judged each; a null page_id stays; an empty table gives no rows; other columns are ignored."""
+    judged each; a null page_id stays; an empty table gives no rows; other columns are ignored. One row of totals comes to the driver."""
     rules = RULES if rules is None else rules
-    counts = Counter(corpus_words(pages, vocabulary))
-    known = Counter(w for x in (*blocked, *allowed) for w in x.split())
-    weight = max(1, max(counts.values(), default=1) // 1000)
-    model = Segmenter.of(counts + Counter({w: n * weight for w, n in known.items()}))
+    counts = cut(corpus_words(pages))
+    sums = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("total"), F.coalesce(F.max("n"), F.lit(1)).alias("most")).first()
+    weight = max(1, sums.most // 1000)
+    known = Counter({w: n * weight for w, n in Counter(w for x in (*blocked, *allowed) for w in x.split()).items()})
     bayes = NaiveBayes.of([x.split() for x in blocked], [x.split() for x in allowed])
     host, path = url_parts(F.col("url"))
     rows = pick(pages, "page_id", "url").select("page_id", host.alias("host"), path.alias("path"))
-    rows = rows.withColumn("rule", match_rule(F.col("host"), F.col("path"), rules))
+    rows = cut(rows.withColumn("rule", match_rule(F.col("host"), F.col("path"), rules)).withColumn("id", F.monotonically_increasing_id()))
+    parts = F.filter(F.concat(F.split("host", "[^a-z]+"), F.split(F.lower("path"), "[^a-z]+")), lambda x: (x != "") & ~x.isin(*_PLAIN))
+    names = rows.select("id", F.posexplode(parts).alias("at", "name"))
+    parted = names.join(split_names(names.select("name"), counts, known, sums.total + sum(known.values())), "name")
+    ordered = F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("at", "split"))), lambda x: x["split"]))
+    words = parted.groupBy("id").agg(F.array_join(ordered, " ").alias("words"))
+    rows = rows.join(words, "id", "left").select("page_id", "host", "path", "rule", F.coalesce("words", F.lit("")).alias("words"))
 
     def run(batches):
-        split = lru_cache(100_000)(model.split)
-
-        def words_of(h: str, p: str) -> list[str]:
-            names = [x for x in re.split(r"[^a-z]+", h) if x not in _PLAIN] + [x for x in re.split(r"[^a-z]+", p.lower()) if x not in _PLAIN]
-            return [w for x in names if x for w in split(x)]
-
         for b in batches:
-            words = [words_of(h, p) for h, p in zip(b.column("host").to_pylist(), b.column("path").to_pylist(), strict=True)]
-            scores = [bayes.score(x) for x in words]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array([" ".join(x) for x in words], pa.string()), pa.array(scores, pa.float64())], names=[*b.schema.names, "words", "score"])
+            scores = [bayes.score(x.split()) for x in b.column("words").to_pylist()]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scores, pa.float64())], names=[*b.schema.names, "score"])
 
-    scored = rows.mapInArrow(run, T.StructType([*rows.schema, T.StructField("words", T.StringType()), T.StructField("score", T.DoubleType())]))
+    scored = rows.mapInArrow(run, T.StructType([*rows.schema, T.StructField("score", T.DoubleType())]))
     by_rule = F.lit(None).cast("string")
     for rule, verdict in rules.items():
         by_rule = F.when(F.col("rule") == rule, verdict).otherwise(by_rule)

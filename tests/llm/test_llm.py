@@ -177,6 +177,20 @@ def test_long_names_are_split(spark):
     assert got[1].words == " ".join(["cheap pills"] * 500) and got[1].verdict == "block" and got[2].verdict == "allow"
 
 
+def test_all_corpus_words_are_known(spark):
+    common_words = " ".join("".join(chr(97 + k // 26**i % 26) for i in range(4)) + "q" for k in range(20_500))
+    urls = ["http://a.example.com/xenophobe", "http://casinova.example.com/", "http://pillsbury.example.com/", "http://unheard.example.com/casinova"]
+    pages = spark.createDataFrame([(i, u, (common_words + " ") * 8 if i == 0 else "xenophobe casinova pillsbury " * 2) for i, u in enumerate(urls)], "page_id long, url string, html string")
+    got = {r.page_id: r for r in url_filter.judge_urls(pages, rules={}).collect()}
+    assert got[0].words.endswith("xenophobe") and [(got[i].words, got[i].verdict) for i in (1, 2)] == [("casinova", "allow"), ("pillsbury", "allow")]
+    html = [r.html for r in pages.collect()]
+    counts = Counter(w for h in html for w in re.findall("[a-z]{2,20}", h))
+    known = Counter(w for x in (*url_filter.BLOCKED_NAMES, *url_filter.ALLOWED_NAMES) for w in x.split())
+    model = url_filter.Segmenter.of(counts + known)
+    for i, names in enumerate((["a", "xenophobe"], ["casinova"], ["pillsbury"], ["unheard", "casinova"])):
+        assert got[i].words == " ".join(w for x in names for w in model.split(x))
+
+
 def test_warc(spark):
     html = ["<p>é</p>", "same", "same", None, "", "a\r\n\r\nWARC/1.1\r\nb", "same", "x" * 200_000]
     pages = spark.createDataFrame([(10 - i, f"http://h/{i}\n", h) for i, h in enumerate(html)] + [(10**12, None, "y")], "page_id long, url string, html string")
