@@ -18,12 +18,16 @@ from .common import pick
 
 #: Elements by their role in parsing.
 VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
-UNSEEN = frozenset("script style noscript template head title svg canvas iframe object select textarea button option datalist math".split())
+UNSEEN = frozenset("script style noscript template head title svg canvas iframe object select textarea button option datalist".split())
+#: Elements that may stand in a head; any other start tag ends it.
+IN_HEAD = frozenset("html head base basefont bgsound link meta noframes noscript script style template title".split())
 RAW = frozenset("script style textarea title noscript iframe template".split())
 BLOCK = frozenset(
     "address article aside blockquote body br center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol p pre "
     "section summary table tbody td tfoot th thead tr ul".split()
 )
+#: Start tags that end an open element of their own name.
+ENDS_OWN = frozenset(("button", "select", "option"))
 CLOSES_P = BLOCK - {"br", "body", "html", "dd", "dt", "li", "td", "th", "tr", "tbody", "thead", "tfoot"}
 #: Ancestors and words of class and id attributes that are features.
 TAGS = ("nav", "header", "footer", "aside", "form", "article", "main", "section", "ul", "ol", "li", "table", "h1", "h2", "h3", "p", "a", "blockquote", "pre", "figcaption", "dialog", "menu", "label")
@@ -70,9 +74,10 @@ def _marks(name: str, attrs: str) -> frozenset[str]:
 
 def leaf_blocks(page: str) -> list[Leaf]:
     """The leaf blocks of a whole page in page order: text between the borders of block elements, character references decoded, white space runs as one
-    space. Unclosed and misnested elements are closed where HTML's rules for p, li and table cells, or the end of an outer element, close them."""
+    space. Unclosed and misnested elements are closed where HTML's rules for head, p, li, button, select, option and table cells, or the end of an outer
+    element, close them. Elements that hide their text but lack an end tag, such as a button, hide it up to the next block only."""
     out: list[Leaf] = []
-    stack: list[tuple[str, frozenset[str], bool]] = []
+    stack: list[tuple[str, frozenset[str], bool, bool]] = []
     parts: list[str] = []
     linked = [0]
 
@@ -86,6 +91,8 @@ def leaf_blocks(page: str) -> list[Leaf]:
             linked[0] = 0
 
     def say(raw: str) -> None:
+        if stack and stack[-1][0] == "head" and raw.strip():
+            stack.pop()
         if raw and not any(x[2] for x in stack):
             text = html_lib.unescape(raw) if "&" in raw else raw
             parts.append(text)
@@ -125,6 +132,23 @@ def leaf_blocks(page: str) -> list[Leaf]:
             elif name == "p":
                 cut()
             continue
+        if name not in IN_HEAD:
+            for k, x in enumerate(stack):
+                if x[0] == "head":
+                    del stack[k:]
+                    break
+        if name in BLOCK and name not in ("br", "hr"):
+            for k, x in enumerate(stack):
+                if x[3]:
+                    del stack[k:]
+                    break
+        if name in ENDS_OWN:
+            for k in range(len(stack) - 1, -1, -1):
+                if stack[k][0] == name:
+                    del stack[k:]
+                    break
+                if stack[k][0] in ("table", "td", "th", "object"):
+                    break
         if name in BLOCK:
             cut()
             if name in CLOSES_P:
@@ -149,7 +173,12 @@ def leaf_blocks(page: str) -> list[Leaf]:
             continue
         if (m[3] or "").rstrip().endswith("/") and name not in BLOCK:
             continue
-        stack.append((name, _marks(name, m[3] or ""), name in UNSEEN))
+        unseen = name in UNSEEN
+        if unseen and name != "head":
+            after = re.compile(rf"<(/?){re.escape(name)}(?![^\s/>])", re.I).search(page, at)
+            stack.append((name, _marks(name, m[3] or ""), True, after is None or not after[1]))
+        else:
+            stack.append((name, _marks(name, m[3] or ""), unseen, False))
     cut()
     return out
 

@@ -238,6 +238,19 @@ def test_licenses(spark):
     assert sum(bag.values()) == 3 and licenses.size_range(3, 0.8) == (2, 4)
 
 
+def test_html_without_end_tags():
+    texts = lambda page: [x.text for x in html_text.leaf_blocks(page)]
+    for head in ("<head><title>x</title><body>", "<head><meta charset=utf-8><style>p{}</style>", "<head><body>", "<head>\n</head><body>"):
+        assert texts(f"<html>{head}<article><p>text") == ["text"]
+    assert texts("<head><title>x</title>bare text<p>more") == ["bare text", "more"]
+    for cut_off in ("<button>Go", "<select><option>a<option>b", "<object data=x>", "<button>Go<button>On", "<svg><path d=x>"):
+        assert texts(f"<article><p>one</p>{cut_off}<p>two</p><div>three</div></article><p>four") == ["one", "two", "three", "four"], cut_off
+        assert texts(f"<article><p>one {cut_off}</article><p>four") == ["one", "four"], cut_off
+    assert texts("<p>one<select><option>a<option>b</select> three") == ["one three"]
+    assert texts("<button><div>Go</div> on</button><p>two") == ["two"]
+    assert texts("<article><p>so <math><mi>x</mi><mo>=</mo><mn>1</mn></math> holds</article>") == ["so x=1 holds"]
+
+
 def best_stretch(text, template):
     """Dice coefficient of the best run of words, by brute force."""
     words, bag = re.findall(r"[^\W_]+", text.lower()), licenses.template_bigrams(template)
