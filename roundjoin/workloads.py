@@ -310,6 +310,9 @@ for _how, _sql in {"left": "LEFT", "right": "RIGHT", "full": "FULL"}.items():
     register(f"op_join_{_how}", f"SELECT k, o, c FROM (SELECT o_custkey AS k, o_orderkey AS o FROM orders WHERE o_orderkey % 3 = 0) {_sql} JOIN (SELECT c_custkey AS k, c_nationkey AS c FROM customer WHERE c_custkey % 2 = 0) USING (k)")(
         lambda s, d, h=_how: O.equi_join((t := _t(s, d))["orders"].where("o_orderkey % 3 = 0").selectExpr("o_custkey AS k", "o_orderkey AS o"), t["customer"].where("c_custkey % 2 = 0").selectExpr("c_custkey AS k", "c_nationkey AS c"), ["k"], h)
     )
+    register(f"op_join_whole_{_how}", f"SELECT k, o, c FROM (SELECT o_custkey AS k, o_orderkey AS o FROM orders) {_sql} JOIN (SELECT c_custkey + 20 AS k, c_nationkey AS c FROM customer) USING (k)")(
+        lambda s, d, h=_how: O.equi_join((t := _t(s, d))["orders"].selectExpr("o_custkey AS k", "o_orderkey AS o"), t["customer"].selectExpr("c_custkey + 20 AS k", "c_nationkey AS c"), ["k"], h)
+    )
 for _hint in ("broadcast", "merge", "shuffle_hash"):
     register(f"op_join_{_hint}", "SELECT n_nationkey AS k, n_name, s_suppkey FROM nation JOIN supplier ON n_nationkey = s_nationkey")(lambda s, d, h=_hint: O.equi_join((t := _t(s, d))["nation"].selectExpr("n_nationkey AS k", "n_name"), t["supplier"].selectExpr("s_nationkey AS k", "s_suppkey"), ["k"], strategy=h))
 register("op_semi_join", "SELECT c_custkey, c_name FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")(lambda s, d: O.semi_join((t := _t(s, d))["customer"].select("c_custkey", "c_name"), t["orders"].selectExpr("o_custkey AS c_custkey"), ["c_custkey"]))

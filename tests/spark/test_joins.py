@@ -47,6 +47,16 @@ def test_against_duckdb(spark, small, con, name):
     assert rows(df) == sorted(tuple(norm(r[i]) for i in order) for r in c.fetchall())
 
 
+@pytest.mark.parametrize("how", ("left", "right", "full"))
+def test_outer_joins_of_whole_tables(spark, small, con, how):
+    test_against_duckdb(spark, small, con, f"op_join_whole_{how}")
+    got = workloads.QUERIES[f"op_join_whole_{how}"](spark, small).collect()
+    orders, customers = (con.execute(f"SELECT count(*) FROM {t}").fetchone()[0] for t in ("orders", "customer"))
+    unmatched_orders, unmatched_customers = sum(r.c is None for r in got), sum(r.o is None for r in got)
+    assert how == "right" or len(got) - unmatched_customers == orders and unmatched_orders > 0
+    assert how == "left" or len({r.k for r in got if r.c is not None}) == customers and unmatched_customers > 0
+
+
 def pair(spark, data, cols):
     return spark.createDataFrame(data, cols)
 
