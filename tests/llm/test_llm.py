@@ -122,6 +122,14 @@ def test_myers_and_decontamination(spark):
     assert sorted(r.doc_id for r in decontaminate.drop_contaminated(docs_of(spark, texts), bench).collect()) == [2, 3, 4, 5]
 
 
+def test_short_items_are_found_exactly(spark):
+    bench = spark.createDataFrame([(1, "What is 7 x 8?"), (2, "光合作用的产物是什么？"), (3, "an area"), (4, " \n")], "item_id long, text string")
+    texts = ["so what is  7 x 8? Say", "what is 7 x 9?", "请问光合作用的产物是什么？谢谢", "in an area.", "an areas, Japan area", "Span area", None, ""]
+    docs = docs_of(spark, texts)
+    assert {(r.doc_id, r.item_id, r.distance) for r in decontaminate.contaminated(docs, bench).collect()} == {(0, 1, 0), (2, 2, 0), (3, 3, 0)}
+    assert sorted(r.doc_id for r in decontaminate.drop_contaminated(docs, bench).collect()) == [1, 4, 5, 6, 7]
+
+
 PATTERNS = (("assign", r"(?ai:(password|passwd|secret|token|api_?key))[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", 2, 6), ("access", r"AKIA[A-Z0-9]+", 0, 20), ("hex", r"[0-9a-f]+", 0, 24))
 SECRET_TEXTS = ["token = \"24be64439e3e49cf46b2d7c90f3602a3\" é", "secret=token:abcdefg PassWord='hunter22'", "ñ AKIA" + "B" * 16 + " AKIA1", None, "", "clean", "api_key: abc12345," * 400, "f" * 23 + " " + "f" * 24]
 
