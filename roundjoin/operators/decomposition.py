@@ -14,6 +14,10 @@ from . import primitives as P
 from .reducer import Runner, acyclic_join_parallel
 
 
+#: Most rows that a product bag may have unless the call says otherwise.
+MAX_BAG_ROWS = 10**9
+
+
 class BagTooLarge(RuntimeError):
     """A bag could exceed the rows allowed."""
 
@@ -40,37 +44,58 @@ def bag_bound(tree: BagTree, sizes: dict[str, int]) -> dict[str, int]:
     return out
 
 
-def materialize_bags(tree: BagTree, rels: dict[str, DataFrame], run: Runner, project: bool = True, max_rows: int | None = None) -> dict[str, DataFrame]:
+def _guard(parts: dict[str, list[DataFrame]], max_rows: int) -> None:
+    """Refuses bags that are products of more than max_rows rows; the relations of all product bags are counted in one job."""
+    products = {b: [d for d in ds] for b, ds in parts.items() if len(ds) > 1 and _unconnected(ds)}
+    known = iter(P.counts([d for ds in products.values() for d in ds]))
+    for b, ds in products.items():
+        rows = 1
+        for _ in ds:
+            rows *= next(known)
+        if rows > max_rows:
+            raise BagTooLarge(f"bag {b} could have {rows} rows, more than {max_rows}")
+
+
+def _unconnected(dfs: list[DataFrame]) -> bool:
+    """Whether a relation shares no attribute with those before it."""
+    have = set(dfs[0].columns)
+    for d in dfs[1:]:
+        if not have & set(d.columns):
+            return True
+        have |= set(d.columns)
+    return False
+
+
+def materialize_bags(tree: BagTree, rels: dict[str, DataFrame], run: Runner, project: bool = True, max_rows: int | None = MAX_BAG_ROWS) -> dict[str, DataFrame]:
     """Join of each bag's relations. project: to the bag's attributes, without duplicates; relations without shared attributes are cut to the bag's attributes
-    first, so that a product is one of key values only."""
-    out = {}
+    first, so that a product is one of key values only. A product that could have more than max_rows rows raises BagTooLarge."""
+    parts: dict[str, list[DataFrame]] = {}
     for b in tree.chi:
         chi = tree.chi[b]
-        parts = []
+        parts[b] = []
         for n in _ordered(list(tree.lam[b]), rels):
             df = rels[n]
             others = {c for m in tree.lam[b] if m != n for c in rels[m].columns}
             useful = [c for c in df.columns if c in chi or c in others or c.startswith("__m_")]
             if project and len(useful) < len(df.columns):
-                df = df.select(*useful).dropDuplicates() if useful else df.select().limit(1)
-            parts.append(df)
-        if max_rows is not None:
-            rows = 1
-            for d in parts:
-                rows *= d.count()
-            if rows > max_rows and len(parts) > 1 and any(not P.common(parts[0], d) for d in parts[1:]):
-                raise BagTooLarge(f"bag {b} could have {rows} rows, more than {max_rows}")
-        joined = P.grid_join(parts, run.m) if run.physical == "grid" and len(parts) > 1 else fold(lambda x, y: P.natural_join(x, y, frozenset(P.common(x, y)) - run.exact), parts)
+                df = run.made(df.select(*useful).dropDuplicates() if useful else df.select().limit(1), df)
+            parts[b].append(df)
+    if max_rows is not None:
+        _guard(parts, max_rows)
+    out = {}
+    for b, dfs in parts.items():
+        chi = tree.chi[b]
+        joined = P.grid_join(dfs, run.m, loads=run.loads) if run.physical == "grid" and len(dfs) > 1 else fold(lambda x, y: P.natural_join(x, y, frozenset(P.common(x, y)) - run.exact), dfs)
         if project and set(joined.columns) - chi:
             joined = joined.select(*[c for c in joined.columns if c in chi]).dropDuplicates()
-        out[b] = run.made(joined, *parts)
-        if run.ledger is not None and len(parts) > 1:
-            run.ledger.add(run.at + 1, "materialise", b, join_cost([run.size(d) for d in parts], run.m_or_none()), run.size(joined))
+        out[b] = run.keyed(run.made(joined, *dfs), run.key(joined)) if len(dfs) > 1 else joined
+        if run.ledger is not None and len(dfs) > 1:
+            run.note(1, "materialise", b, join_cost([run.size(d) for d in dfs], run.m_or_none()), joined)
     run.at += int(tree.width() > 1)
     return run.settle(out)
 
 
-def decomposition_join(q: JoinQuery, tree: BagTree | None = None, m: int | None = None, physical: str = "native", project_bags: bool = True, barrier: str = "auto", ledger: CostLedger | None = None, max_bag_rows: int | None = None, bag: bool = False, reduce: bool = True) -> DataFrame:
+def decomposition_join(q: JoinQuery, tree: BagTree | None = None, m: int | None = None, physical: str = "native", project_bags: bool = True, barrier: str = "auto", ledger: CostLedger | None = None, max_bag_rows: int | None = MAX_BAG_ROWS, bag: bool = False, reduce: bool = True) -> DataFrame:
     """The full join of q along a bag tree (searched for if none is given); components of a disconnected query are joined apart and multiplied.
 
     bag: multiset semantics, with the number of copies of each answer in __mult."""
@@ -96,6 +121,9 @@ def _connected(q: JoinQuery, h: Hypergraph, tree: BagTree, rels, m, physical, pr
             home = next(b for b in sorted(tree.chi) if n in tree.lam[b] and h.edges[n] <= tree.chi[b])
             tree.chi[home] = tree.chi[home] | frozenset(cols)
     run = Runner(q.shared, m, physical, barrier, ledger=ledger)
+    for a in q.atoms:
+        if a.key and a.name in h.edges:
+            run.keyed(rels[a.name], frozenset(a.key))
     bags = materialize_bags(tree, {n: rels[n] for n in h.edges}, run, project, max_rows)
     if any(carried.values()):
         bags = {b: d.select(*[c for c in d.columns if not c.startswith("__m_") or c in tree.chi[b]]) for b, d in bags.items()}

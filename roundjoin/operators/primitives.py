@@ -5,13 +5,14 @@ Columns named __g<i>, __salt and __r_<attribute> are internal. Everything random
 from __future__ import annotations
 
 import math
-import uuid
 from concurrent.futures import ThreadPoolExecutor
+from functools import reduce as fold
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.cost import grid_sizes
+from ..scratch import scratch_path
 
 
 class ReducerOverflow(RuntimeError):
@@ -47,35 +48,56 @@ def natural_join(l: DataFrame, r: DataFrame, null_safe: frozenset[str] = frozens
     return joined.drop(*[f"__r_{c}" for c in on]) if how == "inner" else joined
 
 
-def grid_join(dfs: list[DataFrame], m: int | None = None, seed: int = 17, groups: list[int] | None = None, sizes: list[int] | None = None, check: bool = False) -> DataFrame:
+def counts(dfs: list[DataFrame]) -> list[int]:
+    """Rows of each relation, counted in one job."""
+    if not dfs:
+        return []
+    each = [d.select(F.lit(i).alias("i")).groupBy("i").count() for i, d in enumerate(dfs)]
+    got = {r["i"]: r["count"] for r in fold(lambda a, b: a.unionAll(b), each).collect()}
+    return [got.get(i, 0) for i in range(len(dfs))]
+
+
+def overflow_bound(m: int, groups: list[int]) -> int:
+    """Tuples that a reducer of m is allowed: groups of hashed tuples have m / z on average and exceed that by six deviations with a chance below 10^-8."""
+    z = max(1, len(groups))
+    return m if math.prod(groups) == 1 else math.ceil(m + 6 * math.sqrt(z * m) + 6 * z)
+
+
+def grid_join(dfs: list[DataFrame], m: int | None = None, seed: int = 17, groups: list[int] | None = None, sizes: list[int] | None = None, check: bool | None = None, loads: list[int] | None = None) -> DataFrame:
     """Join of z relations by all combinations of hashed groups: any skew, any or no shared attributes, one co-partitioned round.
 
-    m: tuples a reducer holds, from which the groups follow (counting the relations unless sizes are given). check: raise ReducerOverflow beyond m."""
-    groups = groups or grid_sizes(sizes or [d.count() for d in dfs], m)
+    m: tuples a reducer holds, from which the groups follow (counting the relations in one job unless sizes are given). The load of the fullest reducer is
+    measured before the join, which raises ReducerOverflow if it is over m (check) or over overflow_bound (check None, the default, where the groups follow
+    from m); check=False measures nothing. loads: takes the measured load."""
     axes = [f"__g{i}" for i in range(len(dfs))]
+    bound = None if check is False or m is None or check is None and groups else m
+    groups = groups or grid_sizes(sizes or counts(dfs), m)
+    if check is None and bound is not None:
+        bound = overflow_bound(m, groups)
+    dealt = [d.withColumn(axes[i], tuple_hash(d.columns, seed + i, groups[i]).cast("int")) for i, d in enumerate(dfs)]
+    if bound is not None:
+        load = capacity([d.select(axes[i]) for i, d in enumerate(dealt)], axes)
+        if loads is not None:
+            loads.append(load)
+        if load > bound:
+            raise ReducerOverflow(f"a reducer would receive {load} tuples, more than {bound}")
     placed = []
-    for i, d in enumerate(dfs):
-        d = d.withColumn(axes[i], tuple_hash(d.columns, seed + i, groups[i]).cast("int"))
+    for i, d in enumerate(dealt):
         for j, axis in enumerate(axes):
             if j != i:
                 d = d.withColumn(axis, F.explode(F.sequence(F.lit(0), F.lit(groups[j] - 1))))
         placed.append(d)
-    if check:
-        load = capacity(placed, axes)
-        if m is not None and load > m:
-            raise ReducerOverflow(f"a reducer would receive {load} tuples, more than {m}")
     out = placed[0]
     for d in placed[1:]:
         out = out.join(d, common(out, d))
     return out.drop(*axes)
 
 
-def capacity(placed: list[DataFrame], axes: list[str]) -> int:
-    """Most tuples that one cell receives from all relations."""
-    cells = placed[0].select(*axes)
-    for d in placed[1:]:
-        cells = cells.unionAll(d.select(*axes))
-    return int(cells.groupBy(*axes).count().agg(F.coalesce(F.max("count"), F.lit(0)).alias("m")).first().m)
+def capacity(dealt: list[DataFrame], axes: list[str]) -> int:
+    """Most tuples that one cell receives from all relations. A cell is one group of each relation, so the fullest is that of the fullest groups, and no
+    copies need to be made to find it: one aggregation over each relation's group numbers, in one job."""
+    groups = fold(lambda a, b: a.unionAll(b), [d.groupBy(F.col(axes[i]).alias("g")).count().select(F.lit(i).alias("i"), "count") for i, d in enumerate(dealt)])
+    return int(sum(r.m for r in groups.groupBy("i").agg(F.max("count").alias("m")).collect()))
 
 
 def hash_join(l: DataFrame, r: DataFrame, strategy: str | None = None) -> DataFrame:  # noqa: E741
@@ -113,10 +135,11 @@ def staged_distinct(df: DataFrame, copies: int, m: int, seed: int = 23) -> DataF
     return out.drop("__salt").dropDuplicates(columns)
 
 
-def semijoin(s: DataFrame, r: DataFrame, m: int | None = None, physical: str = "native", null_safe: frozenset[str] = frozenset()) -> DataFrame:
-    """Tuples of s with a partner in r. 'native': left semi join with the distinct keys; 'grid': grid join of s with the keys, then staged duplicate removal."""
+def semijoin(s: DataFrame, r: DataFrame, m: int | None = None, physical: str = "native", null_safe: frozenset[str] = frozenset(), unique: bool = False) -> DataFrame:
+    """Tuples of s with a partner in r. 'native': left semi join with the distinct keys; 'grid': grid join of s with the keys, then staged duplicate removal.
+    unique: r has no two tuples with the same keys, so none need to be removed."""
     on = common(s, r)
-    keys = r.select(*on).dropDuplicates() if on else r.limit(1).select(F.lit(1).alias("__any"))
+    keys = (r.select(*on) if unique else r.select(*on).dropDuplicates()) if on else r.limit(1).select(F.lit(1).alias("__any"))
     if physical == "grid" and on:
         groups = grid_sizes([s.count(), keys.count()], m)
         return staged_distinct(grid_join([s, keys], groups=groups).select(*s.columns), groups[1], m)
@@ -135,17 +158,14 @@ def barrier(dfs: dict[str, DataFrame], how: str = "none") -> dict[str, DataFrame
     if how == "persist":
         return {k: d.persist() for k, d in dfs.items()}
 
+    if how not in ("checkpoint", "parquet"):
+        raise ValueError(f"no barrier {how!r}")
+
     def write(d: DataFrame) -> DataFrame:
         spark = d.sparkSession
-        at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-        if not at:
-            at = "file:///tmp/checkpoints"
-            spark.sparkContext.setCheckpointDir(at)
+        path = scratch_path(spark, "round")
         if how == "checkpoint":
             return d.checkpoint()
-        if how != "parquet":
-            raise ValueError(f"no barrier {how!r}")
-        path = f"{at.rstrip('/')}/round-{uuid.uuid4().hex}"
         d.write.parquet(path)
         return spark.read.schema(d.schema).parquet(path)
 

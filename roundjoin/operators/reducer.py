@@ -20,7 +20,10 @@ class Runner:
     how: a barrier of primitives.barrier, or 'auto', which writes a round's result only when more than `limit` scans stand in its plan: a reduced relation
     is used going up, going down and in the join, so plans that are never cut grow with the power of the depth.
 
-    A ledger counts every relation, which runs it; without one the plan stays lazy. exact: attributes in which nulls can't be (the shared ones)."""
+    A ledger counts every relation, which runs it; without one the plan stays lazy. exact: attributes in which nulls can't be (the shared ones).
+
+    literal: sibling leaves meet in the pairs and triples of the schedule, in every phase. That is how grid joins and ledgers run. Else a semijoin's result
+    takes the parent's place at once, and Spark runs side by side what doesn't depend on each other."""
 
     exact: frozenset[str]
     m: int | None = None
@@ -29,7 +32,9 @@ class Runner:
     limit: int = 10
     ledger: CostLedger | None = None
     at: int = 0
+    loads: list[int] = field(default_factory=list)  # fullest reducer of each grid join
     _known: dict[int, int] = field(default_factory=dict)
+    _keys: dict[int, tuple[frozenset[str], DataFrame]] = field(default_factory=dict)
     _scans: dict[int, tuple[int, DataFrame]] = field(default_factory=dict)
 
     def scans(self, df: DataFrame) -> int:
@@ -40,6 +45,19 @@ class Runner:
         self._scans[id(out)] = (sum(map(self.scans, of)), out)
         return out
 
+    @property
+    def literal(self) -> bool:
+        return self.physical == "grid" or self.ledger is not None
+
+    def keyed(self, df: DataFrame, key: frozenset[str] | None) -> DataFrame:
+        """Notes that no two tuples of df agree on key."""
+        if key:
+            self._keys[id(df)] = (frozenset(key), df)
+        return df
+
+    def key(self, df: DataFrame) -> frozenset[str] | None:
+        return self._keys.get(id(df), (None, df))[0]
+
     def loose(self, a: DataFrame, b: DataFrame) -> frozenset[str]:
         return frozenset(P.common(a, b)) - self.exact
 
@@ -50,32 +68,52 @@ class Runner:
         return self._known[id(df)]
 
     def semi(self, s: DataFrame, r: DataFrame) -> DataFrame:
-        return self.made(P.semijoin(s, r, self.m, "grid" if self.physical == "grid" and not self.loose(s, r) else "native", self.loose(s, r)), s, r)
+        physical = "grid" if self.physical == "grid" and not self.loose(s, r) else "native"
+        on = set(P.common(s, r))
+        unique = on == set(r.columns) or (self.key(r) is not None and self.key(r) <= on)
+        return self.keyed(self.made(P.semijoin(s, r, self.m, physical, self.loose(s, r), unique), s, r), self.key(s))
 
     def join(self, a: DataFrame, b: DataFrame) -> DataFrame:
         loose = self.loose(a, b)
         if self.physical == "grid" and not loose:
-            return self.made(P.grid_join([a, b], self.m), a, b)
+            return self.made(P.grid_join([a, b], self.m, loads=self.loads), a, b)
         return self.made(P.natural_join(a, b, loose, hint="shuffle_hash" if self.physical == "hash" else None), a, b)
 
     def both(self, a: DataFrame, b: DataFrame) -> DataFrame:
         return self.made(P.intersect(a, b), a, b)
 
-    def settle(self, rels: dict[str, DataFrame]) -> dict[str, DataFrame]:
+    def settle(self, rels: dict[str, DataFrame], times: int = 1) -> dict[str, DataFrame]:
+        """times: how often each is going to be read."""
         if self.how != "auto":
             return P.barrier(rels, self.how)
-        return rels | P.barrier({k: d for k, d in rels.items() if self.scans(d) > self.limit}, "parquet")
+        written = P.barrier({k: d for k, d in rels.items() if self.scans(d) * times > self.limit}, "parquet")
+        return rels | {k: self.keyed(d, self.key(rels[k])) for k, d in written.items()}
 
     def note(self, rounds: int, op: str, bag: str, sent: int, out: DataFrame) -> None:
         if self.ledger is not None:
-            self.ledger.add(self.at + rounds, op, bag, sent, self.size(out))
+            self.ledger.add(self.at + rounds, op, bag, sent, self.size(out), max(self.loads, default=0))
+            self.loads.clear()
 
     def m_or_none(self) -> int | None:
         return self.m if self.physical == "grid" else None
 
 
 def _up(tree: BagTree, rels: dict[str, DataFrame], run: Runner) -> dict[str, DataFrame]:
-    """Upward phase, all leaves of a round together: what each relation keeps when everything below it has its say."""
+    """Upward phase: what each relation keeps when everything below it has its say."""
+    return _up_by_rounds(tree, rels, run) if run.literal else _up_by_levels(tree, rels, run)
+
+
+def _up_by_levels(tree: BagTree, rels: dict[str, DataFrame], run: Runner) -> dict[str, DataFrame]:
+    """Every relation of a level is filtered by all its children. What is read again later, in the join, is settled."""
+    value, kids = dict(rels), tree.children()
+    for pairs in reversed(levels(tree)):
+        inner = {p: fold(run.semi, (value[c] for c in kids[p]), value[p]) for p in dict.fromkeys(p for p, _ in pairs)}
+        value |= {p: d for p, d in inner.items() if p == tree.root} | run.settle({p: d for p, d in inner.items() if p != tree.root})
+    return value
+
+
+def _up_by_rounds(tree: BagTree, rels: dict[str, DataFrame], run: Runner) -> dict[str, DataFrame]:
+    """All leaves of a round together, siblings in pairs and triples."""
     value, message, kept = dict(rels), {}, {}
     own = lambda b: message.get(b, value[b])
     for steps in sweep(tree):
@@ -120,6 +158,17 @@ def _down(tree: BagTree, rels: dict[str, DataFrame], run: Runner) -> dict[str, D
     return value
 
 
+def _join_downward(tree: BagTree, rels: dict[str, DataFrame], run: Runner, reduced: bool) -> DataFrame:
+    """Join from the root down. After the upward phase the root has no dangling tuple, so each join does what the downward semijoin would do before it, and no
+    intermediate is larger than the result. reduced: a relation whose attributes its parent has is skipped, as it has filtered the parent already."""
+    out = rels[tree.root]
+    for pairs in levels(tree):
+        for p, b in pairs:
+            if not reduced or set(rels[b].columns) - set(rels[p].columns):
+                out = run.join(out, rels[b])
+    return out
+
+
 def _join(tree: BagTree, rels: dict[str, DataFrame], run: Runner) -> DataFrame:
     """Join phase, all leaves of a round together; of siblings each is joined to the parent first and the results on all the parent's attributes."""
     value = dict(rels)
@@ -157,7 +206,9 @@ def full_reduce(tree: BagTree, rels: dict[str, DataFrame], run: Runner) -> dict[
 
 def acyclic_join_parallel(tree: BagTree, rels: dict[str, DataFrame], run: Runner, reduce: bool = True) -> DataFrame:
     """Level-parallel reducer join. reduce=False leaves the semijoins out."""
-    return _join(tree, full_reduce(tree, rels, run) if reduce else rels, run)
+    if run.literal:
+        return _join(tree, full_reduce(tree, rels, run) if reduce else rels, run)
+    return _join_downward(tree, _up(tree, rels, run) if reduce else rels, run, reduce)
 
 
 def acyclic_join_sequential(tree: BagTree, rels: dict[str, DataFrame], run: Runner) -> DataFrame:
@@ -193,26 +244,31 @@ def serial_reducer_join(tree: BagTree, rels: dict[str, DataFrame], exact: frozen
 
 
 def hub_semijoin(hub: DataFrame, children: list[DataFrame], exact: frozenset[str], run: Runner | None = None) -> DataFrame:
-    """Hub tuples with a partner in every child: the semijoins run side by side, and their results are intersected in a second round."""
+    """Hub tuples with a partner in every child: the semijoins run side by side, and their results meet on all the hub's attributes in a second round."""
     run = run or Runner(exact)
-    return fold(run.both, [run.semi(hub, c) for c in children]) if children else hub
+    return fold(run.semi, [run.semi(hub, c) for c in children]) if children else hub
 
 
 def hub_join(hub: DataFrame, children: list[DataFrame], exact: frozenset[str], run: Runner | None = None) -> DataFrame:
     """Skew-free join of a hub with all its children in two rounds, whatever their number: each child with the hub, then all results on the hub's attributes."""
     if not children:
         return hub
-    run = run or Runner(exact, physical="hash")
+    run = run or Runner(exact)
     return fold(run.join, [run.join(hub, c) for c in children])
 
 
-def hub_tree_join(tree: BagTree, rels: dict[str, DataFrame], exact: frozenset[str]) -> DataFrame:
-    """Two rounds a level: the tree is reduced up and down, then joined, by hub operations from the deepest level on."""
+def hub_tree_join(tree: BagTree, rels: dict[str, DataFrame], exact: frozenset[str], run: Runner | None = None) -> DataFrame:
+    """Two rounds a level: the tree is reduced up by hub semijoins, inner relations are reduced down, and hub joins go from the deepest level on. Leaves need no
+    downward semijoin, as the join with their hub is one."""
     depth, kids, value = tree.depths(), tree.children(), dict(rels)
-    order, run = sorted(tree.chi, key=depth.get, reverse=True), Runner(exact, physical="hash")
+    order, run = sorted(tree.chi, key=depth.get, reverse=True), run or Runner(exact)
     for b in order:
-        value |= run.settle({b: hub_semijoin(value[b], [value[c] for c in kids[b]], exact, run)})
-    value = _down(tree, value, run)
+        if kids[b]:
+            value |= run.settle({b: hub_semijoin(value[b], [value[c] for c in kids[b]], exact, run)}, len(kids[b]))
+    for pairs in levels(tree):
+        value |= run.settle({b: run.semi(value[b], value[p]) for p, b in pairs if kids[b]})
     for b in order:
-        value |= run.settle({b: hub_join(value[b], [value[c] for c in kids[b]], exact, run)})
+        if kids[b]:
+            joined = hub_join(value[b], [value[c] for c in kids[b]], exact, run)
+            value |= {b: joined} if b == tree.root else run.settle({b: joined})
     return value[tree.root]
