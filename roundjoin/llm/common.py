@@ -1,8 +1,7 @@
-"""Shared helpers of the text operators: column picking, shared scratch tables, hashing of words and bounded Bloom filters."""
+"""Shared helpers of the text operators: column picking, joins that spread hot keys, hashing of words and bounded Bloom filters."""
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -10,6 +9,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..scratch import cut as cut  # tables in the folder that driver and executors share
+from ..scratch import scratch_path as scratch_path
+
 DOC_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
@@ -31,25 +33,25 @@ def pick(df: DataFrame, *names: str) -> DataFrame:
     return plain.select(*chosen)
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where the session names none."""
-    sc = spark.sparkContext
-    at = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
-    if not at:
-        at = "file:///tmp/checkpoints"
-        sc.setCheckpointDir(at)
-    return at
+#: A key with more than 1 / SHARES of all rows is hot; there are fewer than SHARES of them.
+SHARES = 1000
+
 
+def spread_join(rows: DataFrame, groups: DataFrame, key: str, spread: str, how: str = "inner", count: str = "n") -> DataFrame:
+    """rows joined to groups by key, where groups has one row a key and says how many rows have it (count, which goes).
 
-def scratch_path(spark: SparkSession) -> str:
-    return f"{shared_dir(spark).rstrip('/')}/roundjoin-{uuid.uuid4().hex}"
+    Hot keys are split: their rows go by a hash of column spread to as many parts as they hold thousandths of all rows, and their group to each of these. Only
+    the hot keys, fewer than SHARES, are broadcast. how: inner or left."""
+    total = groups.agg(F.coalesce(F.sum(count), F.lit(0)).alias("t")).first().t
+    hot = groups.where(F.col(count) * SHARES > int(total)).select(F.col(key).alias("__key"), F.ceil(F.col(count) * SHARES / max(1, int(total))).cast("int").alias("__parts"))
+    parts = F.coalesce(F.col("__parts"), F.lit(1))
 
+    def dealt(df: DataFrame) -> DataFrame:
+        return df.join(F.broadcast(hot), F.col(key) == F.col("__key"), "left")
 
-def cut(df: DataFrame) -> DataFrame:
-    """Writes df as a table in the shared folder and reads it again: the lineage ends there and no executor's loss matters."""
-    spark, path = df.sparkSession, scratch_path(df.sparkSession)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    left = dealt(rows).withColumn("__part", F.pmod(F.xxhash64(spread), parts).cast("int")).drop("__key", "__parts")
+    right = dealt(groups).withColumn("__part", F.explode(F.sequence(F.lit(0), parts - 1))).drop("__key", "__parts", count)
+    return left.join(right, [key, "__part"], how).drop("__part")
 
 
 def mix64(x: np.ndarray) -> np.ndarray:

@@ -1,17 +1,23 @@
 """Mixing sources to target weights by systematic sampling: expected copies are summed up along each source, one random offset is added, and a
 document is emitted once for each integer boundary that its share crosses. DataFrame functions only.
+
+Prefix sums come from places in sorted order: rows are dealt by ranges of the order, and a row's place is its place in its partition plus the rows
+of the partitions before, of which the driver gets one count each. So neither a source nor the list of sources is ever one task's.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from itertools import accumulate
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, pick
+from .common import cut, pick, spread_join
 
-#: Production values: weights in turn over the sources in order, total as a share of all words, cap on the copies of a document, rows a sorting task takes.
-#: Offsets: how many evenly spaced offsets from the random one are tried for a source; that with the words nearest to the target is used.
-WEIGHTS, TOTAL_SHARE, MAX_COPIES, BUCKET_ROWS, SEED, OFFSETS = (3.0, 1.0, 2.0), 1.5, 2.0, 20_000, 11, 16
+#: Production values: weights in turn over the sources in order, total as a share of all words, cap on the copies of a document, rows
+#: that a sorting task takes (there are as many tasks as the session's shuffles have, and more where these would take more rows).
+WEIGHTS, TOTAL_SHARE, MAX_COPIES, BUCKET_ROWS, SEED = (3.0, 1.0, 2.0), 1.5, 2.0, 2_000_000, 11
+_ROW_BITS = 33  # of monotonically_increasing_id; the bits above are the partition
 
 
 def share_out(sizes: list[float], weights: list[float], total: float, cap: float) -> list[float]:
@@ -29,45 +35,57 @@ def share_out(sizes: list[float], weights: list[float], total: float, cap: float
     return targets
 
 
-def plan_copies(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, total_share: float = TOTAL_SHARE, max_copies: float = MAX_COPIES, seed: int = SEED, bucket_rows: int = BUCKET_ROWS, offsets: int = OFFSETS) -> DataFrame:
+def placed(df: DataFrame, order: list[Column], name: str, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
+    """df, a table, written in the given order, with each row's place in it (from 0)."""
+    at, parts = F.monotonically_increasing_id(), -(-df.count() // bucket_rows)
+    few = parts <= int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = cut((df.repartitionByRange(*order) if few else df.repartitionByRange(parts, *order)).sortWithinPartitions(*order).withColumn("__at", at))
+    part = F.shiftright("__at", _ROW_BITS)
+    counts = sorted((r.p, r.n) for r in rows.groupBy(part.alias("p")).agg(F.count("*").alias("n")).collect())
+    before = list(accumulate((n for _, n in counts), initial=0))
+    starts = df.sparkSession.createDataFrame([(p, b) for (p, _), b in zip(counts, before, strict=False)], "__p long, __b long")
+    place = F.col("__b") + F.col("__at").bitwiseAND((1 << _ROW_BITS) - 1)
+    return rows.withColumn("__p", part).join(F.broadcast(starts), "__p").withColumn(name, place).drop("__p", "__b", "__at")
+
+
+def source_plan(totals: DataFrame, weights: tuple[float, ...], total_share: float, max_copies: float) -> DataFrame:
+    """totals (source, source_size, others) with the target of each source. Only sums over sources come to the driver, in each round of resharing."""
+    ranked = placed(totals, [F.col("source").isNull(), F.col("source")], "no")
+    weight = F.element_at(F.array(*map(F.lit, weights)), (F.pmod("no", F.lit(len(weights))) + 1).cast("int"))
+    plan = cut(ranked.withColumn("weight", weight).withColumn("most", max_copies * F.col("source_size")))
+    sums = plan.agg(F.sum("source_size").alias("s"), F.sum("weight").alias("w")).first()
+    total = total_share * (sums.s or 0)
+    unit, capped = total / sums.w if sums.w else 0.0, 0
+    while True:
+        over = plan.where(F.col("weight") * unit > F.col("most")).agg(F.count("*").alias("n"), F.coalesce(F.sum("source_size"), F.lit(0)).alias("s"), F.coalesce(F.sum("weight"), F.lit(0.0)).alias("w")).first()
+        if over.n == capped or over.w >= (sums.w or 0.0):
+            break
+        capped, unit = over.n, (total - max_copies * over.s) / (sums.w - over.w)
+    return plan.withColumn("target", F.least(F.col("weight") * unit, F.col("most"))).drop("weight", "most", "no")
+
+
+def plan_copies(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, total_share: float = TOTAL_SHARE, max_copies: float = MAX_COPIES, seed: int = SEED, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
     """Per row of docs: doc_id, source, size, source_size, target, copies.
 
-    Sources stand by code point, null last (null is a source of its own). Documents of a source stand by size class, hash bucket and id, so the words
-    taken differ from the target by about one document's size; a hot source is many buckets, each of bounded size, and offsets between
-    buckets come from a table with one row per bucket. Null and empty texts have size 0 and copies like others of their source; a source of size 0 has
-    target 0 and no copies; repeated rows each have their own share; an empty table gives no rows; other columns are ignored.
-    One row per source comes to the driver."""
+    Sources stand by code point, null last (null is a source of its own). All documents of a source have the same expected copies, target over size, and
+    stand by size, then a hash, then id, so the words taken differ from the target by less than the largest document of the source, whatever the offset.
+    Null and empty texts have size 0 and copies like others of their source; a source of size 0 has target 0 and no copies; repeated rows each have their own
+    share; ties stand by id, and equal rows are alike; an empty table gives no rows; other columns are ignored."""
     word = r"[^\x20\x09-\x0D]+"
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = pick(docs, "doc_id", "source", "text").select("doc_id", "source", F.regexp_count(text, F.lit(word)).cast("long").alias("size"), F.xxhash64("doc_id", "text").alias("h"))
-    rows = cut(rows)
-    totals = rows.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n")).collect()
-    order = sorted(totals, key=lambda r: (r.source is None, r.source or ""))
-    targets = share_out([float(r.source_size) for r in order], [weights[i % len(weights)] for i in range(len(order))], total_share * sum(r.source_size for r in order), max_copies)
-    schema = rows.select("source").schema.add("source_size", "long").add("target", "double").add("rate", "double").add("buckets", "long")
-    made = [(r.source, r.source_size, t, t / r.source_size if r.source_size else 0.0, -(-r.n // bucket_rows)) for r, t in zip(order, targets, strict=True)]
-    plan = docs.sparkSession.createDataFrame(made, schema)
-    known = rows.join(F.broadcast(plan.withColumnRenamed("source", "__s")), F.col("source").eqNullSafe(F.col("__s"))).drop("__s")
-    known = known.withColumn("cls", F.floor(4 * F.log2(F.col("size") + 1.0)).cast("int")).withColumn("bucket", F.pmod("h", F.col("buckets")))
-    counts = known.groupBy("source", "cls", "bucket").agg(F.count("*").alias("m"))
-    before = Window.partitionBy("source").orderBy("cls", "bucket").rowsBetween(Window.unboundedPreceding, -1)
-    starts = counts.select(F.col("source").alias("__s"), F.col("cls").alias("__c"), F.col("bucket").alias("__b"), F.coalesce(F.sum("m").over(before), F.lit(0)).alias("skip"))
-    placed = known.join(starts, F.col("source").eqNullSafe(F.col("__s")) & (F.col("cls") == F.col("__c")) & (F.col("bucket") == F.col("__b")))
-    rank = F.col("skip") + F.row_number().over(Window.partitionBy("source", "cls", "bucket").orderBy("size", "doc_id", "h"))
-    first = F.pmod(F.xxhash64(F.lit(seed), F.coalesce("source", F.lit("\x00"))), F.lit(1 << 30)) / float(1 << 30)
-    placed = cut(placed.withColumn("k", rank).withColumn("u", first).select("doc_id", "source", "size", "source_size", "target", "rate", "k", "u"))
-
-    def copies(offset):
-        return (F.floor(offset + F.col("rate") * F.col("k")) - F.floor(offset + F.col("rate") * (F.col("k") - 1))).cast("long")
-
-    def turned(j):
-        return F.pmod(F.col("u") + j / offsets, F.lit(1.0))
-
-    tried = placed.groupBy("source").agg(F.first("target").alias("t"), F.first("u").alias("u"), *[F.sum(F.col("size") * copies(turned(j))).alias(f"w{j}") for j in range(offsets)])
-    nearest = F.array_min(F.array(*[F.struct(F.abs(F.col(f"w{j}") - F.col("t")).alias("off"), F.lit(j).alias("j"), turned(j).alias("u")) for j in range(offsets)]))
-    chosen = tried.select(F.col("source").alias("__s"), nearest["u"].alias("offset"))
-    placed = placed.join(F.broadcast(chosen), F.col("source").eqNullSafe(F.col("__s")))
-    return placed.select("doc_id", "source", "size", "source_size", "target", copies(F.col("offset")).alias("copies"))
+    rows = placed(cut(rows), [F.col("source"), F.col("size"), F.col("h"), F.col("doc_id")], "place", bucket_rows)
+    rows = rows.withColumn("key", F.coalesce(F.concat(F.lit("s"), "source"), F.lit("-")))
+    totals = rows.groupBy("key").agg(F.first("source").alias("source"), F.sum("size").alias("source_size"), F.count("*").alias("n"), F.min("place").alias("start"))
+    plan = source_plan(cut(totals), weights, total_share, max_copies)
+    # a fraction with 30 bits
+    offset = F.pmod(F.xxhash64(F.lit(seed), F.col("key")), F.lit(1 << 30)) / float(1 << 30)
+    rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
+    plan = cut(plan.select("key", "source_size", "target", "n", "start", rate.alias("rate"), offset.alias("offset")))
+    known = spread_join(rows, plan, "key", "h")
+    k = F.col("place") - F.col("start")
+    copies = F.floor(F.col("offset") + F.col("rate") * (k + 1)) - F.floor(F.col("offset") + F.col("rate") * k)
+    return known.select("doc_id", "source", "size", "source_size", "target", copies.cast("long").alias("copies"))
 
 
 def mix(docs: DataFrame, **options) -> DataFrame:
