@@ -4,12 +4,13 @@ ledger lacks are scanned, and findings are joined back to all paths (documents)
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import DOC_COLUMNS, pick
+from .common import DOC_COLUMNS, cut, pick, spread_join
 
 
 @dataclass(frozen=True)
@@ -37,28 +38,69 @@ RULES = (
     Rule("forge", 1, r"gh[pousr]_[A-Za-z0-9]{36,}", 0, 1, r"gh[pousr]_", False),
 )
 _SPANS = "array<struct<start:int,kind_no:int,kind:string,stop:int>>"
+#: Spans that one step handles at a time. What a text costs grows with its spans times this, not with their square.
+_BLOCK = 128
 
 
 def _quoted(pattern: str) -> Column:
     return F.lit(pattern)
 
 
+def _let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """use(value), with the value computed once."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
+def _blocks(x: Column) -> Column:
+    """An array cut into arrays of _BLOCK elements."""
+    starts = F.when(F.size(x) > 0, F.sequence(F.lit(0), F.floor((F.size(x) - 1) / _BLOCK).cast("int"))).otherwise(F.array().cast("array<int>"))
+    return F.transform(starts, lambda k: F.slice(x, k * _BLOCK + 1, F.lit(_BLOCK)))
+
+
+def _before(values: Column, start: Column, combine: Callable[[Column, Column], Column]) -> Column:
+    """For each value the combination of start and all values before it; short arrays only."""
+    first = F.struct(start.alias("now"), F.array().cast("array<int>").alias("out"))
+    return F.aggregate(values, first, lambda a, v: F.struct(combine(a["now"], v).alias("now"), F.concat(a["out"], F.array(a["now"])).alias("out")), lambda a: a["out"])
+
+
+def running(values: Column, combine: Callable[[Column, Column], Column]) -> Column:
+    """For each int of an array the combination of 0 and all before it, by two levels: within blocks, and over the blocks' totals."""
+
+    def by_blocks(parts: Column) -> Column:
+        starts = _before(F.transform(parts, lambda x: F.aggregate(x, F.lit(0), combine)), F.lit(0), combine)
+        return F.flatten(F.transform(F.arrays_zip(parts.alias("part"), starts.alias("start")), lambda z: _before(z["part"], z["start"], combine)))
+
+    return _let(_blocks(values), by_blocks)
+
+
+def _sum(a: Column, b: Column) -> Column:
+    return a + b
+
+
+def _larger(a: Column, b: Column) -> Column:
+    return F.greatest(a, b)
+
+
 def rule_spans(text: Column, number: int, rule: Rule) -> Column:
     """Spans of one rule in code points: the matches, and the stretches between them, whose lengths give the offsets."""
     matches = F.regexp_extract_all(text, _quoted(rule.pattern), F.lit(0))
     values = F.regexp_extract_all(text, _quoted(rule.pattern), F.lit(rule.group)) if rule.group else matches
     gaps = F.split(text, rule.pattern, -1)
-    steps = F.arrays_zip(F.slice(gaps, F.lit(1), F.size(matches)).alias("gap"), matches.alias("hit"), values.alias("value"))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast(_SPANS).alias("spans"))
+    steps = F.transform(
+        F.arrays_zip(F.slice(gaps, F.lit(1), F.size(matches)).alias("gap"), matches.alias("hit"), values.alias("value")),
+        lambda x: F.struct(F.length(x["gap"]).alias("gap"), F.length(x["hit"]).alias("hit"), F.length(x["value"]).alias("value")),
+    )
+
+    def spans(x: Column) -> Column:
+        begins = running(F.transform(x, lambda y: y["gap"] + y["hit"]), _sum)
+
+        def span(y: Column, begin: Column) -> Column:
+            return F.struct((begin + y["gap"]).alias("start"), F.lit(number).alias("kind_no"), F.lit(rule.kind).alias("kind"), (begin + y["gap"] + y["hit"]).alias("stop"), y["value"].alias("value"))
 
-    def step(acc: Column, x: Column) -> Column:
-        begin = acc["at"] + F.length(x["gap"])
-        end = begin + F.length(x["hit"])
-        own = F.array(F.struct(begin.alias("start"), F.lit(number).alias("kind_no"), F.lit(rule.kind).alias("kind"), end.alias("stop")))
-        return F.struct(end.alias("at"), F.when(F.length(x["value"]) >= rule.least, F.concat(acc["spans"], own)).otherwise(acc["spans"]).alias("spans"))
+        kept = F.filter(F.zip_with(x, begins, span), lambda z: z["value"] >= rule.least)
+        return F.transform(kept, lambda z: F.struct(z["start"].alias("start"), z["kind_no"].alias("kind_no"), z["kind"].alias("kind"), z["stop"].alias("stop")))
 
-    found = F.aggregate(steps, start, step, lambda acc: acc["spans"])
-    return F.when(text.rlike(rule.probe), found).otherwise(F.array().cast(_SPANS))
+    return F.when(text.rlike(rule.probe), _let(steps, spans)).otherwise(F.array().cast(_SPANS))
 
 
 def scan(blobs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
@@ -98,6 +140,13 @@ def blob_findings(new: DataFrame) -> DataFrame:
     return some.groupBy("blob").agg(F.array_sort(F.flatten(F.collect_list("spans"))).alias("found"))
 
 
+def _to_paths(rows: DataFrame, new: DataFrame) -> DataFrame:
+    """rows (doc_id and blob at least) with found, the spans of their blob, or null. A blob that many rows hold is split."""
+    findings = blob_findings(new)
+    groups = cut(rows.groupBy("blob").agg(F.count("*").alias("n")).join(findings, "blob"))
+    return spread_join(rows, groups, "blob", "doc_id", "left")
+
+
 def find_secrets(docs: DataFrame, ledger: DataFrame | None = None, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """Per row of docs: doc_id, n_assign, n_access, n_hex, base_sha256, spans.
 
@@ -107,21 +156,30 @@ def find_secrets(docs: DataFrame, ledger: DataFrame | None = None, rules: tuple[
     new = update_ledger(docs, ledger, rules)
     if ledger is not None:
         new = new.unionByName(pick(ledger, "blob", "kind", "version", "spans").where(F.concat_ws(":", "kind", "version").isin([f"{r.kind}:{r.version}" for r in rules])))
-    all_rows = rows.join(blob_findings(new), "blob", "left").withColumn("found", F.coalesce("found", F.array().cast(_SPANS)))
+    all_rows = _to_paths(rows, new).withColumn("found", F.coalesce("found", F.array().cast(_SPANS)))
     base = F.filter("found", lambda s: s["kind"].isin([r.kind for r in rules if r.base]))
     count = lambda kind: F.size(F.filter("found", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
     return all_rows.select("doc_id", count("assign"), count("access"), count("hex"), F.sha2(_joined(base), 256).alias("base_sha256"), _joined(F.col("found")).alias("spans"))
 
 
 def redacted(text: Column, found: Column, mark: str = "[SECRET]") -> Column:
-    """text with each stretch that spans cover replaced by mark; overlapping spans make one stretch."""
-    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+    """text with each stretch that spans (in order) cover replaced by mark; overlapping spans make one stretch.
+
+    The text is cut into one piece for each block of spans first, so that finding a place in it doesn't begin at its start each time."""
+
+    def whole(reach: Column) -> Column:
+        spans = F.zip_with(found, reach, lambda x, at: F.struct(x["start"].alias("start"), x["stop"].alias("stop"), at.alias("at")))
+        end = F.element_at(F.transform(F.slice(spans, -1, 1), lambda z: F.greatest(z["at"], z["stop"])), 1)
+
+        def piece(block: Column) -> Column:
+            low, high = block[0]["at"], F.element_at(block, -1)["start"]
+            part = F.substring(text, low + 1, F.greatest(high - low, F.lit(0)))
+            shown = lambda p: F.array_join(F.transform(block, lambda z: F.when(z["start"] >= z["at"], F.concat(F.substring(p, z["at"] - low + 1, z["start"] - z["at"]), F.lit(mark))).otherwise("")), "")
+            return _let(part, shown)
 
-    def step(acc: Column, s: Column) -> Column:
-        fresh = F.concat(acc["out"], F.substring(text, acc["at"] + 1, s["start"] - acc["at"]), F.lit(mark))
-        return F.when(s["start"] >= acc["at"], F.struct(s["stop"].alias("at"), fresh.alias("out"))).otherwise(F.struct(F.greatest(acc["at"], s["stop"]).alias("at"), acc["out"].alias("out")))
+        return F.concat(F.array_join(F.transform(_blocks(spans), piece), ""), F.substring(text, end + 1, F.length(text)))
 
-    return F.aggregate(found, start, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.length(text))))
+    return F.when(F.size(found) > 0, _let(running(F.transform(found, lambda x: x["stop"]), _larger), whole)).otherwise(text)
 
 
 def redact_secrets(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
@@ -133,8 +191,8 @@ def redact_secrets(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFram
     for r in rules:
         probe = probe | F.coalesce(F.col("text").rlike(r.probe), F.lit(False))
     suspects = body.where(probe).withColumn("__blob", F.sha2("text", 256))
-    found = blob_findings(update_ledger(suspects, None, rules)).select(F.col("blob").alias("__blob"), F.col("found").alias("__found"))
-    joined = suspects.join(found, "__blob", "left")
+    new = update_ledger(suspects.select("doc_id", "text"), None, rules)
+    joined = _to_paths(suspects.withColumnRenamed("__blob", "blob"), new).withColumnRenamed("found", "__found")
     text = F.when(F.col("__found").isNotNull(), redacted(F.col("text"), F.col("__found"))).otherwise(F.col("text"))
     changed = joined.withColumn("__text", text).select("doc_id", F.col("__text").alias("text"), "lang", "source", F.when(F.col("__found").isNotNull(), F.length("__text").cast("long")).otherwise(F.col("n_chars")).alias("n_chars"))
     return body.where(~probe).unionByName(changed)

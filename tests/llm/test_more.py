@@ -3,13 +3,13 @@
 import math
 import random
 import re
+import time
 from collections import Counter
 
-import numpy as np
 import pytest
-from test_llm import DOC, WORDS, clashing, docs_of
+from test_llm import PATTERNS, docs_of
 
-from roundjoin.llm import common, mixing
+from roundjoin.llm import common, mixing, secrets
 
 
 def offset_of(spark, seed, key):
@@ -57,3 +57,27 @@ def test_spread_join(spark):
     assert inner.columns == ["k", "i", "m"] and inner.count() == 899
     left = common.spread_join(rows, groups, "k", "i", "left").collect()
     assert len(left) == 901 and sorted(r.i for r in left if r.m is None) == [-1, 3]
+
+
+def brute_redaction(text, spans, mark="[SECRET]"):
+    out, at = "", 0
+    for a, b in sorted(spans):
+        if a >= at:
+            out += text[at:a] + mark
+        at = max(at, b)
+    return out + text[at:]
+
+
+def test_many_secrets_in_one_text(spark):
+    rng = random.Random(5)
+    bits = ["token=abcdef12", "é", "x" * 9, "deadbeef" * 4, "AKIA" + "Q" * 16, "secret: " + "0a" * 14, "password = hunter2222,", "\n", "api_key=AKIA" + "Z" * 17]
+    texts = [" ".join(rng.choice(bits) for _ in range(n)) for n in (1, 127, 128, 129, 700, 6000)] + ["token=abcdef12"] * 40
+    docs = docs_of(spark, texts)
+    started = time.time()
+    found = {r.doc_id: r for r in secrets.find_secrets(docs).collect()}
+    clean = {r.doc_id: r for r in secrets.redact_secrets(docs).collect()}
+    assert time.time() - started < 60
+    for i, t in enumerate(texts):
+        spans = sorted((m.start(), k, n, m.end()) for k, (n, p, g, least) in enumerate(PATTERNS) for m in re.finditer(p, t) if len(m[g]) >= least)
+        assert found[i].spans == ",".join(f"{n}:{a}:{b}" for a, _, n, b in spans)
+        assert clean[i].text == brute_redaction(t, [(a, b) for a, _, _, b in spans]) and clean[i].n_chars == len(clean[i].text)
