@@ -1,5 +1,7 @@
 """The text operators against brute force: mixing, secrets, URLs, archives, search, extraction, classifier, decontamination."""
 
+import base64
+import hashlib
 import math
 import random
 import re
@@ -9,7 +11,7 @@ from collections import Counter
 import pytest
 from test_llm import PATTERNS, docs_of
 
-from roundjoin.llm import common, mixing, secrets
+from roundjoin.llm import common, mixing, secrets, warc
 
 
 def offset_of(spark, seed, key):
@@ -81,3 +83,26 @@ def test_many_secrets_in_one_text(spark):
         spans = sorted((m.start(), k, n, m.end()) for k, (n, p, g, least) in enumerate(PATTERNS) for m in re.finditer(p, t) if len(m[g]) >= least)
         assert found[i].spans == ",".join(f"{n}:{a}:{b}" for a, _, n, b in spans)
         assert clean[i].text == brute_redaction(t, [(a, b) for a, _, _, b in spans]) and clean[i].n_chars == len(clean[i].text)
+
+
+def test_archives_of_awkward_payloads(spark, tmp_path):
+    ends = ["", "\r\n", "\r\n\r\n", "\r\n\r\n\r\n", "\r", "\n", "\r\n\r", "x\r\n\r\nWARC/1.1\r\nContent-Length: 3\r\n\r\nabc\r\n\r\n"]
+    html = [a + b for a in ends for b in ("", "é body")] + [a + b for a in ("", "y") for b in ends] * 2
+    rows = [(i, f"http://h/{i}", h) for i, h in enumerate(html)] + [(3, "http://h/3", html[3]), (None, None, "only without an id"), (None, "u", html[5])]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    for compression, per_file in (("gzip", 5), ("none", 1000)):
+        path = warc.write_archives(pages, str(tmp_path / compression), records_per_file=per_file, compression=compression)
+        got = Counter(tuple(r) for r in warc.read_archives(spark, path).collect())
+        first, want = {}, Counter()
+        for i, _, h in rows:
+            if i is not None:
+                first[h] = min(i, first.get(h, i))
+        for i, _, h in rows:
+            own = first.get(h, i)
+            digest = base64.b32encode(hashlib.sha1(h.encode()).digest()).decode()
+            want[(i, len(h.encode()), digest, "response" if own == i else "revisit", None if own == i else own, True)] += 1
+        assert got == want
+    text = "".join(x.read_text(newline="") for x in (tmp_path / "none").glob("part-*"))
+    assert text.count("WARC-Refers-To-Target-URI: http://h/") == text.count("WARC-Type: revisit") == text.count("WARC-Refers-To: <")
+    large = warc.round_trip(pages, min_bytes=10**6)
+    assert {r.record_type for r in large.collect()} == {"response"}
