@@ -43,9 +43,12 @@ HINTS = {
     "meta": "byline author date meta timestamp",
     "body": "content article post entry story text body main prose hentry articlebody",
 }
+#: Hints that an element's other names can outweigh.
+MILD = frozenset(("side", "meta", "share", "top", "bottom"))
 _HINT_OF = {w: k for k, words in HINTS.items() for w in words.split()}
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)>?", re.S)
+# quotes enclose a value only where they follow the equals sign
+_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^>=]|=\s*(?:\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z)|[^\s>]*))*+)>?", re.S)
 _ATTR = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _WORD = re.compile(r"[a-z]+")
 
@@ -61,15 +64,17 @@ class Leaf:
 
 @lru_cache(50_000)
 def _marks(name: str, attrs: str) -> frozenset[str]:
-    """Features that an open element gives to all blocks in it."""
-    out = {f"<{name}>"} if name in TAGS else set()
+    """Features that an open element gives to all blocks in it. Names that hint at both the text and what surrounds it, as story-date-tags, are one mixed hint."""
+    out, hints = {f"<{name}>"} if name in TAGS else set(), set()
     for m in _ATTR.finditer(attrs):
         for w in _WORD.findall((m[2] or m[3] or m[4] or "").lower()):
             if w in _HINT_OF and name not in ("body", "html"):
-                out.add(f".{_HINT_OF[w]}")
+                hints.add(_HINT_OF[w])
             if m[1].lower() == "role" and w in ("navigation", "banner", "contentinfo", "complementary", "search"):
                 out.add("." + {"navigation": "menu", "banner": "top", "contentinfo": "bottom", "complementary": "side", "search": "menu"}[w])
-    return frozenset(out)
+    if "body" in hints and hints & MILD and not hints - MILD - {"body"}:
+        hints = {"mixed"}
+    return frozenset(out | {f".{x}" for x in hints})
 
 
 def leaf_blocks(page: str) -> list[Leaf]:
@@ -77,7 +82,11 @@ def leaf_blocks(page: str) -> list[Leaf]:
     space. Unclosed and misnested elements are closed where HTML's rules for head, p, li, button, select, option and table cells, or the end of an outer
     element, close them. Elements that hide their text but lack an end tag, such as a button, hide it up to the next block only."""
     out: list[Leaf] = []
+    # each open element with what holds below it: features, whether text is hidden, whether it is in a link
     stack: list[tuple[str, frozenset[str], bool, bool]] = []
+    places: dict[str, list[int]] = {}  # of open elements, by name
+    blocks: list[int] = []  # places of open block elements
+    loose: list[int] = []  # places of elements that hide their text up to the next block only
     parts: list[str] = []
     linked = [0]
 
@@ -85,28 +94,47 @@ def leaf_blocks(page: str) -> list[Leaf]:
         if parts:
             text = " ".join("".join(parts).split())
             if text:
-                names = frozenset().union(*(x[1] for x in stack)) if stack else frozenset()
-                out.append(Leaf(text, names, min(1.0, linked[0] / len(text))))
+                out.append(Leaf(text, stack[-1][1] if stack else frozenset(), min(1.0, linked[0] / len(text))))
             parts.clear()
             linked[0] = 0
 
+    def push(name: str, attrs: str, hides: bool, until_block: bool = False) -> None:
+        _, names, hidden, link = stack[-1] if stack else ("", frozenset(), False, False)
+        marks, k = _marks(name, attrs), len(stack)
+        stack.append((name, names if marks <= names else names | marks, hidden or hides, link or name == "a"))
+        places.setdefault(name, []).append(k)
+        if name in BLOCK:
+            blocks.append(k)
+        if until_block:
+            loose.append(k)
+
+    def drop(k: int) -> None:
+        """Closes the elements from place k on."""
+        while len(stack) > k:
+            places[stack.pop()[0]].pop()
+        while blocks and blocks[-1] >= k:
+            blocks.pop()
+        while loose and loose[-1] >= k:
+            loose.pop()
+
+    def last(*names: str) -> int:
+        """Place of the innermost open element with one of the names."""
+        return max((places[x][-1] for x in names if places.get(x)), default=-1)
+
     def say(raw: str) -> None:
         if stack and stack[-1][0] == "head" and raw.strip():
-            stack.pop()
-        if raw and not any(x[2] for x in stack):
+            drop(len(stack) - 1)
+        if raw and not (stack and stack[-1][2]):
             text = html_lib.unescape(raw) if "&" in raw else raw
             parts.append(text)
-            if any(x[0] == "a" for x in stack):
+            if stack and stack[-1][3]:
                 linked[0] += len(text.strip())
 
-    def close(name: str) -> None:
-        while stack:
-            top = stack[-1][0]
-            if top in BLOCK:
-                cut()
-            stack.pop()
-            if top == name:
-                break
+    def close(k: int) -> None:
+        if blocks and blocks[-1] >= k:
+            drop(blocks[-1] + 1)
+            cut()
+        drop(k)
 
     at, n = 0, len(page)
     while at < n:
@@ -125,64 +153,55 @@ def leaf_blocks(page: str) -> list[Leaf]:
             continue
         name = m[2].lower()
         if m[1]:
-            if any(x[0] == name for x in stack):
+            if places.get(name):
                 if name in BLOCK:
                     cut()
-                close(name)
+                close(last(name))
             elif name == "p":
                 cut()
             continue
-        if name not in IN_HEAD:
-            for k, x in enumerate(stack):
-                if x[0] == "head":
-                    del stack[k:]
-                    break
-        if name in BLOCK and name not in ("br", "hr"):
-            for k, x in enumerate(stack):
-                if x[3]:
-                    del stack[k:]
-                    break
-        if name in ENDS_OWN:
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][0] == name:
-                    del stack[k:]
-                    break
-                if stack[k][0] in ("table", "td", "th", "object"):
-                    break
+        if name not in IN_HEAD and places.get("head"):
+            drop(places["head"][0])
+        if name in BLOCK and name not in ("br", "hr") and loose:
+            drop(loose[0])
+        if name in ENDS_OWN and last(name) > last("table", "td", "th", "object"):
+            drop(last(name))
         if name in BLOCK:
             cut()
             if name in CLOSES_P:
-                for k in range(len(stack) - 1, -1, -1):
-                    if stack[k][0] == "p":
-                        del stack[k:]
-                        break
-                    if stack[k][0] in BLOCK:
-                        break
+                if blocks and stack[blocks[-1]][0] == "p":
+                    drop(blocks[-1])
             elif name in ("li", "td", "th", "tr", "dd", "dt"):
-                for k in range(len(stack) - 1, -1, -1):
-                    if stack[k][0] == name or name == "tr" and stack[k][0] in ("td", "th"):
-                        del stack[k:]
-                        break
-                    if stack[k][0] in ("ul", "ol", "table", "dl", "menu"):
-                        break
+                k = last(*{"tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "dd": ("dd", "dt"), "dt": ("dd", "dt")}.get(name, (name,)))
+                if k > last("ul", "ol", "table", "dl", "menu"):
+                    drop(last("tr") if name == "tr" and last("tr") > last("table") else k)
         if name in VOID:
             continue
         if name in RAW and not (m[3] or "").rstrip().endswith("/"):
-            end = re.compile(rf"</{name}\s*>?", re.I).search(page, at)
+            end = _end_of(name).search(page, at)
             at = end.end() if end else n
             continue
         if (m[3] or "").rstrip().endswith("/") and name not in BLOCK:
             continue
-        unseen = name in UNSEEN
-        if unseen and name != "head":
-            after = re.compile(rf"<(/?){re.escape(name)}(?![^\s/>])", re.I).search(page, at)
-            stack.append((name, _marks(name, m[3] or ""), True, after is None or not after[1]))
+        if name in UNSEEN and name != "head":
+            after = _tag_of(name).search(page, at)
+            push(name, m[3] or "", True, after is None or not after[1])
         else:
-            stack.append((name, _marks(name, m[3] or ""), unseen, False))
+            push(name, m[3] or "", name in UNSEEN)
     cut()
     return out
 
 
+@lru_cache(100)
+def _end_of(name: str) -> re.Pattern:
+    return re.compile(rf"</{name}\s*>?", re.I)
+
+
+@lru_cache(100)
+def _tag_of(name: str) -> re.Pattern:
+    return re.compile(rf"<(/?){re.escape(name)}(?![^\s/>])", re.I)
+
+
 def features(leaves: list[Leaf]) -> list[tuple[str, ...]]:
     """Names of the features that hold of each block."""
     rows = []
@@ -303,6 +322,25 @@ def labelled_pages(n: int = 240, seed: int = 5) -> list[tuple[str, list[str]]]:
             "share": lambda: f'<div class="share">{links(3)}</div>',
             "bottom": lambda: rng.choice((f"<footer>&copy; {word()} &middot; {sentence(2, 12)}</footer>", f'<div id="footer"><p>&copy; {some(2, 8)}</p><ul>{links(3)}</ul></div>')),
         }
+        def cells(tag: str, k: int) -> str:
+            return "".join(para(tag, 1, 6) for _ in range(k))
+
+        def rich() -> str:
+            """Blocks of articles other than paragraphs, and paragraphs in elements whose names hint at both the text and what surrounds it."""
+            return rng.choice((
+                lambda: f"<table><tr>{cells('th', 2)}</tr><tr>{cells('td', 2)}</tr></table>",
+                lambda: f"<table><caption>{cells('span', 1)}</caption><tbody><tr>{cells('td', 3)}</tr></tbody></table>",
+                lambda: para("pre", 2, 30),
+                lambda: f"<pre>{para('code', 2, 30)}</pre>",
+                lambda: f"<dl>{cells('dt', 1)}{cells('dd', 2)}</dl>",
+                lambda: f"<figure><img src=x>{para('figcaption', 2, 12)}</figure>",
+                lambda: f"<details>{para('summary', 1, 6)}{para()}</details>",
+                lambda: f"<ol>{cells('li', 3)}</ol>",
+                lambda: f'<div class="{rng.choice(mixed)}">{para(lo=rng.choice((1, 8)))}{para(lo=5)}</div>',
+                lambda: f'<div class="{rng.choice(("row", "wide", "note", "box"))}">{para(lo=1)}</div>',
+            ))()
+
+        mixed = ("story-date-tags", "entry-meta-text", "post-top", "text-side", "article-header-text", "main-share", "prose bottom", "story-related-text")
         blocks = [para("h1", 1, 12)] if rng.random() < 0.85 else []
         for _ in range(rng.randint(0 if blocks else 1, 9)):
             kind = rng.random()
@@ -314,6 +352,8 @@ def labelled_pages(n: int = 240, seed: int = 5) -> list[tuple[str, list[str]]]:
                 blocks.append(f"<ul>{''.join(para('li', 1, 12) for _ in range(3))}</ul>")
             elif kind < 0.9:
                 blocks.append(f"<blockquote>{para()}</blockquote>")
+            elif kind < 0.9 + 0.04 * (rng.random() < 0.8):
+                blocks.append(rich())
             elif kind < 0.95:
                 text = (some(1, 5), some(1, 3), some(1, 5))
                 main.append(" ".join(text))
@@ -323,6 +363,8 @@ def labelled_pages(n: int = 240, seed: int = 5) -> list[tuple[str, list[str]]]:
         body = rng.choice(("<article>{}</article>", "<article>{}</article>", "<main>{}</main>", "<main><article>{}</article></main>", '<div class="content">{}</div>', '<div id="post-body">{}</div>', "<div><div>{}</div></div>", '<section class="entry">{}</section>')).format("".join(blocks))
         before = [junk[k]() for k in ("top", "menu", "notice", "ad", "form") if rng.random() < 0.55]
         after = [junk[k]() for k in ("share", "side", "ad", "reader", "form", "notice", "bottom") if rng.random() < 0.5]
+        if rng.random() < 0.15:
+            before, after = before[:1] if rng.random() < 0.5 else [], []
         page = f"<!DOCTYPE html><html><head><title>{word()}</title><style>p{{}}</style></head><body>{''.join(before)}{body}{''.join(after)}"
         made.append((page + ("</body></html>" if rng.random() < 0.9 else ""), main))
     return made

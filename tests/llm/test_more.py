@@ -2,16 +2,18 @@
 
 import base64
 import hashlib
+import itertools
 import math
 import random
 import re
 import time
 from collections import Counter
 
+import numpy as np
 import pytest
 from test_llm import PATTERNS, docs_of
 
-from roundjoin.llm import common, mixing, secrets, warc
+from roundjoin.llm import common, html_text, mixing, secrets, warc
 
 
 def offset_of(spark, seed, key):
@@ -106,3 +108,40 @@ def test_archives_of_awkward_payloads(spark, tmp_path):
     assert text.count("WARC-Refers-To-Target-URI: http://h/") == text.count("WARC-Type: revisit") == text.count("WARC-Refers-To: <")
     large = warc.round_trip(pages, min_bytes=10**6)
     assert {r.record_type for r in large.collect()} == {"response"}
+
+
+def test_viterbi_against_all_labelings():
+    rng = random.Random(9)
+    for _ in range(60):
+        names = ["", *"abcd"]
+        emit, move = (np.array([[rng.gauss(0, 2) for _ in range(2)] for _ in range(k)]) for k in (5, 2))
+        model = html_text.ChainModel(names, emit, move)
+        rows = [tuple(x for x in "abcd" if rng.random() < 0.5) for _ in range(rng.randint(1, 8))]
+
+        def score(labels):
+            return sum(emit[[names.index(f) for f in ("", *r)], y].sum() for r, y in zip(rows, labels, strict=True)) + sum(move[p, q] for p, q in itertools.pairwise(labels))
+
+        assert score(model.decode(rows)) == pytest.approx(max(map(score, itertools.product((0, 1), repeat=len(rows)))))
+
+
+def test_extraction_keeps_the_whole_article(spark):
+    cases = {
+        "<article><p class=it's>one two</p><p>three it's fine.</p></article>": "one two three it's fine.",
+        "<article><h1>T</h1><table><tr><td>a b<td>c d</table><pre>x = 1\ny</pre></article>": "T a b c d x = 1 y",
+        "<article><h1>Head</h1><div class='story-date-tags'><p>A paragraph of some words that is text.</p></div><p>More of it here.</p></article>": "Head A paragraph of some words that is text. More of it here.",
+        "<article><h1>T</h1><dl><dt>term one<dd>what it means here.</dl><figure><img src=x><figcaption>A caption of it.</figcaption></figure><p>End of it.</article>": "T term one what it means here. A caption of it. End of it.",
+        '<article><p title="a > b" data-x=\'">\'>Quoted signs are no tags.</p><p>And more text.</p></article>': "Quoted signs are no tags. And more text.",
+        "<nav><a href=/>Home</a></nav><article><h1>Title of it</h1><p>Some text of the page.</p></article><footer>&copy; us</footer>": "Title of it Some text of the page.",
+    }
+    rows = [(i, "u", h) for i, h in enumerate(cases)] * 2 + [(99, None, "<div>" * 60_000 + "deep text"), (None, "u", None)]
+    got = html_text.extract_main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    for i, want in enumerate(cases.values()):
+        assert [r.text for r in got if r.page_id == i] == [want] * 2
+    assert len(got) == len(rows) and next(r for r in got if r.page_id is None).text == ""
+
+
+def test_parsing_takes_time_in_proportion():
+    for page in ("<div>a ", "<span>a ", "<a href=x>a ", "<ul><li>a ", "<table><tr><td>a ", "<button>a ", "<object>a "):
+        started = time.time()
+        html_text.leaf_blocks(page * 20_000 + "<div>b</div>" * 20_000)
+        assert time.time() - started < 10, page
