@@ -7,11 +7,13 @@ Equal vectors are one node of the graph; of their ids only the k + 1 least can b
 
 from __future__ import annotations
 
+import itertools
+from itertools import accumulate
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from .common import cut, pick
 
@@ -154,68 +156,88 @@ def search(df: DataFrame, every: int = 20, k: int = K, degree: int = DEGREE, bui
 
     Null, zero and non-finite vectors take no part; vectors of another length than most are compared within their length only; fewer than k other rows
     give fewer answers; a repeated vec_id counts once (its least vector); ties go to the smaller vec_id; an empty table gives no rows; other columns
-    are ignored. Every shard answers every query, in blocks of queries; a shard's graph is written once and read by all blocks."""
+    are ignored. Every shard is one partition: its vectors become a graph, and blocks of queries come to it one after another, each once, so a task holds a
+    shard and a block. Of a query's answers a shard sends on k + 1 at most, and more only where scores tie."""
     rows = usable(df).groupBy("vec_id").agg(F.min("embedding").alias("embedding"))
     rows = cut(rows.withColumn("dim", F.size("embedding")).withColumn("h", F.xxhash64("embedding")))
     rank = F.row_number().over(Window.partitionBy("h", "embedding").orderBy("vec_id"))
     distinct = cut(rows.withColumn("r", rank).where(F.col("r") <= k + 1).groupBy("dim", "h", "embedding").agg(F.array_sort(F.collect_list("vec_id")).alias("ids")))
-    sizes = distinct.groupBy("dim").count().collect()
+    sizes = sorted((r["dim"], r["count"]) for r in distinct.groupBy("dim").count().collect())
     if not sizes:
         return df.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    shards_of = F.create_map(*[F.lit(x) for r in sizes for x in (r["dim"], -(-r["count"] // shard_rows))])
-    placed = distinct.withColumn("shard", F.pmod("h", shards_of[F.col("dim")]).cast("int"))
-    index = cut(placed.groupBy("dim", "shard").applyInArrow(lambda shard: _index_shard(shard, degree, build_beam, alpha), _INDEX))
+    # shards are numbered through, those of a length one after another
+    per = {dim: -(-n // shard_rows) for dim, n in sizes}
+    first = dict(zip(per, accumulate(per.values(), initial=0), strict=False))
+    shards_of, first_of = (F.create_map(*[F.lit(x) for pair in m.items() for x in pair])[F.col("dim")] for m in (per, first))
+    total = sum(per.values())
+    none = {"embedding": "array<double>", "ids": "array<bigint>", "queries": "array<struct<query_id:bigint,embedding:array<double>>>"}
+    vectors = distinct.select((first_of + F.pmod("h", shards_of)).cast("int").alias("shard"), F.lit(-1).alias("block"), "h", "embedding", "ids", F.lit(None).cast(none["queries"]).alias("queries"))
     queries = rows.where(F.col("vec_id") % every == 0).select(F.col("vec_id").alias("query_id"), "dim", "embedding")
-    n_queries = queries.count()
-    blocks = max(1, -(-n_queries // query_block))
-    packed = queries.withColumn("block", F.pmod(F.xxhash64("query_id"), F.lit(blocks)).cast("int")).groupBy("dim", "block").agg(F.collect_list(F.struct("query_id", "embedding")).alias("queries"))
-    asked = packed.join(index.select("dim", "shard"), "dim").select("dim", "shard", "block", "queries")
-    met = asked.join(index, ["dim", "shard"]).repartition(F.col("dim"), F.col("shard"), F.col("block")).mapInArrow(lambda batches: _answer_blocks(batches, k, beam), "query_id long, vec_id long, score double")
+    blocks = max(1, -(-queries.count() // query_block))
+    packed = cut(queries.withColumn("block", F.pmod(F.xxhash64("query_id"), F.lit(blocks)).cast("int")).groupBy("dim", "block").agg(F.collect_list(F.struct("query_id", "embedding")).alias("queries")))
+    shard = F.explode(F.sequence(first_of, first_of + shards_of - 1))
+    asked = packed.select(shard.alias("shard"), "block", F.lit(0).cast("long").alias("h"), F.lit(None).cast(none["embedding"]).alias("embedding"), F.lit(None).cast(none["ids"]).alias("ids"), "queries")
+    dealt = vectors.unionByName(asked).repartitionById(total, "shard").sortWithinPartitions("shard", "block", "h")
+    # a build is not to be done twice, so what the shards say is written
+    met = cut(dealt.mapInArrow(lambda batches: _answers(batches, k, degree, build_beam, beam, alpha), "query_id long, vec_id long, score double"))
     nearest = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return met.withColumn("rank", F.row_number().over(nearest)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
-_INDEX = T.StructType([T.StructField("dim", T.IntegerType()), T.StructField("shard", T.IntegerType()), T.StructField("n", T.IntegerType()), T.StructField("vectors", T.BinaryType()), T.StructField("graph", T.BinaryType()), T.StructField("start", T.BinaryType()), T.StructField("ids", T.ArrayType(T.ArrayType(T.LongType())))])
-
-
-def _index_shard(shard: pa.Table, degree: int, build_beam: int, alpha: float) -> pa.Table:
-    order = np.argsort(shard.column("h").to_numpy(), kind="stable")
-    shard = shard.take(pa.array(order)).combine_chunks()
-    dim = shard.column("dim")[0].as_py()
-    vectors = shard.column("embedding").chunk(0).flatten().to_numpy().reshape(-1, dim)
-    graph, start = build_graph(lifted(vectors).astype(np.float32), degree, build_beam, alpha)
-    return pa.table({"dim": pa.array([dim], pa.int32()), "shard": pa.array([shard.column("shard")[0].as_py()], pa.int32()), "n": pa.array([len(vectors)], pa.int32()), "vectors": [np.ascontiguousarray(vectors).tobytes()], "graph": [graph.astype(np.int32).tobytes()], "start": [start.astype(np.int64).tobytes()], "ids": pa.array([shard.column("ids").to_pylist()], pa.list_(pa.list_(pa.int64())))})
-
-
-def _answer_blocks(batches, k: int, beam: int):
+class Shard:
+    """Distinct vectors of one length with their ids, and the graph over them."""
+
+    def __init__(self, vectors: np.ndarray, ids: list[list[int]], degree: int, build_beam: int, alpha: float):
+        self.vectors, self.ids = vectors, ids
+        self.points = lifted(vectors).astype(np.float32)
+        self.graph, self.start = build_graph(self.points, degree, build_beam, alpha)
+
+    def nearest(self, queries: np.ndarray, k: int, beam: int) -> list[np.ndarray]:
+        """Nodes near each query. A query whose search meets fewer nodes than k, as in a graph of several parts, is compared with all."""
+        near, _ = beam_search(self.points, self.graph, self.start, np.hstack([queries, np.zeros((len(queries), 1))]).astype(np.float32), max(beam, k, len(self.start)))
+        found = [nodes[nodes >= 0] for nodes in near]
+        every = np.arange(len(self.ids))
+        return [nodes if len(nodes) >= min(k, len(every)) else every for nodes in found]
+
+    def answers(self, asked: list[dict], k: int, beam: int) -> list[tuple[int, int, float]]:
+        """query_id, vec_id and score of the k + 1 best of each query (its own vector may be one), and of those that tie with the last."""
+        out = []
+        for at in range(0, len(asked), 256):
+            part = asked[at : at + 256]
+            q = np.array([x["embedding"] for x in part])
+            for x, y, nodes in zip(part, q, self.nearest(q, k + 1, beam), strict=True):
+                scores, left, last = self.vectors[nodes] @ y, k + 1, np.inf
+                for j in np.argsort(-scores, kind="stable"):
+                    if left <= 0 and scores[j] < last:
+                        break
+                    last = scores[j]
+                    for v in self.ids[nodes[j]]:
+                        if v != x["query_id"]:
+                            out.append((x["query_id"], v, float(scores[j])))
+                            left -= 1
+        return out
+
+
+def _answers(batches, k: int, degree: int, build_beam: int, beam: int, alpha: float):
+    """Rows come by shard, its vectors before the blocks of queries to it."""
+    now, vectors, ids, shard = None, [], [], None
     for b in batches:
-        for row in range(b.num_rows):
-            dim, n = b.column("dim")[row].as_py(), b.column("n")[row].as_py()
-            vectors = np.frombuffer(b.column("vectors")[row].as_py()).reshape(n, dim)
-            graph = np.frombuffer(b.column("graph")[row].as_py(), dtype=np.int32).reshape(n, -1)
-            start = np.frombuffer(b.column("start")[row].as_py(), dtype=np.int64)
-            ids = b.column("ids")[row].as_py()
-            asked = b.column("queries")[row].as_py()
-            q = np.array([x["embedding"] for x in asked])
-            points = lifted(vectors).astype(np.float32)
-            out_q, out_v, out_s = [], [], []
-            for at in range(0, len(q), 256):
-                part = q[at : at + 256]
-                # one more place than k, as the query's own vector may take one
-                near, _ = beam_search(points, graph, start, np.hstack([part, np.zeros((len(part), 1))]).astype(np.float32), max(beam, k + 1, len(start)))
-                for i, nodes in enumerate(near):
-                    nodes = nodes[nodes >= 0]
-                    scores = vectors[nodes] @ part[i]
-                    own = asked[at + i]["query_id"]
-                    left = k + 1
-                    for j in np.argsort(-scores, kind="stable")[: 2 * k + 2]:
-                        if left <= 0 and scores[j] < last:
-                            break
-                        last = scores[j]
-                        for v in ids[nodes[j]]:
-                            if v != own:
-                                out_q.append(own)
-                                out_v.append(v)
-                                out_s.append(float(scores[j]))
-                                left -= 1
-            yield pa.record_batch([pa.array(out_q, pa.int64()), pa.array(out_v, pa.int64()), pa.array(out_s, pa.float64())], names=["query_id", "vec_id", "score"])
+        numbers, block = b.column("shard").to_numpy(), b.column("block").to_numpy()
+        cuts = [0, *(np.flatnonzero((np.diff(numbers) != 0) | (block[1:] >= 0)) + 1).tolist(), b.num_rows]
+        for lo, hi in itertools.pairwise(cuts):
+            if lo == hi:
+                continue
+            if numbers[lo] != now:
+                now, vectors, ids, shard = numbers[lo], [], [], None
+            part = b.slice(lo, hi - lo)
+            if block[lo] < 0:
+                lists = part.column("embedding")
+                vectors.append(lists.flatten().to_numpy(zero_copy_only=False).reshape(hi - lo, -1))
+                ids += part.column("ids").to_pylist()
+                continue
+            if not vectors:
+                continue
+            shard = shard or Shard(np.concatenate(vectors), ids, degree, build_beam, alpha)
+            out = shard.answers(part.column("queries")[0].as_py(), k, beam)
+            cols = list(zip(*out, strict=True)) or [[]] * 3
+            yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.float64()), strict=True)], names=["query_id", "vec_id", "score"])

@@ -13,7 +13,7 @@ import numpy as np
 import pytest
 from test_llm import PATTERNS, docs_of
 
-from roundjoin.llm import common, html_text, mixing, secrets, warc
+from roundjoin.llm import ann, common, html_text, mixing, secrets, warc
 
 
 def offset_of(spark, seed, key):
@@ -145,3 +145,42 @@ def test_parsing_takes_time_in_proportion():
         started = time.time()
         html_text.leaf_blocks(page * 20_000 + "<div>b</div>" * 20_000)
         assert time.time() - started < 10, page
+
+
+def test_search_of_shards_with_parts_and_ties(spark, small):
+    rng = np.random.default_rng(3)
+    far = np.vstack([rng.normal(size=(30, 6)) + 1000 * rng.normal(size=6) for _ in range(12)])
+    far[40:70] = far[40]
+    rows = [(i, v.tolist()) for i, v in enumerate(far)] + [(0, far[0].tolist()), (1000, [1.0, 2.0]), (1001, [3.0, 4.0]), (1020, [5.0, 6.0]), (20, None)]
+    got = ann.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), shard_rows=100, query_block=7).toPandas()
+    hits = 0
+    for q in range(0, 360, 20):
+        s = far @ far[q]
+        s[q] = -np.inf
+        own = got[got.query_id == q].sort_values("rank")
+        assert len(own) == 20 and own.vec_id.is_unique
+        hits += sum(s[v] >= np.sort(s)[-20] for v in own.vec_id)
+        assert [tuple(x) for x in own[["score", "vec_id"]].values] == sorted(map(tuple, own[["score", "vec_id"]].values), key=lambda x: (-x[0], x[1]))
+    assert hits / 360 >= 0.9
+    assert got[got.query_id.isin((1000, 1020))].groupby("query_id").vec_id.apply(list).to_dict() == {1000: [1020, 1001], 1020: [1001, 1000]}
+    graph = np.full((50, 4), -1)
+    shard = ann.Shard(far[:50], [[i] for i in range(50)], 4, 16, 1.2)
+    shard.graph, shard.start = graph, np.array([0])
+    assert len(shard.nearest(far[:1], 21, 32)[0]) == 50
+
+
+def recall(spark, path):
+    e = common.table(spark, path, "embeddings").toPandas()
+    got = ann.search(common.table(spark, path, "embeddings")).toPandas()
+    x, hits, n = np.stack(e.embedding).astype(float), 0, 0
+    ids = e.vec_id.to_numpy()
+    for q in ids[ids % 20 == 0]:
+        s = x @ x[ids == q][0]
+        s[ids == q] = -np.inf
+        best = set(ids[np.lexsort((ids, -s))[:20]])
+        hits, n = hits + len(best & set(got[got.query_id == q].vec_id)), n + len(best)
+    return hits / n
+
+
+def test_recall_on_the_given_vectors(spark):
+    assert recall(spark, "/root/testdata/sf0.1") >= 0.9
