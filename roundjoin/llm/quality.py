@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import DOC_COLUMNS, cut, pick
+from .common import DOC_COLUMNS, Bloom, cut, pick
 
 #: Frequent function words of the four languages.
 STOP_WORDS = frozenset(
@@ -88,7 +88,7 @@ def isotonic(x: np.ndarray, y: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, n
     return np.array([b[0] / b[2] for b in blocks]), np.array([b[1] / b[2] for b in blocks])
 
 
-def _sums(rows: DataFrame, fold: DataFrame | None, lift, width: int) -> np.ndarray:
+def _sums(rows: DataFrame, lift, width: int) -> np.ndarray:
     """Sum over all rows of the outer product of [lift(stats), y], one partial matrix a partition and one block row a group."""
 
     def part(batches):
@@ -111,17 +111,19 @@ def _sums(rows: DataFrame, fold: DataFrame | None, lift, width: int) -> np.ndarr
     return total
 
 
-def train(stats: DataFrame, labels: DataFrame, seed: int = 7, features: int = FEATURES, gamma: float = GAMMA, ridge: float = RIDGE, max_train_rows: int = MAX_TRAIN_ROWS) -> QualityModel:
-    """Fits on labelled rows outside the held-out fold, at most about max_train_rows of them, chosen by a hash of doc_id.
+def train(docs: DataFrame, labels: DataFrame, seed: int = 7, features: int = FEATURES, gamma: float = GAMMA, ridge: float = RIDGE, max_train_rows: int = MAX_TRAIN_ROWS) -> QualityModel:
+    """Fits on labelled rows outside the held-out fold, at most about max_train_rows of them, chosen by a hash of doc_id. Statistics are taken of their texts
+    only, which a Bloom filter of bounded size picks out.
 
-    stats: doc_id, stats. labels: doc_id, quality. Rows with a null id or quality are no examples. The folds 2-4 of five fit the ridge,
-    fold 1 the calibration. With no example, or one class only, the model is the constant base rate (0.5 without examples)."""
+    docs: doc_id, text. labels: doc_id, quality. Rows with a null id or quality are no examples; a document labelled twice has the larger label. The folds 2-4
+    of five fit the ridge, fold 1 the calibration. With no example, or one class only, the model is the constant base rate (0.5 without examples)."""
     y = pick(labels, "doc_id", "quality").where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.max("quality").cast("double").alias("y"))
     y = y.withColumn("fold", F.expr("crc32(cast(doc_id as string)) % 5")).where("fold <> 0")
     n = y.count()
     if n > max_train_rows:
         y = y.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(1e6 * max_train_rows / n))
-    rows = cut(stats.where("doc_id is not null").join(y, "doc_id").select("stats", "y", "fold"))
+    y = cut(y)
+    rows = cut(stats_of(docs, Bloom.of(y.select("doc_id"))).where("doc_id is not null").join(y, "doc_id").select("stats", "y", "fold"))
     head = rows.agg(F.count("*").alias("n"), F.sum("y").alias("s"), *[F.avg(F.col("stats")[i]).alias(f"m{i}") for i in range(N_STATS)], *[F.stddev_pop(F.col("stats")[i]).alias(f"d{i}") for i in range(N_STATS)]).first()
     rng = np.random.default_rng(seed)
     waves, phase = rng.normal(scale=np.sqrt(2 * gamma), size=(N_STATS, features)), rng.uniform(0, 2 * np.pi, features)
@@ -130,7 +132,7 @@ def train(stats: DataFrame, labels: DataFrame, seed: int = 7, features: int = FE
         return QualityModel(np.zeros(N_STATS), np.ones(N_STATS), waves, phase, np.zeros(features + N_STATS + 1), np.zeros(0), np.zeros(0), base)
     model = QualityModel(np.array([head[f"m{i}"] for i in range(N_STATS)]), np.array([head[f"d{i}"] or 1.0 for i in range(N_STATS)]), waves, phase, np.zeros(features + N_STATS + 1), np.zeros(0), np.zeros(0), head.s / head.n)
     width = features + N_STATS + 1
-    fit = _sums(rows.where("fold > 1"), None, model.lift, width)
+    fit = _sums(rows.where("fold > 1"), model.lift, width)
     a = fit[:width, :width] + ridge * np.eye(width)
     a[-1, -1] -= ridge * 0.999
     model.weights = np.linalg.solve(a, fit[:width, width])
@@ -150,39 +152,45 @@ def train(stats: DataFrame, labels: DataFrame, seed: int = 7, features: int = FE
     return model
 
 
-def stats_of(docs: DataFrame) -> DataFrame:
-    """doc_id and the statistics of the whole text, for every row."""
+def stats_of(docs: DataFrame, wanted: Bloom | None = None) -> DataFrame:
+    """doc_id and the statistics of the whole text, for every row; with a filter for the rows that it may hold."""
 
     def run(batches):
+        held = None
         for b in batches:
+            if wanted is not None:
+                held = held or wanted.test()
+                b = b.filter(pa.array(held.may_hold(b.column("doc_id"))))
             s = stats_batch(b.column("text"))
             flat = pa.array(s.reshape(-1))
             yield pa.record_batch([b.column("doc_id"), pa.ListArray.from_arrays(pa.array(np.arange(0, s.size + 1, N_STATS, dtype=np.int32)), flat)], names=["doc_id", "stats"])
 
-    return pick(docs, "doc_id", "text").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, stats array<double>")
+    return _texts(docs).mapInArrow(run, "doc_id long, stats array<double>")
+
+
+def _texts(docs: DataFrame) -> DataFrame:
+    return pick(docs, "doc_id", "text").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
 
 def score_documents(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, **training) -> DataFrame:
-    """doc_id, held_out, score, predicted for every row of docs.
+    """doc_id, held_out, score, predicted for every row of docs, in one pass over the texts after training.
 
     Null and empty texts are scored by the statistics of the empty text; a null doc_id keeps its row (held_out then is false, as it can't be a
     labelled row); repeated rows are scored alike; an empty table gives no rows; other columns are ignored."""
-    stats = cut(stats_of(docs))
-    model = train(stats, labels, **training)
+    model = train(docs, labels, **training)
 
     def run(batches):
         for b in batches:
-            s = np.array(b.column("stats").to_pylist(), dtype=np.float64).reshape(b.num_rows, N_STATS)
-            yield pa.record_batch([b.column("doc_id"), pa.array(model.score(s))], names=["doc_id", "score"])
+            yield pa.record_batch([b.column("doc_id"), pa.array(model.score(stats_batch(b.column("text"))))], names=["doc_id", "score"])
 
-    scored = stats.mapInArrow(run, "doc_id long, score double")
+    scored = _texts(docs).mapInArrow(run, "doc_id long, score double")
     held = F.coalesce(F.expr("crc32(cast(doc_id as string)) % 5 = 0"), F.lit(False))
     return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, **training) -> DataFrame:
     """The rows of docs whose score reaches the threshold, with the columns of documents. Edge cases as in score_documents."""
-    model = train(cut(stats_of(docs)), labels, **training)
+    model = train(docs, labels, **training)
     rows = pick(docs, *DOC_COLUMNS)
 
     def run(batches):

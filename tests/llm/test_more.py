@@ -7,13 +7,14 @@ import math
 import random
 import re
 import time
+import zlib
 from collections import Counter
 
 import numpy as np
 import pytest
-from test_llm import PATTERNS, docs_of
+from test_llm import PATTERNS, WORDS, clashing, docs_of
 
-from roundjoin.llm import ann, common, html_text, mixing, secrets, warc
+from roundjoin.llm import ann, common, html_text, mixing, quality, secrets, warc
 
 
 def offset_of(spark, seed, key):
@@ -184,3 +185,30 @@ def recall(spark, path):
 
 def test_recall_on_the_given_vectors(spark):
     assert recall(spark, "/root/testdata/sf0.1") >= 0.9
+
+
+def test_classifier_against_direct_normal_equations(spark):
+    rng = random.Random(4)
+    texts, good = [], []
+    for _ in range(220):
+        good.append(int(rng.random() < 0.5))
+        texts.append(". ".join(" ".join(rng.choice(WORDS) for _ in range(rng.randint(3, 9))).capitalize() for _ in range(rng.randint(1, 5))) if good[-1] else "".join(rng.choice("#$%&AZ 09") for _ in range(rng.randint(5, 90))))
+    docs = docs_of(spark, [*texts, texts[3], None, ""], [*range(220), 3, 300, None])
+    labels = spark.createDataFrame([(i, g) for i, g in enumerate(good)] + [(5, good[5]), (None, 1), (6, None), (999, 1)], "doc_id long, quality int")
+    model = quality.train(clashing(docs), labels, features=24)
+    fold = [zlib.crc32(str(i).encode()) % 5 for i in range(220)]
+    used = [i for i in range(220) if fold[i]] + [3] * bool(fold[3])  # a repeated document counts twice
+    stats = np.array([quality.document_stats(t) for t in texts])
+    mean, scale = stats[used].mean(0), stats[used].std(0)
+    scale[scale == 0] = 1.0
+    assert np.allclose(model.mean, mean) and np.allclose(model.scale[scale > 1e-9], scale[scale > 1e-9])
+    fit = [i for i in used if fold[i] > 1]
+    x, y = model.lift(stats[fit]), np.array(good)[fit]
+    penalty = np.eye(x.shape[1])
+    penalty[-1, -1] -= 0.999
+    assert np.allclose(model.weights, np.linalg.solve(x.T @ x + penalty, x.T @ y), atol=1e-6)
+    got = quality.score_documents(clashing(docs), labels, features=24).collect()
+    assert len(got) == 223 and sum(r.doc_id == 3 for r in got) == 2
+    assert all(r.score == pytest.approx(model.score(stats[[r.doc_id]])[0]) and r.held_out == (fold[r.doc_id] == 0) and r.predicted == (r.score >= 0.3) for r in got if r.doc_id is not None and r.doc_id < 220)
+    kept = [r.doc_id for r in quality.keep_good(clashing(docs), labels, features=24).collect()]
+    assert sorted(map(str, kept)) == sorted(str(r.doc_id) for r in got if r.predicted)
