@@ -14,7 +14,7 @@ import numpy as np
 import pytest
 from test_llm import PATTERNS, WORDS, clashing, docs_of
 
-from roundjoin.llm import ann, common, html_text, mixing, quality, secrets, warc
+from roundjoin.llm import ann, common, html_text, mixing, quality, secrets, url_filter, warc
 
 
 def offset_of(spark, seed, key):
@@ -212,3 +212,33 @@ def test_classifier_against_direct_normal_equations(spark):
     assert all(r.score == pytest.approx(model.score(stats[[r.doc_id]])[0]) and r.held_out == (fold[r.doc_id] == 0) and r.predicted == (r.score >= 0.3) for r in got if r.doc_id is not None and r.doc_id < 220)
     kept = [r.doc_id for r in quality.keep_good(clashing(docs), labels, features=24).collect()]
     assert sorted(map(str, kept)) == sorted(str(r.doc_id) for r in got if r.predicted)
+
+
+def test_split_against_all_splits():
+    rng = random.Random(7)
+    for _ in range(80):
+        counts = {"".join(rng.choice("ab") for _ in range(rng.randint(1, 5))): rng.randint(1, 500) for _ in range(rng.randint(1, 9))}
+        model = url_filter.Segmenter.of(counts)
+        name = "".join(rng.choice("abc") for _ in range(rng.randint(1, 10)))
+
+        def cost(words):
+            return sum(min(model.costs.get(w, math.inf), model.unknown + url_filter.UNKNOWN_LETTER * len(w)) for w in words)
+
+        splits = []
+        for cuts in range(1 << (len(name) - 1)):
+            at = [0, *(i + 1 for i in range(len(name) - 1) if cuts >> i & 1), len(name)]
+            splits.append([name[a:b] for a, b in itertools.pairwise(at)])
+        got = model.split(name)
+        assert "".join(got) == name and cost(got) == pytest.approx(min(map(cost, splits)))
+
+
+def test_bayes_by_counts(spark):
+    labelled = [("cheap pills", True), ("http://cheap-casino.com/", True), ("city news", False), ("news news", False), ("été", False), (None, True), ("x", None)]
+    model, seen = url_filter.train_words(spark.createDataFrame(labelled, "name string, blocked boolean"))
+    bad, good = Counter("cheap pills cheap casino".split()), Counter("city news news news été".split())
+    assert seen == bad + good
+    for w in bad | good:
+        assert model.weights[w] == pytest.approx(math.log((bad[w] + 1) / (4 + 6)) - math.log((good[w] + 1) / (5 + 6)))
+    pages = spark.createDataFrame([(1, "http://a.com/%C3%A9t%C3%A9", None), (2, "http://été.fr/%zz", "été"), (1, "http://a.com/%C3%A9t%C3%A9", None), (3, "http://cheapcasino.net.org/", "cheap")] + [(None, "http://x.org/fr", None)], "page_id long, url string, html string")
+    rows = sorted((str(r.page_id), r.words, r.verdict, r.host, r.path) for r in url_filter.judge_urls(pages, labelled=spark.createDataFrame(labelled, "name string, blocked boolean")).collect())
+    assert rows == [("1", "a été", "allow", "a.com", "/%C3%A9t%C3%A9")] * 2 + [("2", "été fr zz", "allow", "été.fr", "/%zz"), ("3", "cheap casino", "block", "cheapcasino.net.org", "/"), ("None", "x fr", "allow", "x.org", "/fr")]
