@@ -13,8 +13,8 @@ rounds: first each node with one hub; last all pairs that share a signature, mee
 nodes with the least share of lone tokens, so the least edited of a group of near copies: a group of a million costs a million verifications. Nodes with the same hub that are in different components after that are intersected all with all, in blocks, by products
 of incidence matrices; only links come out of it. So no link between different components is lost.
 
-Sets, nodes and signatures are 64-bit hashes. Tokens are counted by the top 48 bits of their hashes (equal ones could only add candidates); verification
-intersects the top 40 bits.
+Shingles, nodes and signatures are 64-bit hashes, and verification intersects whole ones. Tokens are counted by the top 48 or 40 bits of their hashes: equal
+ones could only add candidates.
 """
 
 from __future__ import annotations
@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import DOC_COLUMNS, Bloom, components, cut, mix64, pick, shingle_sets
+from .common import DOC_COLUMNS, Bloom, components, cut, mix64, pick, shingle_sets, spread_join
 
 #: Production values. WINDOW: share of hash space whose tokens are counted; FREQUENT: document frequency from which pairs are indexed;
 #: PART_TOKENS: tokens that one counting task takes.
@@ -281,9 +281,7 @@ def _links_of_hubs(open_nodes: DataFrame, sets: DataFrame, percent: int, block:
 
 
 def _tokens_of(x: bytes) -> np.ndarray:
-    a = np.zeros((len(x) // 5, 8), dtype=np.uint8)
-    a[:, 3:] = np.frombuffer(x, dtype=np.uint8).reshape(-1, 5)
-    return a.view(np.uint64).reshape(-1)
+    return np.frombuffer(x, dtype=np.uint64)
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -294,7 +292,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
             keep = []
             for x, y in zip(b.column("x"), b.column("y"), strict=True):
                 p, q = _tokens_of(x.as_py()), _tokens_of(y.as_py())
-                both = len(p) + len(q) - len(np.union1d(p, q))
+                both = len(np.intersect1d(p, q, assume_unique=True))
                 keep.append(100 * both >= percent * (len(p) + len(q) - both))
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
@@ -303,7 +301,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def _sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """node, toks (40 bits a token) of the wanted nodes. wanted: doc_id, node; a bounded filter skips most other texts before they are cut in words."""
+    """node, toks (64 bits a token) of the wanted nodes. wanted: doc_id, node; a bounded filter skips most other texts before they are cut in words."""
     bloom = Bloom.of(wanted.select("doc_id"))
 
     def run(batches):
@@ -314,7 +312,7 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
             keys, packed = [], []
             for s in shingle_sets(b.column("text"), width):
                 keys.append(set_key(s))
-                packed.append(s.view(np.uint8).reshape(-1, 8)[:, 3:].tobytes())
+                packed.append(s.tobytes())
             yield pa.record_batch([pa.array(keys, pa.int64()), pa.array(packed, pa.binary())], names=["node", "toks"])
 
     return _text_rows(docs).mapInArrow(run, "node long, toks binary").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
@@ -357,7 +355,9 @@ def near_duplicate_rows(docs: DataFrame, width: int = WIDTH, percent: int = PERC
     apart = (F.col("node") < F.col("hub")) & (F.col("label") != F.col("hub_label")) & (F.col("own") != F.col("hub_own"))
     pairs = open_.join(other, "sig").where(_fits(percent) & apart).select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
     label = cut(components(links.union(_verified(pairs, sets, percent))))
-    return rows.join(label, "node", "left").select("doc_id", "n", "node", F.coalesce("label", "node").alias("label"))
+    # equal sets, and so their rows, may be many
+    label = cut(rows.groupBy("node").agg(F.count("*").alias("rows")).join(label, "node"))
+    return spread_join(rows, label, "node", "doc_id", "left", "rows").select("doc_id", "n", "node", F.coalesce("label", "node").alias("label"))
 
 
 def jaccard_components(docs: DataFrame, **options) -> DataFrame:
@@ -366,9 +366,9 @@ def jaccard_components(docs: DataFrame, **options) -> DataFrame:
     Null, empty and wordless texts have the empty set, are linked with nothing and are their own component; fewer words than the width are
     one shingle; repeated rows are linked with each other; a null doc_id is larger than any other and stays null where nothing else is in
     the component; an empty table gives no rows; other columns are ignored."""
-    rows = near_duplicate_rows(docs, **options)
-    least = rows.where("n > 0").groupBy("label").agg(F.min("doc_id").alias("least"))
-    linked = rows.where("n > 0").join(least, "label").select("doc_id", F.col("n").alias("n_shingles"), F.col("least").alias("component_id"))
+    rows = cut(near_duplicate_rows(docs, **options))
+    least = rows.where("n > 0").groupBy("label").agg(F.min("doc_id").alias("least"), F.count("*").alias("rows"))
+    linked = spread_join(rows.where("n > 0"), cut(least), "label", "doc_id", count="rows").select("doc_id", F.col("n").alias("n_shingles"), F.col("least").alias("component_id"))
     return linked.union(rows.where("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id")))
 
 
