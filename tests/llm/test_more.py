@@ -12,9 +12,9 @@ from collections import Counter
 
 import numpy as np
 import pytest
-from test_llm import PATTERNS, WORDS, clashing, docs_of
+from test_llm import PATTERNS, WORDS, brute_components, brute_distance, clashing, docs_of
 
-from roundjoin.llm import ann, common, html_text, mixing, quality, secrets, url_filter, warc
+from roundjoin.llm import ann, common, decontaminate, html_text, licenses, mixing, quality, secrets, url_filter, warc
 
 
 def offset_of(spark, seed, key):
@@ -242,3 +242,87 @@ def test_bayes_by_counts(spark):
     pages = spark.createDataFrame([(1, "http://a.com/%C3%A9t%C3%A9", None), (2, "http://été.fr/%zz", "été"), (1, "http://a.com/%C3%A9t%C3%A9", None), (3, "http://cheapcasino.net.org/", "cheap")] + [(None, "http://x.org/fr", None)], "page_id long, url string, html string")
     rows = sorted((str(r.page_id), r.words, r.verdict, r.host, r.path) for r in url_filter.judge_urls(pages, labelled=spark.createDataFrame(labelled, "name string, blocked boolean")).collect())
     assert rows == [("1", "a été", "allow", "a.com", "/%C3%A9t%C3%A9")] * 2 + [("2", "été fr zz", "allow", "été.fr", "/%zz"), ("3", "cheap casino", "block", "cheapcasino.net.org", "/"), ("None", "x fr", "allow", "x.org", "/fr")]
+
+
+def brute_hits(doc, item, budget):
+    """Ends in the normalised text where an occurrence within budget stops, by the full table."""
+    row = [0] * (len(doc) + 1)
+    for i, a in enumerate(item, 1):
+        new = [i]
+        for j, b in enumerate(doc, 1):
+            new.append(min(row[j - 1] + (a != b), row[j] + 1, new[-1] + 1))
+        row = new
+    return {j for j, d in enumerate(row) if d <= budget}
+
+
+def test_occurrences_against_the_full_table(spark):
+    rng = random.Random(21)
+    letters = "abcd "
+    items = ["".join(rng.choice(letters) for _ in range(rng.randint(18, 70))) for _ in range(8)]
+    items = [t for t in map(decontaminate.normalised, items) if len(t) >= 16]
+
+    def edited(t):
+        t = list(t)
+        for _ in range(rng.randint(0, 7)):
+            k = rng.randrange(len(t))
+            t[k : k + rng.randint(0, 1)] = [rng.choice(letters)] * rng.randint(0, 1)
+        return "".join(t)
+
+    texts = ["".join(rng.choice(letters) for _ in range(rng.randint(0, 60))) + edited(rng.choice(items)) + "".join(rng.choice(letters) for _ in range(rng.randint(0, 200))) for _ in range(60)] + [None, "", items[0], items[0].upper()]
+    docs = docs_of(spark, texts + [items[0]], [*range(len(texts)), 62])
+    bench = spark.createDataFrame(list(enumerate(items)) + [(0, items[0])], "item_id long, text string")
+    got = decontaminate.contaminated(clashing(docs), bench).collect()
+    want = {(d, i) for d, t in enumerate(texts) for i, item in enumerate(items) if brute_hits(decontaminate.normalised(t), item, len(item) // decontaminate.CHARS_PER_EDIT)}
+    assert {(r.doc_id, r.item_id) for r in got} == want and len(want) > 30
+    for r in got:
+        t, item = decontaminate.normalised(texts[r.doc_id]), items[r.item_id]
+        assert r.distance <= len(item) // decontaminate.CHARS_PER_EDIT and brute_distance(item, t[r.hit_start : r.hit_end]) <= r.distance
+    assert sum(r.doc_id == 62 and r.item_id == 0 for r in got) == 2
+    small = decontaminate.contaminated(docs, bench, block_chars=100).collect()
+    assert sorted(map(tuple, small)) == sorted(map(tuple, got))
+    assert sorted(r.doc_id for r in decontaminate.drop_contaminated(docs, bench).collect()) == sorted(set(range(len(texts))) - {d for d, _ in want})
+
+
+def test_pipeline_by_plain_code(spark, small):
+    import corpus_pipeline
+
+    docs, labels, bench = (common.table(spark, small, t) for t in ("documents", "labels", "benchmark"))
+    good = {r.doc_id for r in quality.score_documents(docs, labels).collect() if r.predicted}
+    rows = sorted((r.doc_id, r.text, r.source) for r in docs.collect() if r.doc_id in good)
+    first = [c for _, c in brute_components([t for _, t, _ in rows])]
+    rows = [r for k, r in enumerate(rows) if first[k] == k]
+    items = [decontaminate.normalised(r.text) for r in bench.collect()]
+    items = [t for t in items if t]
+
+    def held(text):
+        for item in items:
+            budget = len(item) // decontaminate.CHARS_PER_EDIT if len(item) >= decontaminate.MIN_ITEM_CHARS else 0
+            # a piece that an occurrence leaves alone is a necessary condition, cheap to test
+            if any(p in text for p, _ in decontaminate.pieces_of(item, budget)) and (decontaminate.bounded_distance(item, text, budget) if len(item) >= decontaminate.MIN_ITEM_CHARS else re.search(rf"(?<!\w){re.escape(item)}(?!\w)", text)):
+                return True
+        return False
+
+    rows = [r for r in rows if not held(decontaminate.normalised(r[1]))]
+    clean = []
+    for i, text, source in rows:
+        spans = [(m.start(), m.end()) for n, p, g, least in PATTERNS for m in re.finditer(p, text or "") if len(m[g]) >= least]
+        for rule in secrets.RULES[3:]:
+            spans += [m.span() for m in re.finditer(rule.pattern, text or "")]
+        clean.append((i, brute_redaction(text or "", spans), source))
+    want = mixing.mix(docs_of(spark, [t for _, t, _ in clean], [i for i, _, _ in clean], [s for _, _, s in clean]))
+    got = {r.doc_id: r for r in corpus_pipeline.run(spark, small).collect()}
+    assert {i: len(re.findall(r"[^\x20\x09-\x0D]+", t)) for i, t, _ in clean} == {i: r["size"] for i, r in got.items()} and len(got) < len(good)
+    assert {r.doc_id: (r.source_size, r.target) for r in want.collect()} == {i: (r.source_size, r.target) for i, r in got.items()}
+
+
+def test_repeated_and_awkward_rows(spark):
+    text = "Released under the MIT License. " + "token=abcdef12 " + "w " * 60_000
+    docs = clashing(docs_of(spark, [text, text, None, "", " \t"], [1, 1, None, 2, 2]))
+    found = [tuple(r) for r in licenses.scan_licenses(docs).collect()]
+    assert len(found) == 5 and found.count((1, "MIT", "MIT", 1.0, 2)) == 2
+    assert sum(r.doc_id == 1 and r.n_assign == 1 for r in secrets.find_secrets(docs).collect()) == 2
+    scores = quality.score_documents(docs, spark.createDataFrame([(1, 1), (2, 0)], "doc_id long, quality int")).collect()
+    assert len(scores) == 5 and len({r.score for r in scores if r.doc_id == 1}) == 1
+    assert len(mixing.mix(docs).collect()) == 5
+    tie = (("B", "notice", "alpha beta gamma delta"), ("A", "notice", "alpha beta gamma delta"))
+    assert tuple(licenses.scan_licenses(docs_of(spark, ["x alpha beta gamma delta y"]), tie).first()) == (0, "A,B", "A", 1.0, 2)
