@@ -67,6 +67,8 @@ def robust_prune(points: np.ndarray, node: np.ndarray, candidates: np.ndarray, d
     b, c = candidates.shape
     alive = (candidates >= 0) & (candidates != node[:, None])
     own = points[np.maximum(candidates, 0)]
+    squares = (own**2).sum(2)
+    apart = squares[:, :, None] + squares[:, None, :] - 2 * (own @ own.transpose(0, 2, 1))
     out = np.full((b, degree), -1)
     rows = np.arange(b)
     for k in range(degree):
@@ -75,9 +77,7 @@ def robust_prune(points: np.ndarray, node: np.ndarray, candidates: np.ndarray, d
             break
         first = alive.argmax(1)
         out[has, k] = candidates[rows, first][has]
-        chosen = own[rows, first]
-        to_chosen = ((own - chosen[:, None, :]) ** 2).sum(2)
-        alive &= alpha * alpha * to_chosen > dist
+        alive &= alpha * alpha * apart[rows, first] > dist
         alive[rows, first] = False
     return out
 
