@@ -10,24 +10,35 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.bagtree import BagTree
+from ..plans.cost import CostLedger, join_cost, semijoin_cost
 from ..plans.hypergraph import Hypergraph, find_bag_tree
 from ..plans.query import JoinQuery
-from ..plans.rewrite import log_depth_rewrite_edge_labels
+from ..plans.rewrite import Contraction, contract
 from . import primitives as P
-from .decomposition import _ordered, decomposition_join, materialize_bags
-from .reducer import Runner, full_reduce
+from .decomposition import _ordered, materialize_bags
+from .reducer import Runner
 
 
 def best_shares(q: JoinQuery, sizes: dict[str, int], reducers: int) -> dict[str, int]:
-    """Powers of two, one for each shared attribute, whose product is the largest power of two within `reducers`, that send the fewest copies."""
+    """Powers of two, one for each shared attribute, whose product is the largest power of two within `reducers`, that send the fewest copies: all splits where
+    they are few, else the attribute whose doubling costs least, time after time, then single exchanges while they help."""
     attrs, bits = sorted(q.shared), int(math.log2(max(1, reducers)))
-    best = None
-    for chosen in combinations_with_replacement(range(len(attrs)), bits):
-        shares = {a: 2 ** chosen.count(i) for i, a in enumerate(attrs)}
-        sent = sum(sizes[x.name] * math.prod(s for a, s in shares.items() if a not in x.attrs) for x in q.atoms)
-        if best is None or sent < best[0]:
-            best = (sent, shares)
-    return best[1] if best else dict.fromkeys(attrs, 1)
+    if not attrs:
+        return {}
+
+    def sent(split: tuple[int, ...]) -> int:
+        return share_sent(q, sizes, {a: 2**k for a, k in zip(attrs, split, strict=True)})
+
+    if math.comb(len(attrs) + bits - 1, bits) <= 5_000:
+        best = min((tuple(map(chosen.count, range(len(attrs)))) for chosen in combinations_with_replacement(range(len(attrs)), bits)), key=sent)
+    else:
+        moved = lambda split, i, j: tuple(k - (x == i) + (x == j) for x, k in enumerate(split))
+        best = (0,) * len(attrs)
+        for _ in range(bits):
+            best = min((moved(best, None, j) for j in range(len(attrs))), key=sent)
+        while (other := min((moved(best, i, j) for i in range(len(attrs)) if best[i] for j in range(len(attrs))), key=sent)) != best and sent(other) < sent(best):
+            best = other
+    return {a: 2**k for a, k in zip(attrs, best, strict=True)}
 
 
 def share_sent(q: JoinQuery, sizes: dict[str, int], shares: dict[str, int]) -> int:
@@ -39,7 +50,7 @@ def one_round_share_join(q: JoinQuery, reducers: int = 16, shares: dict[str, int
     """Reducers are a grid with an axis for each attribute; a tuple goes to its hashed place on the axes of its attributes and to all places on the others."""
     rels = q.bound()
     if shares == "auto":
-        shares = best_shares(q, {n: d.count() for n, d in rels.items()}, reducers)
+        shares = best_shares(q, dict(zip(rels, P.counts(list(rels.values())), strict=True)), reducers)
     axes = {a: f"__x_{a}" for a, s in shares.items() if s > 1}
     placed = {}
     for n, d in rels.items():
@@ -53,24 +64,104 @@ def one_round_share_join(q: JoinQuery, reducers: int = 16, shares: dict[str, int
 
 
 def contracted(q: JoinQuery, tree: BagTree | None = None) -> BagTree:
-    """The tree that contraction joins along: each new bag joins the relations of three whole bags."""
+    """The tree that contraction makes: each new bag joins the relations of three whole bags."""
+    h = Hypergraph.from_query(q)
+    return contract(tree or find_bag_tree(h), h).tree
+
+
+def _contract_reduce(plan: Contraction, bags: dict[str, DataFrame], run: Runner) -> dict[str, DataFrame]:
+    """First half: the steps of the contraction, then the same steps backwards. A shunt joins three given bags, as reduced so far, and is marked by semijoins
+    with the two bags that it takes under it; a leaf marks its parent. Backwards all are reduced by what they went into."""
+    value = dict(bags)
+    for shunts, leaves in plan.steps:
+        made, most = {}, 0
+        for s in shunts:
+            joined = fold(run.join, [value[b] for b in dict.fromkeys(s.of)])
+            sent = join_cost([run.size(value[b]) for b in s.of], run.m_or_none()) if run.ledger is not None else 0
+            run.note(1, "shunt", s.into, sent, joined)
+            made[s.into] = fold(run.semi, [value[b] for b in s.under], joined)
+            if run.ledger is not None:
+                costs = [semijoin_cost(run.size(joined), run.size(value[b]), run.m_or_none()) for b in s.under]
+                run.note(1 + sum(c[0] for c in costs), "semijoin mark", s.into, sum(c[1] for c in costs), made[s.into])
+                most = max(most, 1 + sum(c[0] for c in costs))
+        value |= run.settle(made, 2)
+        run.at += most
+        fresh, most = {}, {}
+        for b, p in leaves:
+            if p is not None:
+                parent = fresh.get(p, value[p])
+                fresh[p] = run.semi(parent, value[b])
+                if run.ledger is not None:
+                    rounds, sent = semijoin_cost(run.size(parent), run.size(value[b]), run.m_or_none())
+                    most[p] = most.get(p, 0) + rounds
+                    run.note(most[p], "semijoin leaf", p, sent, fresh[p])
+        value |= run.settle(fresh, 2)
+        run.at += max(most.values(), default=0)
+    for shunts, leaves in reversed(plan.steps):
+        pairs = [(b, p) for b, p in leaves if p is not None]
+        for some in (pairs, [(b, s.into) for s in shunts for b in s.under]):
+            fresh, most = {}, 0
+            for b, p in some:
+                fresh[b] = run.semi(value[b], value[p])
+                if run.ledger is not None:
+                    rounds, sent = semijoin_cost(run.size(value[b]), run.size(value[p]), run.m_or_none())
+                    run.note(rounds, "semijoin back", b, sent, fresh[b])
+                    most = max(most, rounds)
+            value |= run.settle(fresh, 2)
+            run.at += most
+    return value
+
+
+def _contract_join(plan: Contraction, value: dict[str, DataFrame], run: Runner) -> DataFrame:
+    """Second half: the steps again, by joins. A shunt joins what its two bags have gathered; a leaf's gatherings go into its parent."""
+    got, last = dict(value), None
+    for shunts, leaves in plan.steps:
+        fresh, most = {}, 0
+        for s in shunts:
+            fresh[s.into] = fold(run.join, [got[b] for b in s.under], got[s.into])
+            if run.ledger is not None:
+                run.note(2, "join shunt", s.into, join_cost([run.size(got[b]) for b in (s.into, *s.under)], run.m_or_none()), fresh[s.into])
+                most = 2
+        got |= run.settle(fresh)
+        run.at += most
+        fresh, taken = {}, {}
+        for b, p in leaves:
+            last = b
+            if p is not None:
+                parent = fresh.get(p, got[p])
+                fresh[p] = run.join(parent, got[b])
+                if run.ledger is not None:
+                    taken[p] = taken.get(p, 0) + 1
+                    run.note(taken[p], "join leaf", p, join_cost([run.size(parent), run.size(got[b])], run.m_or_none()), fresh[p])
+        got |= fresh if len(leaves) == 1 else run.settle(fresh)
+        run.at += max(taken.values(), default=0)
+    return got[last]
+
+
+def _contraction(q: JoinQuery, tree: BagTree | None, run: Runner) -> tuple[Contraction, dict[str, DataFrame], Hypergraph]:
     h = Hypergraph.from_query(q)
-    return log_depth_rewrite_edge_labels(tree or find_bag_tree(h), h).tree
+    rels = q.bound()
+    for a in q.atoms:
+        run.keyed(rels[a.name], frozenset(a.key or ()))
+    base = (tree or find_bag_tree(h)).make_complete(h)
+    return contract(base, h), materialize_bags(base, rels, run), h
 
 
-def contraction_join(q: JoinQuery, tree: BagTree | None = None, m: int | None = None, **options) -> DataFrame:
-    """Three-way contraction join: logarithmic rounds whatever the depth, intermediates of three bags each."""
-    return decomposition_join(q, contracted(q, tree), m, **options)
+def contraction_join(q: JoinQuery, tree: BagTree | None = None, m: int | None = None, physical: str = "native", ledger: CostLedger | None = None) -> DataFrame:
+    """Three-way contraction join: bags are materialised, then a full reduction and the joins take a logarithmic number of steps each, whatever the depth, with
+    intermediates that join three whole bags."""
+    run = Runner(q.shared, m, physical, ledger=ledger)
+    plan, bags, _ = _contraction(q, tree, run)
+    return _contract_join(plan, _contract_reduce(plan, bags, run), run).select(*q.attributes)
 
 
 def contraction_reduce(q: JoinQuery, tree: BagTree | None = None) -> dict[str, DataFrame]:
-    """Relations of q without dangling tuples, by reduction along the contracted tree."""
-    h = Hypergraph.from_query(q)
-    t = contracted(q, tree).make_complete(h)
-    run, rels = Runner(q.shared), q.bound()
-    reduced = full_reduce(t, materialize_bags(t, rels, run), run)
-    home = {n: next(b for b in sorted(t.chi) if n in t.lam[b] and h.edges[n] <= t.chi[b]) for n in h.edges}
-    return {n: reduced[home[n]].select(*rels[n].columns).dropDuplicates() for n in rels}
+    """Relations of q without dangling tuples, by the first half of the contraction join."""
+    run = Runner(q.shared)
+    plan, bags, h = _contraction(q, tree, run)
+    reduced = _contract_reduce(plan, bags, run)
+    home = {n: next(b for b in sorted(bags) if n in plan.tree.lam[b] and h.edges[n] <= plan.tree.chi[b]) for n in h.edges}
+    return {n: reduced[home[n]].select(*sorted(h.edges[n])).dropDuplicates() for n in h.edges}
 
 
 def single_machine_join(q: JoinQuery) -> DataFrame:
