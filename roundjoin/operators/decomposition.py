@@ -144,3 +144,43 @@ def expand_multiset(df: DataFrame) -> DataFrame:
     from pyspark.sql import functions as F
 
     return df.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__mult")))).drop("__copy", "__mult")
+
+
+def decomposition_sql(q: JoinQuery, tree: BagTree | None = None, distinct: bool = True) -> str:
+    """Text of the decomposition join over views named like the atoms, whose columns are the attributes: bags, semijoins up, joins down. Plain SQL."""
+    h = Hypergraph.from_query(q)
+    tree = (tree or find_bag_tree(h)).make_complete(h)
+    depth, kids, ctes = tree.depths(), tree.children(), []
+    shared = q.shared
+
+    def matched(a: str, b: str, on) -> str:
+        return " AND ".join(f"{a}.{c} = {b}.{c}" if c in shared else f"{a}.{c} IS NOT DISTINCT FROM {b}.{c}" for c in sorted(on)) or "TRUE"
+
+    for b in sorted(tree.chi, key=lambda b: (-depth[b], b)):
+        names = _ordered_names(sorted(tree.lam[b]), h)
+        chi = ", ".join(sorted(tree.chi[b]))
+        rows, have = names[0], set(h.edges[names[0]])
+        for n in names[1:]:
+            on = have & h.edges[n]
+            rows += f" JOIN {n} USING ({', '.join(sorted(on))})" if on else f" CROSS JOIN {n}"
+            have |= h.edges[n]
+        known = [f"{c} IS NOT NULL" for c in sorted(tree.chi[b] & shared)]
+        ctes.append(f"bag_{b} AS (SELECT {'DISTINCT ' if distinct else ''}{chi} FROM {rows}{' WHERE ' + ' AND '.join(known) if known else ''})")
+        tests = [f"EXISTS (SELECT 1 FROM up_{c} WHERE {matched(f'up_{c}', f'bag_{b}', tree.separator(b, c))})" for c in kids[b]]
+        ctes.append(f"up_{b} AS (SELECT * FROM bag_{b}{' WHERE ' + ' AND '.join(tests) if tests else ''})")
+    joined, have = f"up_{tree.root}", set(tree.chi[tree.root])
+    for b in sorted(tree.chi, key=lambda b: (depth[b], b))[1:]:
+        if tree.chi[b] - have:
+            on = tree.chi[b] & have
+            joined += f" JOIN up_{b} USING ({', '.join(sorted(on))})" if on else f" CROSS JOIN up_{b}"
+            have |= tree.chi[b]
+    return f"WITH {', '.join(ctes)} SELECT {', '.join(q.attributes)} FROM {joined}"
+
+
+def _ordered_names(names: list[str], h: Hypergraph) -> list[str]:
+    left, out = list(names), []
+    while left:
+        have = h.attrs(out) if out else frozenset()
+        out.append(next((n for n in left if have & h.edges[n]), left[0]))
+        left.remove(out[-1])
+    return out

@@ -19,8 +19,11 @@ class ReducerOverflow(RuntimeError):
     """A reducer would receive more tuples than it can hold."""
 
 
-def tuple_hash(columns: list[str], seed: int, buckets: int) -> Column:
-    """Bucket of a tuple by all the given columns."""
+def tuple_hash(columns: list[str], seed: int, buckets: int, portable: bool = False) -> Column:
+    """Bucket of a tuple by all the given columns. portable: by MD5 of their text, which other systems have too."""
+    if portable:
+        text = F.concat_ws("|", F.lit(str(seed)), *[F.col(c).cast("string") for c in columns])
+        return F.pmod(F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("long"), F.lit(buckets))
     return F.pmod(F.xxhash64(F.lit(seed), *[F.col(c) for c in columns]), F.lit(buckets))
 
 
@@ -63,7 +66,7 @@ def overflow_bound(m: int, groups: list[int]) -> int:
     return m if math.prod(groups) == 1 else math.ceil(m + 6 * math.sqrt(z * m) + 6 * z)
 
 
-def grid_join(dfs: list[DataFrame], m: int | None = None, seed: int = 17, groups: list[int] | None = None, sizes: list[int] | None = None, check: bool | None = None, loads: list[int] | None = None) -> DataFrame:
+def grid_join(dfs: list[DataFrame], m: int | None = None, seed: int = 17, groups: list[int] | None = None, sizes: list[int] | None = None, check: bool | None = None, loads: list[int] | None = None, portable: bool = False) -> DataFrame:
     """Join of z relations by all combinations of hashed groups: any skew, any or no shared attributes, one co-partitioned round.
 
     m: tuples a reducer holds, from which the groups follow (counting the relations in one job unless sizes are given). The load of the fullest reducer is
@@ -74,7 +77,7 @@ def grid_join(dfs: list[DataFrame], m: int | None = None, seed: int = 17, groups
     groups = groups or grid_sizes(sizes or counts(dfs), m)
     if check is None and bound is not None:
         bound = overflow_bound(m, groups)
-    dealt = [d.withColumn(axes[i], tuple_hash(d.columns, seed + i, groups[i]).cast("int")) for i, d in enumerate(dfs)]
+    dealt = [d.withColumn(axes[i], tuple_hash(d.columns, seed + i, groups[i], portable).cast("int")) for i, d in enumerate(dfs)]
     if bound is not None:
         load = capacity([d.select(axes[i]) for i, d in enumerate(dealt)], axes)
         if loads is not None:
@@ -113,6 +116,23 @@ def heavy_keys(df: DataFrame, keys: list[str], share: float, sample: float | Non
     return counts.crossJoin(F.broadcast(total)).where(F.col("count") >= share * F.col("__total")).select(*keys, "count")
 
 
+def heavy_keys_sketched(df: DataFrame, keys: list[str], share: float, width: int = 4096, depth: int = 4, seed: int = 5) -> DataFrame:
+    """The same keys by a count-min sketch: `depth` rows of `width` counters, aggregated first, tell which keys can reach the share, as a counter never is too
+    small; only rows of such keys are counted. The sketch, width * depth counters at most, is what is broadcast."""
+    tag = F.array(*[F.struct(F.lit(d).alias("d"), F.pmod(F.xxhash64(F.lit(seed + d), *keys), F.lit(width)).cast("int").alias("w")) for d in range(depth)])
+    sketch = df.select(F.explode(tag).alias("t")).groupBy("t.d", "t.w").count()
+    total = F.broadcast(df.agg(F.count("*").alias("__total")))
+    hot = sketch.crossJoin(total).where(F.col("count") >= share * F.col("__total"))
+    cells = F.broadcast(hot.groupBy().agg(F.collect_set(F.struct("d", "w")).alias("__cells")))
+    able = df.select(*keys, tag.alias("__t")).crossJoin(cells).where(F.size(F.array_except("__t", "__cells")) == 0)
+    return able.groupBy(*keys).count().crossJoin(total).where(F.col("count") >= share * F.col("__total")).select(*keys, "count")
+
+
+def is_matching(df: DataFrame) -> DataFrame:
+    """One row, a boolean for each column: its values are all there and all different, so that any join on it is key to key."""
+    return df.agg(*[((F.count(c) == F.count("*")) & (F.count_distinct(c) == F.count("*"))).alias(c) for c in df.columns])
+
+
 def hybrid_join(l: DataFrame, r: DataFrame, m: int, share: float = 0.01, sample: float | None = None) -> DataFrame:  # noqa: E741
     """Light keys by hashing; keys that hold `share` of either side by the grid join. The heavy keys are 2/share at most, so they are broadcast."""
     on = common(l, r)

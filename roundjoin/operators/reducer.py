@@ -63,7 +63,7 @@ class Runner:
 
     def size(self, df: DataFrame) -> int:
         if id(df) not in self._known:
-            self._known[id(df)] = df.count()
+            self._known[id(df)] = (self.ledger.keep(df) if self.ledger is not None else df).count()
             self._known[-id(df)] = df  # keeps it alive, so that its id stays its own
         return self._known[id(df)]
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -147,3 +149,40 @@ def except_set(a: DataFrame, b: DataFrame) -> DataFrame:
 
 def except_all(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.exceptAll(b)
+
+
+def window_shares(df: DataFrame, keys: list[str], order: list[Column], tiles: int = 4) -> DataFrame:
+    """Tile, relative rank and cumulative share of each row in its group."""
+    w = Window.partitionBy(*keys).orderBy(*order)
+    return df.select("*", F.ntile(tiles).over(w).alias("tile"), F.percent_rank().over(w).alias("relative"), F.cume_dist().over(w).alias("share"))
+
+
+def window_ends(df: DataFrame, keys: list[str], order: list[Column], col: str, n: int = 2) -> DataFrame:
+    """First, last and n-th value of a column over each whole group."""
+    w = Window.partitionBy(*keys).orderBy(*order).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return df.select("*", F.first(col).over(w).alias("first_value"), F.last(col).over(w).alias("last_value"), F.nth_value(col, n).over(w).alias("nth_value"))
+
+
+def lateral_join(l: DataFrame, r: Callable[[Callable[[str], Column]], DataFrame], how: str = "inner") -> DataFrame:  # noqa: E741
+    """Joins each row of l with the rows of r(outer), where outer(name) stands for a column of that row."""
+    return l.lateralJoin(r(lambda name: F.col(name).outer()), how=how)
+
+
+def exists_in(l: DataFrame, r: DataFrame, left_key: str, right_key: str) -> DataFrame:  # noqa: E741
+    """Rows of l for which the correlated subquery finds a row in r."""
+    return l.where(r.where(F.col(right_key) == F.col(left_key).outer()).exists())
+
+
+def above_scalar(df: DataFrame, col: str, agg: Column) -> DataFrame:
+    """Rows whose column exceeds an aggregate over the whole table, as a scalar subquery."""
+    return df.where(F.col(col) > df.agg(agg).scalar())
+
+
+def sketch_distinct(df: DataFrame, keys: list[str], col: str, log_k: int = 12) -> DataFrame:
+    """Mergeable sketches of the distinct values of a column, one for each group."""
+    return df.groupBy(*keys).agg(F.hll_sketch_agg(col, log_k).alias("sketch"))
+
+
+def merge_sketches(sketches: DataFrame, name: str = "estimate") -> DataFrame:
+    """Estimate of the distinct values that all sketches have seen together."""
+    return sketches.agg(F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias(name))

@@ -24,9 +24,11 @@ def write_sink(df: DataFrame, path: str, fmt: str = "parquet", partition_by: lis
     return path
 
 
-def stage_bucketed(df: DataFrame, table: str, keys: list[str], buckets: int) -> DataFrame:
-    """Writes df as a table bucketed and sorted by keys, so that later joins on them need no exchange."""
-    df.write.mode("overwrite").bucketBy(buckets, *keys).sortBy(*keys).saveAsTable(table)
+def stage_bucketed(df: DataFrame, table: str, keys: list[str], buckets: int, path: str | None = None) -> DataFrame:
+    """Writes df as a table bucketed and sorted by keys, so that later joins on them need no exchange. path: where its files go, the warehouse if omitted."""
+    df.sparkSession.sql(f"DROP TABLE IF EXISTS {table}")
+    writer = df.write.mode("overwrite").bucketBy(buckets, *keys).sortBy(*keys)
+    (writer.option("path", path) if path else writer).saveAsTable(table)
     return df.sparkSession.table(table)
 
 

@@ -38,24 +38,34 @@ def stream_distinct(stream: DataFrame, ts: str, keys: list[str], watermark: str
 
 
 def stream_paths(stream: DataFrame, key: str, item: str, ts: str, length: int, watermark: str = "1 hour") -> DataFrame:
-    """Paths of `length` consecutive events of a key, events of a micro-batch in time order; rows later than the watermark are dropped.
+    """Paths of `length` consecutive events of a key in time order, whatever micro-batches they come in.
 
-    State is the last length - 1 items of each key; any state store does."""
+    An event waits until the watermark has reached its time and then takes its place; an event that comes later than that is dropped, and counted in the query's
+    numRowsDroppedByWatermark. Events of one time stand by item. State of a key: its waiting events and the last length - 1 items; any state store does."""
 
     def run(k, parts, state: GroupState):
-        held = list(state.get[0]) if state.exists else []
-        fresh = pd.concat(list(parts)).sort_values([ts, item])[item].tolist()
-        run_of = [*held, *fresh]
-        state.update((run_of[len(run_of) - length + 1 :] if len(run_of) >= length else run_of,))
+        held, times, items = state.get if state.exists else ([], [], [])
+        waiting = list(zip(times, items, strict=True))
+        if not state.hasTimedOut:
+            for pdf in parts:
+                waiting += zip(pdf["__us"].tolist(), pdf[item].tolist(), strict=True)
+        waiting.sort()
+        mark = state.getCurrentWatermarkMs()
+        ready = [x for x in waiting if x[0] // 1000 <= mark]
+        waiting = waiting[len(ready) :]
+        run_of = [*held, *(x[1] for x in ready)]
+        state.update((run_of[len(run_of) - length + 1 :] if len(run_of) >= length else run_of, [x[0] for x in waiting], [x[1] for x in waiting]))
+        if waiting:
+            state.setTimeoutTimestamp(max(mark, waiting[0][0] // 1000 - 1, 1))
         paths = [run_of[i : i + length] for i in range(len(run_of) - length + 1)]
         yield pd.DataFrame({key: [k[0]] * len(paths), "path": paths})
 
-    rows = stream.withWatermark(ts, watermark).select(F.col(key).cast("long").alias(key), F.col(item).cast("long").alias(item), ts).groupBy(key)
-    return rows.applyInPandasWithState(run, f"{key} long, path array<long>", "items array<long>", "append", GroupStateTimeout.NoTimeout)
+    rows = stream.withWatermark(ts, watermark).select(F.col(key).cast("long").alias(key), F.col(item).cast("long").alias(item), ts, F.unix_micros(ts).alias("__us")).groupBy(key)
+    return rows.applyInPandasWithState(run, f"{key} long, path array<long>", "items array<long>, times array<long>, waiting array<long>", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def batch_paths(df: DataFrame, key: str, item: str, ts: str, length: int, rows: Callable | None = None) -> DataFrame:
-    """The same on a table, by a window."""
+    """The same on a table, by a window. The events of a key are one task's; a path has no other bound."""
     from pyspark.sql import Window
 
     w = Window.partitionBy(key).orderBy(ts, item)

@@ -22,6 +22,7 @@ from .plans.hypergraph import Hypergraph, find_bag_tree
 from .plans.query import Atom, JoinQuery
 from .plans.rewrite import log_depth_rewrite, log_depth_rewrite_edge_labels, log_depth_rewrite_hypertree, merge_log_depth_rewrite, merge_rewrite
 from .plans.schedule import count_rounds
+from .scratch import scratch_path
 from .sources import load_tables
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -277,13 +278,30 @@ def _grid_ledger(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(*sizes, *g, cost.grid_sent(sizes, 1000))], "n_o long, n_c long, g_o long, g_c long, sent long")
 
 
-@register("max_cell_load")
+@register("max_cell_load", "SELECT max(n) AS max_load, min(n) AS min_load FROM (SELECT ((o_orderkey * 2654435761) % 4294967296) % 16 AS cell, count(*) AS n FROM orders GROUP BY 1)")
 def _load(spark: SparkSession, d: str) -> DataFrame:
-    o = _t(spark, d)["orders"].select(P.tuple_hash(["o_orderkey"], 3, 16).cast("long").alias("cell"))
-    return o.groupBy("cell").count().agg(F.max("count").alias("max_load"), F.min("count").alias("min_load"))
-
-
-@register("ledger_star4")
+    cells = _t(spark, d)["orders"].select(FN.cell_id(F.col("o_orderkey"), F.lit(16).cast("long")).alias("cell"))
+    return cells.groupBy("cell").count().agg(F.max("count").alias("max_load"), F.min("count").alias("min_load"))
+
+
+_STAR_LEDGER = """
+WITH h AS (SELECT DISTINCT l_orderkey AS o, l_partkey AS p, l_suppkey AS s FROM lineitem),
+up AS (SELECT * FROM h WHERE o IN (SELECT o_orderkey FROM orders) AND p IN (SELECT p_partkey FROM part)),
+s2 AS (SELECT s_suppkey AS s, s_nationkey FROM supplier WHERE s_suppkey IN (SELECT s FROM up)),
+h2 AS (SELECT * FROM up WHERE s IN (SELECT s FROM s2)),
+o2 AS (SELECT o_orderkey AS o, o_custkey FROM orders WHERE o_orderkey IN (SELECT o FROM h2)),
+p2 AS (SELECT p_partkey AS p, p_brand FROM part WHERE p_partkey IN (SELECT p FROM h2)),
+j AS (SELECT * FROM h2 NATURAL JOIN o2 NATURAL JOIN p2),
+n AS (SELECT (SELECT count(*) FROM h) AS h, (SELECT count(*) FROM up) AS up, (SELECT count(*) FROM h2) AS h2, (SELECT count(*) FROM orders) AS o, (SELECT count(*) FROM o2) AS o2,
+    (SELECT count(*) FROM part) AS p, (SELECT count(*) FROM p2) AS p2, (SELECT count(*) FROM supplier) AS s, (SELECT count(*) FROM s2) AS s2, (SELECT count(*) FROM j) AS j, (SELECT count(*) FROM j NATURAL JOIN s2) AS answers)
+SELECT CAST(unnest([2, 3, 4, 5, 6, 6, 8, 9, 10]) AS INT) AS round,
+    unnest(['semijoin up pair', 'semijoin up lone', 'semijoin up lone', 'semijoin down', 'semijoin down', 'semijoin down', 'join pair', 'join lone', 'join lone']) AS op,
+    unnest(['Orders', 'Hub', 'Supp', 'Hub', 'Orders', 'Part', 'Orders', 'Hub', 'Supp']) AS bag,
+    unnest([h + o + h + p + 2 * up, h + up, s + up, up + s2, o + h2, p + h2, h2 + o2 + p2, h2 + j, s2 + j]) AS sent, unnest([up, up, s2, h2, o2, p2, j, j, answers]) AS produced, unnest([0, 0, 0, 0, 0, 0, 0, 0, 0]::BIGINT[]) AS max_load FROM n
+"""
+
+
+@register("ledger_star4", _STAR_LEDGER)
 def _ledger(spark: SparkSession, d: str) -> DataFrame:
     q, ledger = X.fixture(spark, d, "star_4"), cost.CostLedger(machine=100_000)
     decomposition_join(q, ledger=ledger)
@@ -304,6 +322,11 @@ def _line(s: SparkSession, d: str) -> DataFrame:
     return _t(s, d)["lineitem"]
 
 
+def _within(df: DataFrame, estimate: str, deviation: float) -> DataFrame:
+    """One row: the exact count, and whether the estimate is within three deviations of it."""
+    return df.select("exact", (F.abs(F.col(estimate) - F.col("exact")) <= 3 * deviation * F.col("exact")).alias("within_three_deviations"))
+
+
 register("op_project_filter", "SELECT o_orderkey, o_custkey FROM orders WHERE o_orderstatus IN ('F', 'O') AND o_custkey BETWEEN 10 AND 500")(lambda s, d: O.project(O.filter_rows(_t(s, d)["orders"], "o_orderstatus IN ('F', 'O') AND o_custkey BETWEEN 10 AND 500"), ["o_orderkey", "o_custkey"]))
 register("op_push_predicate", X.oracle("chain_6") + " WHERE nat < 5")(lambda s, d: METHODS["parallel"](O.push_predicate(X.fixture(s, d, "chain_6"), "nat", "nat < 5")))
 for _how, _sql in {"left": "LEFT", "right": "RIGHT", "full": "FULL"}.items():
@@ -326,7 +349,10 @@ register("op_asof_join", "SELECT a.event_id, (SELECT max_by(b.event_id, (b.ts, b
 )
 register("op_aggregate", f"SELECT l_returnflag, l_linestatus, {_SUM_SQL} FROM lineitem GROUP BY ALL")(lambda s, d: O.aggregate(_line(s, d), _LK, _sums()))
 register("op_count_distinct", "SELECT l_returnflag, count(DISTINCT l_partkey) AS distinct_l_partkey FROM lineitem GROUP BY 1")(lambda s, d: O.count_distinct_by(_line(s, d), ["l_returnflag"], "l_partkey"))
-register("op_approx_distinct")(lambda s, d: O.approx_distinct(_line(s, d), "l_partkey"))
+# the estimate itself depends on the sketch; its distance from the exact count is bounded
+register("op_approx_distinct", "SELECT count(DISTINCT l_partkey) AS exact, TRUE AS within_three_deviations FROM lineitem")(
+    lambda s, d: _within(_line(s, d).agg(F.count_distinct("l_partkey").alias("exact")).crossJoin(O.approx_distinct(_line(s, d), "l_partkey", 0.02)), "approx_l_partkey", 0.02)
+)
 register("op_cube", f"SELECT l_returnflag, l_linestatus, CAST(grouping_id(l_returnflag, l_linestatus) AS BIGINT) AS gid, {_SUM_SQL} FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")(lambda s, d: O.cube(_line(s, d), _LK, _sums()))
 register("op_rollup", f"SELECT l_returnflag, l_linestatus, CAST(grouping_id(l_returnflag, l_linestatus) AS BIGINT) AS gid, {_SUM_SQL} FROM lineitem GROUP BY ROLLUP (l_returnflag, l_linestatus)")(lambda s, d: O.rollup(_line(s, d), _LK, _sums()))
 register("op_grouping_sets", f"SELECT l_returnflag, l_linestatus, {_SUM_SQL} FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus))")(lambda s, d: O.grouping_sets(_line(s, d), [["l_returnflag"], ["l_linestatus"]], _sums()))
@@ -364,17 +390,9 @@ def _udtf(s: SparkSession, d: str) -> DataFrame:
 # streams, each run to its end on the table's files
 
 
-def _scratch(s: SparkSession, *kinds: str) -> tuple[str, ...]:
-    """Fresh paths in the folder that driver and executors share."""
-    import uuid
-
-    at = (s.conf.get("spark.checkpoint.dir", None) or s.sparkContext.getCheckpointDir() or "file:///tmp/checkpoints").rstrip("/")
-    return tuple(f"{at}/{kind}-{uuid.uuid4().hex}" for kind in kinds)
-
-
 def _drained(s: SparkSession, stream: DataFrame, mode: str = "append") -> DataFrame:
     """The rows that a finite stream has written when it has read everything, as a table in the shared folder."""
-    out, state = _scratch(s, "stream", "state")
+    out, state = (scratch_path(s, kind) for kind in ("stream", "state"))
     stream.writeStream.format("parquet").outputMode(mode).option("path", out).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
     return s.read.schema(stream.schema).parquet(out)
 
@@ -411,12 +429,12 @@ register("stream_interval_join", "SELECT a.event_id AS e1, b.event_id AS e2 FROM
 )
 _PATHS = "SELECT user_id, [event_id, b, c] AS path FROM (SELECT user_id, event_id, lead(event_id) OVER w AS b, lead(event_id, 2) OVER w AS c FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) WHERE c IS NOT NULL"
 register("batch_paths", _PATHS)(lambda s, d: ST.batch_paths(_t(s, d)["events"], "user_id", "event_id", "ts", 3))
-register("stream_paths", _PATHS)(lambda s, d: _drained(s, ST.stream_paths(_events(s, d).select("user_id", "event_id", "ts"), "user_id", "event_id", "ts", 3)))
+register("stream_paths", _PATHS)(lambda s, d: _drained(s, ST.stream_paths(_events(s, d).select("user_id", "event_id", "ts"), "user_id", "event_id", "ts", 3, "0 seconds")))
 
 
 @register("stream_batches", "SELECT DISTINCT event_id, user_id, c_nationkey AS nat, n_regionkey AS reg FROM events JOIN customer ON user_id = c_custkey JOIN nation ON c_nationkey = n_nationkey")
 def _batches(s: SparkSession, d: str) -> DataFrame:
-    t, (out, state) = _t(s, d), _scratch(s, "batches", "state")
+    t, out, state = _t(s, d), scratch_path(s, "batches"), scratch_path(s, "state")
     hub = Atom.of("Hub", t["events"].selectExpr("event_id", "user_id"))
     arms = [Atom.of("Customer", t["customer"].selectExpr("c_custkey AS user_id", "c_nationkey AS nat")), Atom.of("Nation", t["nation"].selectExpr("n_nationkey AS nat", "n_regionkey AS reg"))]
     q = JoinQuery([hub, *arms])
