@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -54,6 +55,24 @@ def spread_join(rows: DataFrame, groups: DataFrame, key: str, spread: str, how:
     return left.join(right, [key, "__part"], how).drop("__part")
 
 
+def release() -> None:
+    """Gives freed memory back to the system, so that a Python worker that waits for its next task holds little."""
+    pa.default_memory_pool().release_unused()
+    libc = ctypes.CDLL(None)
+    if hasattr(libc, "malloc_trim"):
+        libc.malloc_trim(0)
+
+
+def lean(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """run over the batches of a task, then release()."""
+
+    def whole(batches: Iterator) -> Iterator:
+        yield from run(batches)
+        release()
+
+    return whole
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """Bijective finaliser over uint64."""
     x = x.astype(np.uint64, copy=True)

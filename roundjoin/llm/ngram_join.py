@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import DOC_COLUMNS, Bloom, components, cut, mix64, pick, shingle_sets, spread_join
+from .common import DOC_COLUMNS, Bloom, components, cut, lean, mix64, pick, release, shingle_sets, spread_join
 
 #: Production values. WINDOW: share of hash space whose tokens are counted; FREQUENT: document frequency from which pairs are indexed;
 #: PART_TOKENS: tokens that one counting task takes.
@@ -120,7 +120,7 @@ def profiles(docs: DataFrame, width: int, percent: int, window: float) -> DataFr
             a = np.array(out, dtype=np.int64).reshape(-1, 4)
             yield pa.record_batch([b.column("doc_id"), *(pa.array(a[:, k]) for k in range(4))], names=["doc_id", "n", "node", "inside", "sent"])
 
-    return _text_rows(docs).mapInArrow(run, "doc_id long, n long, node long, inside long, sent long")
+    return _text_rows(docs).mapInArrow(lean(run), "doc_id long, n long, node long, inside long, sent long")
 
 
 def shared_tokens(docs: DataFrame, parts: int, width: int, percent: int, window: float) -> DataFrame:
@@ -151,9 +151,12 @@ def shared_tokens(docs: DataFrame, parts: int, width: int, percent: int, window:
 
         t, o, df = _gathered(pdf["blob"])
         keep = df > 1
-        return pd.DataFrame({"node": o[keep], "tok": t[keep].view(np.int64), "df": df[keep].astype(np.int32)})
+        out = pd.DataFrame({"node": o[keep], "tok": t[keep].view(np.int64), "df": df[keep].astype(np.int32)})
+        del t, o, df
+        release()
+        return out
 
-    return _text_rows(docs).mapInArrow(send, "part int, blob binary").groupBy("part").applyInPandas(count, "node long, tok long, df int")
+    return _text_rows(docs).mapInArrow(lean(send), "part int, blob binary").groupBy("part").applyInPandas(count, "node long, tok long, df int")
 
 
 def prefix_signatures(n: int, inside: int, toks: np.ndarray, df: np.ndarray, percent: int, window: float, frequent: int) -> np.ndarray:
@@ -201,7 +204,7 @@ def signatures(shared: DataFrame, nodes: DataFrame, percent: int, window: float,
 
     lists = shared.groupBy("node").agg(F.count("*").alias("m"), F.collect_list("tok").alias("toks"), F.collect_list("df").alias("dfs")).join(nodes, "node")
     some = lists.where(F.col("inside") - F.col("m") <= F.floor(F.col("n") * ((100 - percent) / 100.0)) + 1).select("node", "n", "inside", "toks", "dfs")
-    return some.mapInArrow(run, "sig long, node long, n long")
+    return some.mapInArrow(lean(run), "sig long, node long, n long")
 
 
 def lone_tokens(sets: DataFrame, parts: int) -> DataFrame:
@@ -227,9 +230,11 @@ def lone_tokens(sets: DataFrame, parts: int) -> DataFrame:
 
         _, o, df = _gathered(pdf["blob"])
         node, n = np.unique(o[df == 1], return_counts=True)
+        del o, df
+        release()
         return pd.DataFrame({"node": node, "lone": n})
 
-    return sets.mapInArrow(send, "part int, blob binary").groupBy("part").applyInPandas(count, "node long, lone long").groupBy("node").agg(F.sum("lone").alias("lone"))
+    return sets.mapInArrow(lean(send), "part int, blob binary").groupBy("part").applyInPandas(count, "node long, lone long").groupBy("node").agg(F.sum("lone").alias("lone"))
 
 
 def _fits(percent: int):
@@ -272,7 +277,9 @@ def _links_of_hubs(open_nodes: DataFrame, sets: DataFrame, percent: int, block:
     def run(key, pdf):
         import pandas as pd
 
-        return pd.DataFrame(_linked(pdf, percent), columns=["a", "b"], dtype=np.int64)
+        found = _linked(pdf, percent)
+        release()
+        return pd.DataFrame(found, columns=["a", "b"], dtype=np.int64)
 
     groups = open_nodes.groupBy("hub").agg(F.count("*").alias("size"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("hub", F.ceil(F.col("size") / block).alias("blocks"))
     placed = open_nodes.join(groups, "hub").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
@@ -297,7 +304,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     left, right = sets.select(F.col("node").alias("a"), F.col("toks").alias("x")), sets.select(F.col("node").alias("b"), F.col("toks").alias("y"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(lean(run), "a long, b long")
 
 
 def _sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
@@ -315,7 +322,7 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
                 packed.append(s.tobytes())
             yield pa.record_batch([pa.array(keys, pa.int64()), pa.array(packed, pa.binary())], names=["node", "toks"])
 
-    return _text_rows(docs).mapInArrow(run, "node long, toks binary").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
+    return _text_rows(docs).mapInArrow(lean(run), "node long, toks binary").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
 
 
 def _still_open(sigs: DataFrame, label: DataFrame) -> DataFrame:
@@ -399,9 +406,9 @@ def keep_one_of_each_group(docs: DataFrame, **options) -> DataFrame:
             a = np.array(sets, dtype=np.int64).reshape(-1, 2)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(a[:, 0]), pa.array(a[:, 1])], names=[*b.schema.names, "__n", "__node"])
 
-    marked = body.mapInArrow(unclear, T.StructType([*body.schema, T.StructField("__n", T.LongType()), T.StructField("__node", T.LongType())]))
+    marked = body.mapInArrow(lean(unclear), T.StructType([*body.schema, T.StructField("__n", T.LongType()), T.StructField("__node", T.LongType())]))
     stay = kept.select(F.col("doc_id").alias("__d"), F.col("node").alias("__o"))
     hit = marked.where("__n = 0").select(*DOC_COLUMNS).union(
         marked.where("__n > 0").join(stay, F.col("doc_id").eqNullSafe(F.col("__d")) & (F.col("__node") == F.col("__o")), "left_semi").withColumn("__r", F.row_number().over(Window.partitionBy("doc_id", "__node").orderBy("__n"))).where("__r = 1").select(*DOC_COLUMNS)
     )
-    return body.mapInArrow(clear, body.schema).union(hit)
+    return body.mapInArrow(lean(clear), body.schema).union(hit)
