@@ -326,3 +326,11 @@ def test_repeated_and_awkward_rows(spark):
     assert len(mixing.mix(docs).collect()) == 5
     tie = (("B", "notice", "alpha beta gamma delta"), ("A", "notice", "alpha beta gamma delta"))
     assert tuple(licenses.scan_licenses(docs_of(spark, ["x alpha beta gamma delta y"]), tie).first()) == (0, "A,B", "A", 1.0, 2)
+
+
+def test_whole_licence_texts(spark):
+    code = " ".join(random.Random(1).choices(WORDS, k=300))
+    three = f"{licenses._BSD_TERMS}\n{licenses._BSD_NAMES}\n\n{licenses._BSD_AS_IS}"
+    texts = [f"/* Copyright someone\n{three} */ {code}", f"{code} {licenses._BSD_TERMS} {licenses._BSD_AS_IS}", f"{code} {licenses._BSD_TERMS.replace('forms', 'shapes')}", code]
+    got = {r.doc_id: r for r in licenses.scan_licenses(docs_of(spark, texts)).collect()}
+    assert [got[i].best_license for i in range(4)] == ["BSD-3-Clause", "BSD-2-Clause", None, None] and got[0].best_dice == got[1].best_dice == 1.0
