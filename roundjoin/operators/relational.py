@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..plans.query import JoinQuery
 
@@ -57,16 +58,31 @@ def interval_join(l: DataFrame, r: DataFrame, left_ts: str, right_ts: str, befor
     return a.join(b, [*keys, "__w"]).where((gap >= -before_s) & (gap <= after_s)).drop("__w")
 
 
-def asof_join(l: DataFrame, r: DataFrame, ts: str, keys: list[str], value: str) -> DataFrame:  # noqa: E741
-    """Each left row with the value of the last right row of its keys at or before its time (null if none)."""
+def asof_join(l: DataFrame, r: DataFrame, ts: str, keys: list[str], value: str, width: int | None = None) -> DataFrame:  # noqa: E741
+    """Each left row with the value of the last right row of its keys at or before its time (null if none). Right values must not be null.
+
+    width: seconds (or units of an integer time) of the time buckets that a key's rows are dealt to, so that a hot key is many tasks; what a bucket takes over from
+    those before it comes from a table with a row for each key and bucket that has right rows or is asked for. Without it a key is one task."""
+    bucket = F.floor((F.unix_timestamp(ts) if isinstance(l.schema[ts].dataType, (T.TimestampType, T.TimestampNTZType, T.DateType)) else F.col(ts)) / (width or 1)).alias("__b")
+    parts = [*keys, "__b"] if width else keys
     left = l.withColumn("__side", F.lit(1)).withColumn("__v", F.lit(None).cast(r.schema[value].dataType))
     right = r.select(*keys, ts, F.lit(0).alias("__side"), F.col(value).alias("__v"))
     for c in l.columns:
         if c not in right.columns:
             right = right.withColumn(c, F.lit(None).cast(l.schema[c].dataType))
-    w = Window.partitionBy(*keys).orderBy(ts, "__side").rowsBetween(Window.unboundedPreceding, 0)
-    both = left.unionByName(right).withColumn("__last", F.last("__v", ignorenulls=True).over(w))
-    return both.where("__side = 1").select(*l.columns, F.col("__last").alias(value if value not in l.columns else f"asof_{value}"))
+    w = Window.partitionBy(*parts).orderBy(ts, "__side").rowsBetween(Window.unboundedPreceding, 0)
+    both = left.unionByName(right)
+    name = value if value not in l.columns else f"asof_{value}"
+    if not width:
+        return both.withColumn("__last", F.last("__v", ignorenulls=True).over(w)).where("__side = 1").select(*l.columns, F.col("__last").alias(name))
+    both = both.withColumn("__b", bucket)
+    ends = both.groupBy(*parts).agg(F.max_by("__v", F.when(F.col("__v").isNotNull(), F.col(ts))).alias("__end"))
+    before = Window.partitionBy(*keys).orderBy("__b").rowsBetween(Window.unboundedPreceding, -1)
+    taken = ends.select(*keys, "__b", F.last("__end", ignorenulls=True).over(before).alias("__taken"))
+    within = both.withColumn("__last", F.last("__v", ignorenulls=True).over(w)).where("__side = 1")
+    same = [F.col(f"x.{c}").eqNullSafe(F.col(f"y.{c}")) for c in parts]
+    joined = within.alias("x").join(taken.alias("y"), same)
+    return joined.select(*[F.col(f"x.{c}") for c in l.columns], F.coalesce("__last", "__taken").alias(name))
 
 
 def aggregate(df: DataFrame, keys: list[str], aggs: dict[str, Column]) -> DataFrame:
