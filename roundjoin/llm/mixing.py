@@ -73,13 +73,13 @@ def plan_copies(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, total_sha
     share; ties stand by id, and equal rows are alike; an empty table gives no rows; other columns are ignored."""
     word = r"[^\x20\x09-\x0D]+"
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    rows = pick(docs, "doc_id", "source", "text").select("doc_id", "source", F.regexp_count(text, F.lit(word)).cast("long").alias("size"), F.xxhash64("doc_id", "text").alias("h"))
+    rows = pick(docs, "doc_id", "source", "text").select("doc_id", "source", F.regexp_count(text, F.lit(word)).cast("long").alias("size"), F.md5(F.concat_ws("|", F.col("doc_id").cast("string"), text)).alias("h"))
     rows = placed(cut(rows), [F.col("source"), F.col("size"), F.col("h"), F.col("doc_id")], "place", bucket_rows)
     rows = rows.withColumn("key", F.coalesce(F.concat(F.lit("s"), "source"), F.lit("-")))
     totals = rows.groupBy("key").agg(F.first("source").alias("source"), F.sum("size").alias("source_size"), F.count("*").alias("n"), F.min("place").alias("start"))
     plan = source_plan(cut(totals), weights, total_share, max_copies)
-    # a fraction with 30 bits
-    offset = F.pmod(F.xxhash64(F.lit(seed), F.col("key")), F.lit(1 << 30)) / float(1 << 30)
+    # a fraction with 28 bits
+    offset = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("key"))), 1, 7), 16, 10).cast("long") / float(1 << 28)
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     plan = cut(plan.select("key", "source_size", "target", "n", "start", rate.alias("rate"), offset.alias("offset")))
     known = spread_join(rows, plan, "key", "h")

@@ -65,4 +65,21 @@ SELECT d.doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_a
 FROM documents d LEFT JOIN summed s ON d.doc_id = s.doc_id
 """
 
-ORACLES = {"op3_warc_revisits": WARC_REVISITS, "op8_ngram_jaccard_join": JACCARD_COMPONENTS, "op10_secret_scans": SECRET_SPANS}
+#: Sources are capped in the order of size over weight, as long as what is left for the others gives them more than that.
+MIXING = rf"""
+WITH rows AS (SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size, md5(concat_ws('|', CAST(doc_id AS VARCHAR), coalesce(text, ''))) AS h FROM documents),
+totals AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM rows GROUP BY source),
+weighed AS (SELECT *, CAST([3, 1, 2][1 + (row_number() OVER (ORDER BY encode(source) NULLS LAST) - 1) % 3] AS DOUBLE) AS w FROM totals),
+ordered AS (SELECT *, 2.0 * source_size / w AS ratio FROM weighed),
+before AS (SELECT *, (SELECT 1.5 * sum(source_size) FROM totals) AS total, coalesce(sum(2.0 * source_size) OVER o, 0) AS gone, (SELECT sum(w) FROM weighed) - coalesce(sum(w) OVER o, 0) AS left_w
+    FROM ordered WINDOW o AS (ORDER BY ratio RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW EXCLUDE GROUP)),
+capped AS (SELECT *, (total - gone) / left_w > ratio AS over FROM before),
+unit AS (SELECT (any_value(total) - coalesce(sum(2.0 * source_size) FILTER (over), 0)) / sum(w) FILTER (NOT over) AS u FROM capped),
+targets AS (SELECT source, source_size, CASE WHEN over THEN 2.0 * source_size ELSE w * u END AS target, CAST('0x' || substr(md5('11|' || coalesce('s' || source, '-')), 1, 7) AS BIGINT) / 268435456.0::DOUBLE AS start
+    FROM capped, unit),
+placed AS (SELECT *, row_number() OVER (PARTITION BY source ORDER BY size, h, doc_id) - 1 AS k FROM rows)
+SELECT doc_id, size, source_size, target, CAST(size * (floor(start + rate * (k + 1)) - floor(start + rate * k)) AS BIGINT) AS taken FROM (
+    SELECT p.*, t.source_size, t.target, t.start, CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0 END AS rate FROM placed p JOIN targets t ON p.source IS NOT DISTINCT FROM t.source)
+"""
+
+ORACLES = {"op9_mixing_sources": MIXING, "op3_warc_revisits": WARC_REVISITS, "op8_ngram_jaccard_join": JACCARD_COMPONENTS, "op10_secret_scans": SECRET_SPANS}
