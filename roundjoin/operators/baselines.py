@@ -144,7 +144,8 @@ def _contraction(q: JoinQuery, tree: BagTree | None, run: Runner) -> tuple[Contr
     for a in q.atoms:
         run.keyed(rels[a.name], frozenset(a.key or ()))
     base = (tree or find_bag_tree(h)).make_complete(h)
-    return contract(base, h), materialize_bags(base, rels, run), h
+    plan, bags = contract(base, h), materialize_bags(base, rels, run)
+    return plan, {b: bags[given] for b, given in plan.source.items()}, h
 
 
 def contraction_join(q: JoinQuery, tree: BagTree | None = None, m: int | None = None, physical: str = "native", ledger: CostLedger | None = None) -> DataFrame:
