@@ -82,4 +82,4 @@ SELECT doc_id, size, source_size, target, CAST(size * (floor(start + rate * (k +
     SELECT p.*, t.source_size, t.target, t.start, CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0 END AS rate FROM placed p JOIN targets t ON p.source IS NOT DISTINCT FROM t.source)
 """
 
-ORACLES = {"op9_mixing_sources": MIXING, "op3_warc_revisits": WARC_REVISITS, "op8_ngram_jaccard_join": JACCARD_COMPONENTS, "op10_secret_scans": SECRET_SPANS}
+ORACLES = {"op9_mixing_sources": MIXING, "op3_warc_revisits": WARC_REVISITS, "op8_ngram_jaccard_join": JACCARD_COMPONENTS, "op10_secret_scans": SECRET_SPANS, "secret_ledger_increment": SECRET_SPANS}

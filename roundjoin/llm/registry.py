@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from . import ann, decontaminate, html_text, licenses, mixing, ngram_join, quality, secrets, url_filter, warc
-from .common import table
+from .common import cut, table
 from .oracles import ORACLES as ORACLES  # DuckDB SQL, for those that SQL can express
 
 
@@ -61,6 +61,13 @@ def op10_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.find_secrets(table(spark, sf_dir, "documents"))
 
 
+def secret_ledger_increment(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same findings in two runs: one with the base rules, whose ledger the second reads, which scans for the other rules only."""
+    docs = table(spark, sf_dir, "documents")
+    ledger = cut(secrets.update_ledger(docs, None, tuple(r for r in secrets.RULES if r.base)))
+    return secrets.find_secrets(docs, ledger)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_license_scans": op1_license_scans,
     "op2_url_filters": op2_url_filters,
@@ -72,4 +79,5 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op8_ngram_jaccard_join": op8_ngram_jaccard_join,
     "op9_mixing_sources": op9_mixing_sources,
     "op10_secret_scans": op10_secret_scans,
+    "secret_ledger_increment": secret_ledger_increment,
 }
\ No newline at end of file
