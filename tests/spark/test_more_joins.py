@@ -6,6 +6,8 @@ import random
 import pytest
 from test_joins import con, pair, rows, test_against_duckdb  # noqa: F401
 
+from pyspark.sql import functions as F
+
 from roundjoin import fixtures, scratch, studies, workloads
 from roundjoin import streaming as ST
 from roundjoin.operators import baselines as B
@@ -128,3 +130,53 @@ def test_shares_by_exchange():
     for split in itertools.product((1, 2, 4, 8, 16), repeat=3):
         if split[0] * split[1] * split[2] == 64:
             assert B.share_sent(few, {"R": 100, "S": 100, "T": 100}, best) <= B.share_sent(few, {"R": 100, "S": 100, "T": 100}, dict(zip("abc", split, strict=True)))
+
+
+def batches_of(spark, path, batches, schema="k long, e long, ts string"):
+    """A stream that reads each of the given lists of rows in a micro-batch of its own."""
+    for i, b in enumerate(batches):
+        spark.createDataFrame(b, schema).withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.parquet(f"{path}/{i}")
+    return spark.readStream.schema(schema.replace("ts string", "ts timestamp")).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True).parquet(str(path))
+
+
+def drained(spark, stream, path):
+    query = stream.writeStream.format("parquet").option("path", f"{path}/out").option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    dropped = sum(s["numRowsDroppedByWatermark"] for p in query.recentProgress for s in p["stateOperators"])
+    return spark.read.schema(stream.schema).parquet(f"{path}/out"), dropped
+
+
+def at(minutes):
+    return f"2024-01-{1 + minutes // 1440:02d} {minutes // 60 % 24:02d}:{minutes % 60:02d}:00"
+
+
+LATE = [[(1, 1, at(600)), (1, 2, at(610)), (2, 3, at(615))], [(1, 1, at(605)), (1, 4, at(650)), (2, 5, at(800))], [(1, 6, at(100)), (2, 7, at(790)), (1, 8, at(1200))], [(3, 9, at(1500))]]
+
+
+def test_windows_over_several_batches(spark, tmp_path):
+    for kind, size in (("tumbling", 60), ("session", None)):
+        stream = batches_of(spark, tmp_path / kind / "in", LATE)
+        out, dropped = drained(spark, ST.stream_windows(stream, "ts", ["k"], kind), tmp_path / kind)
+        got = sorted((r.start.strftime("%H:%M"), r.k, r.n) for r in out.collect())
+        if kind == "tumbling":  # row 6 is a whole batch behind the watermark, row 1 again and row 7 are late but in time; the window of row 9 stays open
+            assert got == [("10:00", 1, 4), ("10:00", 2, 1), ("13:00", 2, 2), ("20:00", 1, 1)] and dropped == 1
+        else:
+            assert ("10:00", 1, 3) in got and ("10:50", 1, 1) in got and ("13:10", 2, 2) in got and dropped == 1
+
+
+def test_distinct_and_interval_join_over_several_batches(spark, tmp_path):
+    out, _ = drained(spark, ST.stream_distinct(batches_of(spark, tmp_path / "d/in", LATE), "ts", ["e"]), tmp_path / "d")
+    found = [r.e for r in out.collect()]
+    assert sorted(found) == sorted(set(found)) and set(found) == {1, 2, 3, 4, 5, 7, 8, 9}
+    a = batches_of(spark, tmp_path / "a", [[(1, 1, at(600))], [(1, 2, at(700)), (2, 3, at(705))]]).selectExpr("k AS k1", "e AS e1", "ts AS t1")
+    b = batches_of(spark, tmp_path / "b", [[(1, 10, at(605))], [(1, 11, at(609)), (1, 12, at(711)), (2, 13, at(705))]]).selectExpr("k AS k2", "e AS e2", "ts AS t2")
+    out, _ = drained(spark, ST.stream_interval_join(a, b, "t1", "t2", "k1", "k2"), tmp_path / "j")
+    assert sorted((r.e1, r.e2) for r in out.collect()) == [(1, 10), (1, 11), (3, 13)]
+
+
+def test_batches_join_one_by_one(spark, tmp_path):
+    stream = batches_of(spark, tmp_path / "in", LATE).select("k", "e")
+    q = JoinQuery([Atom.of("Hub", spark.createDataFrame([], "k long, e long")), Atom.of("Arm", pair(spark, [(1, "x"), (2, "y")], "k long, v string"))])
+    ST.stream_batches(stream, q, "Hub", str(tmp_path / "out"), str(tmp_path / "state")).awaitTermination()
+    got = rows(spark.read.parquet(str(tmp_path / "out")).select("e", "k", "v"))
+    assert got == sorted((str(e), str(k), "x" if k == 1 else "y") for b in LATE for k, e, _ in b if k < 3)
