@@ -10,8 +10,8 @@ more unique tokens than its slack has none at all and goes.
 Equal sets are one node. Among the nodes that share signatures with others, tokens that one node alone has are counted over whole sets: the overlap of
 two nodes is at most either's size less its own such tokens, which bounds the similarity of a pair before it is made. Candidates are verified in
 rounds: first each node with one hub; last all pairs that share a signature, meet the bound and are still in different components. Hubs are the
-nodes with the least share of lone tokens, so the least edited of a group of near copies: a group of a million costs a million verifications. Nodes with the same hub that are in different components after that are intersected all with all, in blocks, by products
-of incidence matrices; only links come out of it. So no link between different components is lost.
+nodes with the least share of lone tokens, so the least edited of a group of near copies: a group of a million costs a million verifications. Nodes with the same hub that are in different components after that are intersected with all of their and the next size
+class, in blocks, by products of incidence matrices; only links come out of it. So no link between different components is lost.
 
 Shingles, nodes and signatures are 64-bit hashes, and verification intersects whole ones. Tokens are counted by the top 48 or 40 bits of their hashes: equal
 ones could only add candidates.
@@ -19,6 +19,8 @@ ones could only add candidates.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -272,7 +274,10 @@ def _linked(pdf, percent: int) -> list[tuple[int, int]]:
 
 
 def _links_of_hubs(open_nodes: DataFrame, sets: DataFrame, percent: int, block: int = 512) -> DataFrame:
-    """a, b: links between nodes of one hub and different labels, by pairs of blocks of nodes. open_nodes: node, label, hub."""
+    """a, b: links between nodes of one hub and different labels, by pairs of blocks of nodes. open_nodes: node, label, hub, n.
+
+    Linked sets differ in size by a factor of 100 / percent at most, so nodes are compared within their size class, which is that wide, and with the next one
+    only: each node goes to its own class and, for those of the class below, to that."""
 
     def run(key, pdf):
         import pandas as pd
@@ -281,10 +286,14 @@ def _links_of_hubs(open_nodes: DataFrame, sets: DataFrame, percent: int, block:
         release()
         return pd.DataFrame(found, columns=["a", "b"], dtype=np.int64)
 
-    groups = open_nodes.groupBy("hub").agg(F.count("*").alias("size"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("hub", F.ceil(F.col("size") / block).alias("blocks"))
-    placed = open_nodes.join(groups, "hub").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = placed.select("hub", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "node", "label", (F.col("own") > F.col("other")).cast("int").alias("side"))
-    return dealt.join(sets, "node").groupBy("hub", "i", "j").applyInPandas(run, "a long, b long")
+    # classes a little wider than the factor, so that rounding can't part a pair by two
+    own = F.floor(F.log(F.col("n").cast("double")) / (math.log(100 / percent) * (1 + 1e-9)))
+    classed = open_nodes.withColumn("own_class", own).withColumn("class", F.explode(F.array(F.col("own_class"), F.col("own_class") - 1)))
+    groups = classed.groupBy("hub", "class").agg(F.count("*").alias("size"), F.min("own_class").alias("low"), F.min("label").alias("lo"), F.max("label").alias("hi"))
+    groups = groups.where("lo <> hi AND low = class").select("hub", "class", F.ceil(F.col("size") / block).alias("blocks"))
+    placed = classed.join(groups, ["hub", "class"]).withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = placed.select("hub", "class", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "node", "label", (F.col("mine") > F.col("other")).cast("int").alias("side"))
+    return dealt.join(sets, "node").groupBy("hub", "class", "i", "j").applyInPandas(run, "a long, b long")
 
 
 def _tokens_of(x: bytes) -> np.ndarray:
@@ -355,7 +364,7 @@ def near_duplicate_rows(docs: DataFrame, width: int = WIDTH, percent: int = PERC
     first = cut(_verified(best.select(F.col("node").alias("a"), F.col("hub").alias("b")), sets, percent))
     own = cut(sigs.join(best, "node", "left").withColumn("own", F.coalesce("hub", "node")).drop("hub"))
     open_ = cut(_still_open(own, components(first)))
-    within = cut(_links_of_hubs(open_.select("node", "label", F.col("own").alias("hub")).distinct(), sets, percent))
+    within = cut(_links_of_hubs(open_.select("node", "label", F.col("own").alias("hub"), "n").distinct(), sets, percent))
     links = first.union(within)
     open_ = cut(_still_open(own, components(links)))
     other = open_.select("sig", F.col("node").alias("hub"), F.col("n").alias("hub_n"), F.col("common").alias("hub_common"), F.col("label").alias("hub_label"), F.col("own").alias("hub_own"))

@@ -14,7 +14,7 @@ import numpy as np
 import pytest
 from test_llm import PATTERNS, WORDS, brute_components, brute_distance, clashing, docs_of
 
-from roundjoin.llm import ann, common, decontaminate, html_text, licenses, mixing, quality, secrets, url_filter, warc
+from roundjoin.llm import ann, common, decontaminate, html_text, licenses, mixing, ngram_join, quality, secrets, url_filter, warc
 
 
 def offset_of(seed, key):
@@ -333,3 +333,25 @@ def test_whole_licence_texts(spark):
     texts = [f"/* Copyright someone\n{three} */ {code}", f"{code} {licenses._BSD_TERMS} {licenses._BSD_AS_IS}", f"{code} {licenses._BSD_TERMS.replace('forms', 'shapes')}", code]
     got = {r.doc_id: r for r in licenses.scan_licenses(docs_of(spark, texts)).collect()}
     assert [got[i].best_license for i in range(4)] == ["BSD-3-Clause", "BSD-2-Clause", None, None] and got[0].best_dice == got[1].best_dice == 1.0
+
+
+@pytest.mark.parametrize("block", (2, 512))
+def test_links_within_a_hub_against_brute_force(spark, block):
+    rng = random.Random(block)
+    base = [rng.getrandbits(63) for _ in range(400)]
+    sets = {}
+    for k in range(70):
+        n = rng.choice((3, 4, 30, 40, 53, 54, 71, 95, 96, 200))
+        own = set(rng.sample(base[: rng.choice((n, n + 5, 400))], n))
+        sets[k] = np.array(sorted(own | {rng.getrandbits(63) for _ in range(rng.randint(0, 3))}), dtype=np.uint64)
+    label = {k: rng.randrange(40) for k in sets}
+    hub = {k: rng.randrange(2) for k in sets}
+    nodes = spark.createDataFrame([(k, label[k], hub[k], len(s)) for k, s in sets.items()], "node long, label long, hub long, n long")
+    table = spark.createDataFrame([(k, bytearray(s.tobytes())) for k, s in sets.items()], "node long, toks binary")
+    got = {(r.a, r.b) for r in ngram_join._links_of_hubs(nodes, table, 75, block).collect()}
+    linked = lambda a, b: 100 * len(np.intersect1d(sets[a], sets[b])) >= 75 * len(np.union1d(sets[a], sets[b]))
+    assert all(linked(a, b) and hub[a] == hub[b] and label[a] != label[b] for a, b in got)
+    for a, b in itertools.permutations(sets, 2):
+        if hub[a] == hub[b] and label[a] != label[b] and linked(a, b):
+            # of each node a link to every label is told, from one side at least
+            assert any((x == a and label[y] == label[b]) or (y == a and label[x] == label[b]) or (x == b and label[y] == label[a]) or (y == b and label[x] == label[a]) for x, y in got)
