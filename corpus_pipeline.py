@@ -43,7 +43,8 @@ STAGES = [
     ("mixing sources to target weights", mixing_sources),
 ]
 
-#: The stages hold a trained model and hashes that SQL can't express; the tests hold run() against a brute-force version.
+#: The first stage holds a trained model and the second and third matching that SQL can't express. The tests hold run() against plain code for the stages after the
+#: classifier, whose verdicts, like the mix of what is left, they take from the operators; those have tests of their own.
 ORACLE_SQL = None
 
 

@@ -164,7 +164,7 @@ def decomposition_sql(q: JoinQuery, tree: BagTree | None = None, distinct: bool
             on = have & h.edges[n]
             rows += f" JOIN {n} USING ({', '.join(sorted(on))})" if on else f" CROSS JOIN {n}"
             have |= h.edges[n]
-        known = [f"{c} IS NOT NULL" for c in sorted(tree.chi[b] & shared)]
+        known = [f"{c} IS NOT NULL" for c in sorted(tree.chi[b] & shared)] + [f"({test})" for attr, test in q.filters if attr in tree.chi[b]]
         ctes.append(f"bag_{b} AS (SELECT {'DISTINCT ' if distinct else ''}{chi} FROM {rows}{' WHERE ' + ' AND '.join(known) if known else ''})")
         tests = [f"EXISTS (SELECT 1 FROM up_{c} WHERE {matched(f'up_{c}', f'bag_{b}', tree.separator(b, c))})" for c in kids[b]]
         ctes.append(f"up_{b} AS (SELECT * FROM bag_{b}{' WHERE ' + ' AND '.join(tests) if tests else ''})")

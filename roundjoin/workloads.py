@@ -305,6 +305,7 @@ SELECT CAST(unnest([2, 3, 4, 5, 6, 6, 8, 9, 10]) AS INT) AS round,
 def _ledger(spark: SparkSession, d: str) -> DataFrame:
     q, ledger = X.fixture(spark, d, "star_4"), cost.CostLedger(machine=100_000)
     decomposition_join(q, ledger=ledger)
+    ledger.release()
     return ledger.to_df(spark)
 
 

@@ -15,7 +15,7 @@ from roundjoin.operators import primitives as P
 from roundjoin.operators import reducer as R
 from roundjoin.operators import relational as O
 from roundjoin.operators import statistics as S
-from roundjoin.operators.decomposition import BagTooLarge, decomposition_join, decomposition_sql, materialize_bags
+from roundjoin.operators.decomposition import BagTooLarge, decomposition_join, materialize_bags
 from roundjoin.plans.bagtree import BagTree
 from roundjoin.plans.cost import CostLedger
 from roundjoin.plans.hypergraph import Hypergraph, find_bag_tree
@@ -48,7 +48,7 @@ def test_random_acyclic_and_cyclic_joins(spark):
         tree = find_bag_tree(h := Hypergraph.from_query(q)).make_complete(h)
         assert rows(decomposition_join(q)) == rows(decomposition_join(q, ledger=CostLedger())) == want
         assert rows(B.contraction_join(q)) == rows(S.join(q)) == rows(S.join(q, "log_depth")) == want
-        assert rows(studies._sql_over(spark, q, decomposition_sql(q))) == want
+        assert rows(studies.run_as_sql(spark, q)) == want
         full, whole = R.full_reduce(tree, materialize_bags(tree, q.bound(), R.Runner(q.shared)), R.Runner(q.shared)), decomposition_join(q)
         for b, d in full.items():
             assert rows(d.distinct()) == rows(whole.select(*d.columns).distinct())
