@@ -311,7 +311,7 @@ def test_pipeline_by_plain_code(spark, small):
     want = mixing.mix(docs_of(spark, [t for _, t, _ in clean], [i for i, _, _ in clean], [s for _, _, s in clean]))
     got = {r.doc_id: r for r in corpus_pipeline.run(spark, small).collect()}
     assert {i: len(re.findall(r"[^\x20\x09-\x0D]+", t)) for i, t, _ in clean} == {i: r["size"] for i, r in got.items()} and len(got) < len(good)
-    assert {r.doc_id: (r.source_size, r.target) for r in want.collect()} == {i: (r.source_size, r.target) for i, r in got.items()}
+    assert {r.doc_id: (r.source_size, r.target, r.taken) for r in want.collect()} == {i: (r.source_size, r.target, r.taken) for i, r in got.items()}
 
 
 def test_repeated_and_awkward_rows(spark):
